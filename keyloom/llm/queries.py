@@ -6,17 +6,29 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from keyloom.llm import simhash_mih
+from keyloom.llm import multiset_fingerprint, shard_minimax, simhash_mih, source_mix
 from keyloom.llm.common import table
 
 
+def op5_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return source_mix.taken(table(spark, sf_dir, "documents"))
+
+
+def op6_minimax_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return shard_minimax.digest(table(spark, sf_dir, "documents"))
+
+
 def op7_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_mih.digest(table(spark, sf_dir, "documents"))
 
 
+def op9_multiset_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return multiset_fingerprint.digest(table(spark, sf_dir, "documents"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op7_simhash_near_dedup,)}
+    return {f.__name__: f for f in (op5_source_mix, op6_minimax_shards, op7_simhash_near_dedup, op9_multiset_fingerprint)}
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op5_source_mix": source_mix.ORACLE}
