@@ -6,10 +6,18 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from keyloom.llm import multiset_fingerprint, shard_minimax, simhash_mih, source_mix
+from keyloom.llm import byte_bpe, license_scan, multiset_fingerprint, shard_minimax, simhash_mih, source_mix
 from keyloom.llm.common import table
 
 
+def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.digest(table(spark, sf_dir, "documents"))
+
+
+def op2_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return byte_bpe.digest(table(spark, sf_dir, "documents"))
+
+
 def op5_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     return source_mix.taken(table(spark, sf_dir, "documents"))
 
@@ -27,7 +35,7 @@ def op9_multiset_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op5_source_mix, op6_minimax_shards, op7_simhash_near_dedup, op9_multiset_fingerprint)}
+    return {f.__name__: f for f in (op1_license_scan, op2_byte_bpe, op5_source_mix, op6_minimax_shards, op7_simhash_near_dedup, op9_multiset_fingerprint)}
 
 
 def oracle_sql() -> dict[str, str]:
