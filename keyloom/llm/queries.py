@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from keyloom.llm import byte_bpe, license_scan, multiset_fingerprint, shard_minimax, simhash_mih, source_mix
+from keyloom.llm import byte_bpe, license_scan, multiset_fingerprint, secret_cnn, shard_minimax, simhash_mih, source_mix, toxicity
 from keyloom.llm.common import table
 
 
@@ -30,12 +30,23 @@ def op7_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return simhash_mih.digest(table(spark, sf_dir, "documents"))
 
 
+def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return toxicity.digest(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op9_multiset_fingerprint(spark: SparkSession, sf_dir: str) -> DataFrame:
     return multiset_fingerprint.digest(table(spark, sf_dir, "documents"))
 
 
+def op10_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_cnn.digest(table(spark, sf_dir, "documents"))
+
+
+ALL = (op1_license_scan, op2_byte_bpe, op5_source_mix, op6_minimax_shards, op7_simhash_near_dedup, op8_toxicity, op9_multiset_fingerprint, op10_secret_scan)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op1_license_scan, op2_byte_bpe, op5_source_mix, op6_minimax_shards, op7_simhash_near_dedup, op9_multiset_fingerprint)}
+    return {f.__name__: f for f in ALL}
 
 
 def oracle_sql() -> dict[str, str]:
