@@ -1,22 +1,48 @@
-"""The corpus pipeline: near-duplicate removal."""
+"""The corpus pipeline: toxic documents go, one of each near-duplicate group stays, secrets are masked, sources are mixed, texts are encoded.
+
+Each stage takes (spark, docs, sf_dir) and returns the columns of ``documents``, the last one token ids. Null texts pass every stage and
+get no tokens. An empty table gives an empty result.
+"""
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from keyloom.llm import simhash_mih
+from keyloom.llm import byte_bpe, secret_cnn, simhash_mih, source_mix, toxicity
 from keyloom.llm.common import table, written
 
-#: No SQL engine has XXH64 fingerprints or the models of the stages; tests/llm compares with brute force.
+#: XXH64 fingerprints and the models of the first and third stage can't be put in SQL; tests/llm compares the stages with brute force.
 ORACLE_SQL = None
 
 
+def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents that score 0.5 or more go. The model is learnt from the labelled ones that op8 may learn from."""
+    model = toxicity.learn(docs, table(spark, sf_dir, "labels"), ~toxicity.held_out())
+    return toxicity.reject(docs, model)
+
+
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """One document of each near-duplicate group stays: that of the smallest id."""
     return simhash_mih.keep_one(docs)
 
 
-STAGES = [("simhash_near_dedup", near_dedup_stage)]
+def secret_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Secrets in texts are masked, and n_chars follows; no document goes."""
+    return secret_cnn.redact(docs).withColumn("n_chars", F.length("text").cast("long"))
+
+
+def mix_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Each document comes as many times as the mix takes it."""
+    return source_mix.mix(docs)
+
+
+def encode_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """(doc_id, n_tokens, ids) of each row."""
+    return byte_bpe.encode(docs)
+
+
+STAGES = [("toxicity", toxicity_stage), ("simhash_near_dedup", near_dedup_stage), ("secret_scan", secret_stage), ("source_mix", mix_stage), ("byte_bpe", encode_stage)]
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
