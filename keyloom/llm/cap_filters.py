@@ -21,6 +21,7 @@ from __future__ import annotations
 import math
 from collections.abc import Iterator
 from dataclasses import dataclass
+from functools import lru_cache
 from statistics import NormalDist
 
 import numpy as np
@@ -31,10 +32,12 @@ from pyspark.sql import functions as F
 from keyloom.llm.common import components, written
 
 THRESHOLD = 0.9
-RECALL = 0.99
-ROTATIONS, BLOCKS = 3, 4
+RECALL = 0.98
+ROTATIONS, BLOCKS = 16, 2
 #: Random pairs from which the level is taken.
 PAIRS = 1_500
+#: What a task gathers before it counts.
+HELD_NODES, HELD_PAIRS = 5_000, 1_000_000
 #: Vectors that a filter should hold if directions were spread evenly; nodes of a part.
 PER_FILTER, BUCKET = 4.0, 1_000
 
@@ -49,6 +52,7 @@ class Code:
     seed: int = 11
 
     @classmethod
+    @lru_cache(maxsize=8)
     def planned(cls, n: int, dim: int, threshold: float = THRESHOLD, recall: float = RECALL) -> Code:
         """For n vectors: so many words that a filter holds about PER_FILTER of them, and the highest level that keeps the recall.
 
@@ -56,9 +60,9 @@ class Code:
         the threshold; the normal approximation, good enough for lengths, only gives the number of words.
         """
         normal = NormalDist()
-        for words in range(4, 129):
+        for words in (round(8 * 1.2**i) for i in range(28)):
             filters = ROTATIONS * float(words) ** BLOCKS
-            t = _bisect(lambda t: 1 - math.exp(-filters * _both_above(t, threshold, normal) / 2) >= recall, 0.0, 8.0)
+            t = _bisect(lambda t: 1 - math.exp(-filters * _both_above(t, threshold, normal) / 2) >= recall, 0.0, 8.0, 12)
             if n * (1 - normal.cdf(t)) <= PER_FILTER:
                 break
         g = np.random.default_rng(5)
@@ -75,7 +79,7 @@ class Code:
             shared = np.intersect1d(r * space + f, q * space + h, assume_unique=True) // space
             return len(np.unique(shared)) >= recall * PAIRS
 
-        return cls(dim, words, _bisect(holds, max(0.0, t / math.sqrt(dim) - 0.12), t / math.sqrt(dim) + 0.05, 9))
+        return cls(dim, words, _bisect(holds, max(0.0, t / math.sqrt(dim) - 0.12), t / math.sqrt(dim) + 0.1, 9))
 
     def books(self) -> list[tuple[np.ndarray, list[np.ndarray]]]:
         """Each rotation, and its blocks' words; a filter's direction has length 1."""
@@ -142,20 +146,26 @@ def _decode(code: Code, turned: np.ndarray, parts: list[np.ndarray]) -> tuple[np
     return row, number
 
 
-def unit_vectors(column: pa.Array, dim: int) -> tuple[np.ndarray, np.ndarray]:
-    """The places of the usable vectors of a list column, and these in double precision at length 1."""
+def usable(column: pa.Array, dim: int) -> tuple[np.ndarray, np.ndarray]:
+    """The places of the usable vectors of a list column, and these as a matrix of the column's own precision."""
+    kind = np.float32 if column.type.value_type == pa.float32() else np.float64
     lengths = column.value_lengths().fill_null(0).to_numpy(zero_copy_only=False)
-    flat = column.flatten().cast(pa.float64()).to_numpy(zero_copy_only=False)
+    flat = column.flatten().to_numpy(zero_copy_only=False).astype(kind)
     starts = np.cumsum(lengths) - lengths
     places = np.nonzero(lengths == dim)[0]
     if not dim or not len(places):
-        return places[:0], np.empty((0, dim))
+        return places[:0], np.empty((0, dim), kind)
     x = flat[starts[places][:, None] + np.arange(dim)]
-    with np.errstate(all="ignore"):
-        peak = np.abs(x).max(axis=1)
-        good = np.isfinite(peak) & (peak > 0)
-        x = x[good] / peak[good][:, None]
-        return places[good], x / np.sqrt((x * x).sum(axis=1))[:, None]
+    peak = np.abs(x).max(axis=1)
+    good = np.isfinite(peak) & (peak > 0)
+    return places[good], x[good]
+
+
+def unit_vectors(x: np.ndarray) -> np.ndarray:
+    """Rows in double precision at length 1."""
+    x = x.astype(np.float64)
+    x /= np.abs(x).max(axis=1, keepdims=True)
+    return x / np.sqrt((x * x).sum(axis=1, keepdims=True))
 
 
 def _linked(x: np.ndarray, y: np.ndarray | None, threshold: float) -> tuple[np.ndarray, np.ndarray]:
@@ -164,37 +174,59 @@ def _linked(x: np.ndarray, y: np.ndarray | None, threshold: float) -> tuple[np.n
     return (at[at < to], to[at < to]) if y is None else (at, to)
 
 
-def _meet(code_rows: dict[str, np.ndarray], threshold: float) -> dict[str, np.ndarray] | None:
-    """The nodes of one task: (node, links, other)."""
-    part, x = code_rows["part"], code_rows["x"]
-    low = np.nonzero(part == part.min())[0]
-    high = np.nonzero(part != part.min())[0]
-    if code_rows["within"]:
-        a, b = _linked(x, None, threshold)
-    elif len(high):
-        a, b = _linked(x[low], x[high], threshold)
-        a, b = low[a], high[b]
-    else:
-        return None
-    if not len(a):
-        return None
-    lists, own = code_rows["filters"], code_rows["filter"]
-    used, at = np.unique(np.concatenate((a, b)), return_inverse=True)
-    lower = [lists[i][: np.searchsorted(lists[i], own)] for i in used.tolist()]
-    columns, column = np.unique(np.concatenate(lower), return_inverse=True)
-    has = np.zeros((len(used), len(columns)), np.float32)
-    has[np.repeat(np.arange(len(used)), [len(f) for f in lower]), column] = 1
-    first = (has @ has.T)[at[: len(a)], at[len(a) :]] == 0
-    a, b = a[first], b[first]
-    if not len(a):
-        return None
-    n = len(part)
-    weight = code_rows["copies"]
-    links = np.bincount(a, weight[b], n) + np.bincount(b, weight[a], n)
+class _Meeting:
+    """Links that the filters of one task find, until it is known which of them the filter may count."""
+
+    def __init__(self, code: Code, threshold: float):
+        self.code, self.books, self.threshold = code, code.books(), threshold
+        self.vectors: dict[int, np.ndarray] = {}
+        self.waiting: list[tuple[int, np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []
+        self.pairs = 0
+
+    def add(self, number: int, within: bool, part: np.ndarray, node: np.ndarray, copies: np.ndarray, x: np.ndarray) -> None:
+        """The nodes of a filter, or of two parts of one."""
+        if within:
+            a, b = _linked(x, None, self.threshold)
+        else:
+            low, high = np.nonzero(part == part.min())[0], np.nonzero(part != part.min())[0]
+            if not len(high):
+                return
+            a, b = _linked(x[low], x[high], self.threshold)
+            a, b = low[a], high[b]
+        if len(a):
+            used, at = np.unique(np.concatenate((a, b)), return_inverse=True)
+            self.vectors.update(zip(node[used].tolist(), x[used]))
+            self.waiting.append((number, node[used], copies[used], at[: len(a)], at[len(a) :]))
+            self.pairs += len(a)
+
+    def counted(self) -> Iterator[pa.RecordBatch]:
+        """(node, links, other) of the links gathered so far that have no lesser filter in common."""
+        nodes = np.fromiter(self.vectors, np.int64, len(self.vectors))
+        if not len(nodes):
+            return
+        row, filters = decode(self.code, np.stack(list(self.vectors.values())), self.books)
+        ends = np.searchsorted(row, np.arange(len(nodes) + 1))
+        place = {n: i for i, n in enumerate(nodes.tolist())}
+        for number, node, copies, a, b in self.waiting:
+            lists = [filters[ends[i] : ends[i + 1]] for i in map(place.__getitem__, node.tolist())]
+            lower = [f[: np.searchsorted(f, number)] for f in lists]
+            columns, column = np.unique(np.concatenate(lower), return_inverse=True)
+            has = np.zeros((len(node), len(columns)), np.float32)
+            has[np.repeat(np.arange(len(node)), [len(f) for f in lower]), column] = 1
+            first = (has @ has.T)[a, b] == 0
+            if first.any():
+                yield _by_node(node, copies, a[first], b[first])
+        self.vectors, self.waiting, self.pairs = {}, [], 0
+
+
+def _by_node(node: np.ndarray, copies: np.ndarray, a: np.ndarray, b: np.ndarray) -> pa.RecordBatch:
+    """Each node's links, and a node that they connect it with, the same for all that are connected."""
+    n = len(node)
+    links = np.bincount(a, copies[b], n) + np.bincount(b, copies[a], n)
     root = np.arange(n)
     while True:
-        least = np.minimum(root[a], root[b])
         after = root.copy()
+        least = np.minimum(root[a], root[b])
         np.minimum.at(after, a, least)
         np.minimum.at(after, b, least)
         after = after[after]
@@ -202,13 +234,13 @@ def _meet(code_rows: dict[str, np.ndarray], threshold: float) -> dict[str, np.nd
             break
         root = after
     rows = np.nonzero(links > 0)[0]
-    node = code_rows["node"]
-    return {"node": node[rows], "links": links[rows].astype(np.int64), "other": node[root[rows]]}
+    return pa.RecordBatch.from_pydict({"node": node[rows], "links": links[rows].astype(np.int64), "other": node[root[rows]]})
 
 
 def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str = "embedding", threshold: float = THRESHOLD, recall: float = RECALL, per_filter_rows: int = BUCKET) -> DataFrame:
     """(vec_id, n_links, component_id, kept), one row per vector."""
-    rows, _ = written(vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.col(vector_col).cast("array<double>").alias("v")), "vectors")
+    v = F.col(vector_col) if vectors.schema[vector_col].dataType.simpleString() == "array<float>" else F.col(vector_col).cast("array<double>")
+    rows, _ = written(vectors.select(F.col(id_col).cast("long").alias("vec_id"), v.alias("v")), "vectors")
     copies, _ = written(rows.groupBy("v").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies")), "copies")
     sizes = copies.where("size(v) > 0").groupBy(F.size("v").alias("dim")).count().orderBy(F.desc("count"), "dim").first()
     if sizes is None:
@@ -221,31 +253,34 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
         for batch in batches:
             for at in range(0, batch.num_rows, 1000):
                 part = batch.slice(at, 1000)
-                places, unit = unit_vectors(part.column(0), dim)
-                row, number = decode(code, unit, books)
-                ends = np.searchsorted(row, np.arange(len(unit) + 1))
+                places, raw = usable(part.column(0), dim)
+                row, number = decode(code, unit_vectors(raw), books) if len(raw) else (np.empty(0, np.int64),) * 2
+                ends = np.searchsorted(row, np.arange(len(raw) + 1))
                 lists = pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(number, pa.int64()))
                 taken = part.take(pa.array(places, pa.int64()))
-                yield pa.RecordBatch.from_arrays([taken.column(1), taken.column(2), pa.array([v.tobytes() for v in unit], pa.binary()), lists], names=["node", "copies", "x", "filters"])
+                yield pa.RecordBatch.from_arrays([taken.column(1), taken.column(2), pa.array([v.tobytes() for v in raw], pa.binary()), lists], names=["node", "copies", "x", "filters"])
 
     nodes, _ = written(copies.select("v", "node", "copies").mapInArrow(decoded, "node long, copies long, x binary, filters array<long>"), "nodes")
-    members = nodes.select("node", "copies", "x", "filters", F.explode("filters").alias("filter"))
+    members = nodes.select("node", "copies", "x", F.explode("filters").alias("filter"))
     held = nodes.select(F.explode("filters").alias("f")).groupBy("f").agg(F.count("*").alias("held")).where("held > 1")
     parts = F.ceil(F.col("held") / per_filter_rows).cast("int")
     members = members.join(held, F.col("filter") == F.col("f")).withColumn("parts", parts).withColumn("part", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int"))
     meets = F.transform(F.sequence(F.lit(0), F.col("parts") - 1), lambda j: F.struct(F.least(j, F.col("part")).alias("low"), F.greatest(j, F.col("part")).alias("high")))
-    members = members.select("filter", "part", "node", "copies", "x", "filters", F.explode(meets).alias("m")).select("filter", "m.low", "m.high", "part", "node", "copies", "x", "filters")
+    members = members.select("filter", "part", "node", "copies", "x", F.explode(meets).alias("m")).select("filter", "m.low", "m.high", "part", "node", "copies", "x")
     keys = ["filter", "low", "high"]
 
+    kind = np.float32 if rows.schema["v"].dataType.simpleString() == "array<float>" else np.float64
+
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for table in _groups(batches, keys):
-            lists = table.column("filters").combine_chunks()
-            flat, ends = lists.values.to_numpy(zero_copy_only=False), lists.offsets.to_numpy()
-            number = lambda c: table.column(c).to_numpy()
-            x = np.frombuffer(b"".join(table.column("x").to_pylist()), np.float64).reshape(-1, dim)
-            found = _meet({"part": number("part"), "node": number("node"), "copies": number("copies"), "x": x, "filter": table.column("filter")[0].as_py(), "within": table.column("low")[0] == table.column("high")[0], "filters": [flat[ends[i] : ends[i + 1]] for i in range(len(ends) - 1)]}, threshold)
-            if found:
-                yield pa.RecordBatch.from_pydict(found)
+        meeting = _Meeting(code, threshold)
+        for group in _groups(batches, keys):
+            if group.num_rows > 1:
+                number = lambda c: group.column(c).to_numpy()
+                x = unit_vectors(np.frombuffer(b"".join(group.column("x").to_pylist()), kind).reshape(-1, dim))
+                meeting.add(group.column("filter")[0].as_py(), group.column("low")[0] == group.column("high")[0], number("part"), number("node"), number("copies"), x)
+                if len(meeting.vectors) > HELD_NODES or meeting.pairs > HELD_PAIRS:
+                    yield from meeting.counted()
+        yield from meeting.counted()
 
     met = members.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(meet, "node long, links long, other long")
     met, _ = written(met, "met")
