@@ -13,7 +13,7 @@ Equal vectors are one node with a count. A filter with more than BUCKET nodes is
 meet in a task of their own; no task holds more than two parts. A pair counts only in the least of the filters that both have, so it counts
 once, and tasks give a row for each node (its links there, and a node it is connected with), never the pairs.
 
-Vectors that are null, empty, zero, of another length than most, or hold null or non-finite components link with nothing and are kept.
+Vectors that are null, empty, zero, of another length than most, or hold null or non-finite components link with nothing and are kept. So are rows with a null id, whose component is null.
 """
 
 from __future__ import annotations
@@ -111,12 +111,22 @@ def _both_above(t: float, rho: float, normal: NormalDist, steps: int = 120) -> f
 
 
 def decode(code: Code, unit: np.ndarray, books: list | None = None) -> tuple[np.ndarray, np.ndarray]:
-    """(row, filter) of all filters that each unit vector is in, by row and filter."""
+    """(row, filter) of all filters that each unit vector is in, by row and filter; a vector in none goes to the nearest of each rotation."""
     rows, numbers = [], []
-    for i, (rotation, parts) in enumerate(books or code.books()):
+    books = books or code.books()
+    space = code.words ** len(books[0][1])
+    for i, (rotation, parts) in enumerate(books):
         row, number = _decode(code, unit @ rotation, parts)
         rows.append(row)
-        numbers.append(number + i * code.words ** len(parts))
+        numbers.append(number + i * space)
+    if len(lost := np.setdiff1d(np.arange(len(unit)), np.concatenate(rows))):
+        for i, (rotation, parts) in enumerate(books):
+            turned, nearest, at = unit[lost] @ rotation, np.zeros(len(lost), np.int64), 0
+            for book in parts:
+                nearest = nearest * code.words + (turned[:, at : at + book.shape[1]] @ book.T).argmax(axis=1)
+                at += book.shape[1]
+            rows.append(lost)
+            numbers.append(nearest + i * space)
     row, number = np.concatenate(rows), np.concatenate(numbers)
     by = np.lexsort((number, row))
     return row[by], number[by]
@@ -241,7 +251,7 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
     """(vec_id, n_links, component_id, kept), one row per vector."""
     v = F.col(vector_col) if vectors.schema[vector_col].dataType.simpleString() == "array<float>" else F.col(vector_col).cast("array<double>")
     rows, _ = written(vectors.select(F.col(id_col).cast("long").alias("vec_id"), v.alias("v")), "vectors")
-    copies, _ = written(rows.groupBy("v").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies")), "copies")
+    copies, _ = written(rows.where("vec_id is not null").groupBy("v").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies")), "copies")
     sizes = copies.where("size(v) > 0").groupBy(F.size("v").alias("dim")).count().orderBy(F.desc("count"), "dim").first()
     if sizes is None:
         return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
@@ -292,9 +302,9 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
     classes = placed.join(least, F.col("root") == F.col("of")).select("node", "n_links", "component_id")
     of_vector = copies.select(F.col("v").alias("c_v"), F.col("node").alias("c_node")).join(classes, F.col("c_node") == F.col("node"), "left")
     of_vector, _ = written(of_vector.select("c_v", "n_links", "component_id"), "classes")
-    done = rows.join(of_vector, F.col("v").eqNullSafe(F.col("c_v")))
-    component = F.coalesce("component_id", "vec_id")
-    return done.select("vec_id", F.coalesce("n_links", F.lit(0)).alias("n_links"), component.alias("component_id"), (F.col("vec_id") == component).alias("kept"))
+    done = rows.join(of_vector, F.col("v").eqNullSafe(F.col("c_v")) & F.col("vec_id").isNotNull(), "left")
+    component = F.when(F.col("vec_id").isNotNull(), F.coalesce("component_id", "vec_id"))
+    return done.select("vec_id", F.coalesce("n_links", F.lit(0)).alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(True)).alias("kept"))
 
 
 def _groups(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.Table]:

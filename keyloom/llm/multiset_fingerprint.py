@@ -31,9 +31,10 @@ def elements(text: Column) -> Column:
 
 
 def _sums(element: Column) -> list[Column]:
-    hashes = [F.xxhash64(F.lit(k), element) for k in range(2)]
+    of = lambda k: F.when(element.isNotNull(), F.xxhash64(F.lit(k), element))
+    hashes = [of(k) for k in range(2)]
     packed = [F.sum(F.shiftrightunsigned(h, j).bitwiseAND(F.lit(_HALF))).alias(f"p{k}_{j}") for k, h in enumerate(hashes) for j in range(32)]
-    wide = [F.sum(F.shiftrightunsigned(F.xxhash64(F.lit(2 + k), element), 32 * j).bitwiseAND(F.lit(0xFFFFFFFF))).alias(f"w{k}_{j}") for k in range(2) for j in range(2)]
+    wide = [F.sum(F.shiftrightunsigned(of(2 + k), 32 * j).bitwiseAND(F.lit(0xFFFFFFFF))).alias(f"w{k}_{j}") for k in range(2) for j in range(2)]
     return [F.count(element).alias("n"), *packed, *wide]
 
 

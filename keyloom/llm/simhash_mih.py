@@ -18,7 +18,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from keyloom.llm.common import components, written
@@ -109,13 +109,12 @@ def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", wo
 
     Of rows that share that id, the first by the text's MD5 stays. Rows with a null id stay as they are.
     """
-    from pyspark.sql import Window
-
     groups = near_duplicates(docs, id_col, text_col, words, radius)
-    kept = groups.where("doc_id = component_id").select(F.col("doc_id").alias("_kept_id")).distinct()
-    first = F.row_number().over(Window.partitionBy("_kept_id").orderBy(F.md5(F.col(text_col).cast("binary")).asc_nulls_first()))
-    stay = docs.join(kept, F.col(id_col).cast("long") == F.col("_kept_id")).withColumn("_nth", first).where("_nth = 1")
-    return stay.select(*docs.columns).unionByName(docs.where(F.col(id_col).isNull()))
+    kept = groups.where("doc_id = component_id").select(F.col("doc_id").alias("kept_id")).distinct()
+    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.md5(F.col(text_col).cast("string").cast("binary")).alias("h"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    first = F.row_number().over(Window.partitionBy("kept_id").orderBy(F.asc_nulls_first("h")))
+    stay = rows.join(kept, F.col("id") == F.col("kept_id")).withColumn("nth", first).where("nth = 1")
+    return stay.select("row.*").unionByName(docs.where(F.col(id_col).isNull()))
 
 
 def digest(docs: DataFrame) -> DataFrame:

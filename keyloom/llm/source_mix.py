@@ -96,12 +96,12 @@ def taken(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sourc
 
 def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS, max_epochs: float = MAX_EPOCHS, seed: str = SEED) -> DataFrame:
     """The mix itself: the rows of ``docs``, each as many times as it is taken, all columns."""
-    own = docs.select("*", F.col(source_col).alias("_source"), order_hash(F.col(id_col), seed).alias("_h"))
-    sized, _ = written(own.select(F.col("_source").alias("source"), n_words(F.col(text_col)).alias("size"), F.col("_h").alias("h")), "sized")
-    sources = plan(sized, weights, max_epochs).select(F.col("source").alias("_s"), "whole", "cut").withColumnsRenamed({"whole": "_whole", "cut": "_cut"})
-    times = F.col("_whole") + F.when(F.col("_h") <= F.col("_cut"), 1).otherwise(0)
-    rows = own.join(_small(sources), F.col("_source").eqNullSafe(F.col("_s"))).withColumn("_times", times)
-    return rows.where("_times > 0").withColumn("_nth", F.explode(F.expr("sequence(1L, _times)"))).select(*docs.columns)
+    own = docs.select(F.col(source_col).alias("source"), n_words(F.col(text_col)).alias("size"), order_hash(F.col(id_col), seed).alias("h"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    sized, _ = written(own.select("source", "size", "h"), "sized")
+    sources = plan(sized, weights, max_epochs).select(F.col("source").alias("s"), "whole", "cut")
+    rows = own.join(_small(sources), F.col("source").eqNullSafe(F.col("s"))).select("row", copies().alias("times")).where("times > 0")
+    return rows.select("row", F.explode(F.expr("sequence(1L, times)")).alias("nth")).select("row.*")
+
 
 
 ORACLE = r"""
