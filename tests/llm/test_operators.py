@@ -348,7 +348,9 @@ def test_multiset_is_homomorphic(spark):
 # op10
 
 
-def test_base_findings_match_brute_force(docs, rows):
+def test_base_findings_match_brute_force(spark):
+    docs = table(spark, "/root/testdata/sf0.01", "documents")
+    rows = docs.collect()
     assign = re.compile(r"""([Pp][Aa][Ss][Ss][Ww][Oo][Rr][Dd]|[Pp][Aa][Ss][Ss][Ww][Dd]|[Ss][Ee][Cc][Rr][Ee][Tt]|[Tt][Oo][Kk][Ee][Nn]|[Aa][Pp][Ii]_?[Kk][Ee][Yy])["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""")
     found = by_id(secret_cnn.digest(docs))
     seen = 0
