@@ -164,10 +164,10 @@ def _(spark, d):
 
 
 def _sparse(name: str, **options) -> None:
-    @query(name, "SELECT p_partkey, CASE WHEN p_partkey <= 200 THEN CAST(v AS BIGINT) END AS value FROM part LEFT JOIN (SELECT l_partkey, count(*) AS v FROM lineitem GROUP BY 1) ON p_partkey = l_partkey WHERE p_partkey <= 400")
+    @query(name, ORACLES["indeg_supplier"])
     def _(spark, d):
-        f = once(spark, d, name, lambda: B.build_sparse_linear(pairs_of(spark, d, "indeg_part").where("l_partkey <= 200"), "l_partkey", "value", k=8, **options))
-        return lookup(table(spark, d, "part").select("p_partkey").where("p_partkey <= 400"), f, "p_partkey")
+        f = filter_of(spark, d, "indeg_supplier", "build_sparse_linear", "l_suppkey", k=16, **options)
+        return lookup(table(spark, d, "supplier").select("s_suppkey"), f, "s_suppkey")
 
 
 for _s in (2, 3, 4):
@@ -315,10 +315,10 @@ def _(spark, d):
     return R.semi_reduce(table(spark, d, "orders").select("o_orderkey"), f, "o_orderkey", verify=pairs)
 
 
-@query("semi_reduce_join", "SELECT o_orderpriority, count(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE o_orderkey % 7 = 0 GROUP BY 1")
+@query("semi_reduce_join", "SELECT o_orderpriority, count(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey WHERE o_orderpriority = '1-URGENT' GROUP BY 1")
 def _(spark, d):
-    some = table(spark, d, "orders").where("o_orderkey % 7 = 0").select(F.col("o_orderkey").alias("l_orderkey"), "o_orderpriority")
-    f = once(spark, d, "sevenths", lambda: B.build_membership(some, "l_orderkey"))
+    some = table(spark, d, "orders").where("o_orderpriority = '1-URGENT'").select(F.col("o_orderkey").alias("l_orderkey"), "o_orderpriority")
+    f = once(spark, d, "urgent", lambda: B.build_membership(some, "l_orderkey"))
     return rewrites.reduce(table(spark, d, "lineitem").select("l_orderkey"), f, "l_orderkey").join(some, "l_orderkey").groupBy("o_orderpriority").agg(F.count("*").alias("n"))
 
 
@@ -468,7 +468,7 @@ query("false_value_rate")(lambda spark, d: W.error_rates(spark, d))
 query("w3_creation")(lambda spark, d: W.creation(spark, d, trials=3, names=("indeg_part",)))
 query("w8_update_costs")(lambda spark, d: W.update_costs(spark, d))
 query("w9_c_sweep")(lambda spark, d: W.c_sweep(spark, n=1_000, trials=50))
-query("w10_sparse_sweep")(lambda spark, d: W.sparse_sweep(spark, d, sizes=(50, 100), eps=(0.1, 0.5)))
+query("w10_sparse_sweep")(lambda spark, d: W.sparse_sweep(spark, sizes=(50, 100), eps=(0.1, 0.5)))
 query("w11_bucketing")(lambda spark, d: W.bucketing(spark, d, names=("indeg_supplier", "indeg_part")))
 query("w15_hash_quality")(lambda spark, d: W.hash_quality(spark, d, seeds=3))
 query("w18_lookup_speed")(lambda spark, d: W.lookup_speed(spark, d, repeat=2))

@@ -42,8 +42,8 @@ def line_qty(spark: SparkSession, d: str) -> DataFrame:
 
 
 def label(column: str) -> Callable[[SparkSession, str], DataFrame]:
-    value = 2 * F.max("quality") + F.max("toxic") if column == "pair" else F.max(column)
-    return lambda spark, d: table(spark, d, "labels").groupBy("doc_id").agg(value.cast("long").alias("value"))
+    value = "2 * max(quality) + max(toxic)" if column == "pair" else f"max({column})"
+    return lambda spark, d: table(spark, d, "labels").groupBy("doc_id").agg(F.expr(value).cast("long").alias("value"))
 
 
 def coded(name: str, keys: list[str], column: str) -> Callable[[SparkSession, str], tuple[DataFrame, DataFrame]]:
@@ -136,12 +136,11 @@ def update_costs(spark: SparkSession, d: str) -> DataFrame:
     return _rows(spark, rows)
 
 
-def sparse_sweep(spark: SparkSession, d: str, sizes: tuple[int, ...] = (50, 100, 200), eps: tuple[float, ...] = (0.05, 0.1, 0.5)) -> DataFrame:
+def sparse_sweep(spark: SparkSession, sizes: tuple[int, ...] = (50, 100, 200), eps: tuple[float, ...] = (0.05, 0.1, 0.5)) -> DataFrame:
     """Seconds, tries and blocks of the sparse-linear filter over n, eps and s; s = 1 is the ablation."""
-    pairs, _ = written(indeg_part(spark, d), "pairs")
     rows = []
     for n in sizes:
-        some = pairs.where(F.col("l_partkey") <= n)
+        some = spark.range(1, n + 1).select(F.col("id").alias("l_partkey"), (F.col("id") * 37 % 101).alias("value"))
         for e in eps:
             for s in (1, 2, 3, 4):
                 f = build.build_sparse_linear(some, "l_partkey", "value", k=7, eps=e, s=s, allow_s1=True, max_blocks=2_000 if s == 1 else 64)
