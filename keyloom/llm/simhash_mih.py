@@ -7,6 +7,11 @@ differ in one bit only one has it set, a ball needs the segment itself and those
 12 lookups of 22 bits, and every near pair still meets. A pair is verified by its complete distance inside the join
 and is given by the first segment that finds it, so that joins give links, once each, and no candidates.
 
+``similar_groups`` takes the same steps for a similarity of shingle sets, for which 64 bits are too few: WIDE words of 64 bits, three segments
+in each. A similarity is an expected share of differing bits, to which one standard deviation is added. Pairs with fewer differing bits than twice the
+segments are found for certain, those at a similarity of 0.8 with a chance of 0.98. Here a pair is first verified by
+its first word inside the join, then by all of them.
+
 Equal fingerprints are one node, so groups of copies never make pairs. Null and empty texts have fingerprint zero and
 are linked like any other. Rows with a null id get a component by their fingerprint's other rows (null if there are none).
 """
@@ -27,28 +32,45 @@ from keyloom.llm.common import components, written
 SEGMENTS = ((0, 22), (22, 21), (43, 21))
 WORDS = 4
 RADIUS = 4
+#: Words of a wide fingerprint, and the differing bits that a pair may have in the first of them: far more than pairs of 0.8 have, far fewer than others.
+WIDE, FIRST_WORD = 8, 20
+SIMILAR_WORDS, SIMILARITY = 5, 0.8
 
 
 def fingerprint(text: str | None, words: int = WORDS) -> int:
     """The 64-bit SimHash (unsigned) of the word shingles of ``text``, repeats included; 0 if it has no word."""
+    return int(_majority(_hashes(text, words)[:, None])[0])
+
+
+def _hashes(text: str | None, words: int) -> np.ndarray:
+    """XXH64 of each shingle; a text of fewer words is one shingle."""
     found = (text or "").encode("utf-8", "surrogatepass").lower().split()
     if not found:
-        return 0
+        return np.empty(0, np.uint64)
     joined = b" ".join(found)
     ends = np.cumsum(np.fromiter(map(len, found), np.int64, len(found)) + 1) - 1
     starts = np.concatenate(([0], ends[:-1] + 1))
     last = ends[words - 1 :] if len(found) >= words else ends[-1:]
     digest = xxhash.xxh64_intdigest
-    hashes = np.fromiter((digest(joined[a:b], 42) for a, b in zip(starts.tolist(), last.tolist())), np.uint64, len(last))
-    return _majority(hashes)
+    return np.fromiter((digest(joined[a:b], 42) for a, b in zip(starts.tolist(), last.tolist())), np.uint64, len(last))
+
 
+def _majority(hashes: np.ndarray) -> np.ndarray:
+    """Words of 64 bits, set where over half of the rows (one column for each word) have them set."""
+    n, width = hashes.shape
+    total = np.zeros(64 * width, np.int64)
+    for at in range(0, n, 255 * 16):
+        bits = np.unpackbits(np.ascontiguousarray(hashes[at : at + 255 * 16], "<u8").view(np.uint8).reshape(-1, 8 * width), axis=1, bitorder="little")
+        total += np.add.reduceat(bits, np.arange(0, len(bits), 255), axis=0, dtype=np.uint8).sum(axis=0, dtype=np.int64)
+    return np.packbits((2 * total > n).astype(np.uint8), bitorder="little").view("<u8")
 
-def _majority(hashes: np.ndarray) -> int:
-    total = np.zeros(64, np.int64)
-    for at in range(0, len(hashes), 1 << 16):
-        part = hashes[at : at + (1 << 16)].astype("<u8").view(np.uint8).reshape(-1, 8)
-        total += np.unpackbits(part, axis=1, bitorder="little").sum(axis=0, dtype=np.int64)
-    return int(np.packbits((2 * total > len(hashes)).astype(np.uint8), bitorder="little").view("<u8")[0])
+
+def wide_fingerprint(text: str | None, words: int = SIMILAR_WORDS) -> np.ndarray:
+    """WIDE words of 64 bits; each mixes the shingles' hashes in its own way."""
+    h = _hashes(text, words)[:, None] + np.arange(1, WIDE + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return _majority(h ^ (h >> np.uint64(31)))
 
 
 def with_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS) -> DataFrame:
@@ -104,12 +126,51 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     return prints.join(classes, F.col("fp") == F.col("of_fp")).select("doc_id", "fp", "component_id")
 
 
-def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, radius: int = RADIUS) -> DataFrame:
-    """The rows of ``docs``, all columns, one of each group: that of the smallest id.
+def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SIMILAR_WORDS, similarity: float = SIMILARITY) -> DataFrame:
+    """(doc_id, component_id) of rows with an id: groups of texts whose sets of shingles are that similar, by wide fingerprints."""
+    names = [f"f{k}" for k in range(WIDE)]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            prints = np.array([wide_fingerprint(t.as_py(), words) for t in batch.column(1)], np.uint64).reshape(-1, WIDE).view(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c) for c in prints.T)], names=["doc_id", *names])
+
+    rows = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    prints, _ = written(rows.mapInArrow(run, "doc_id long, " + ", ".join(f"{n} long" for n in names)), "wide")
+    nodes, _ = written(prints.groupBy(*names).agg(F.min("doc_id").alias("node")), "nodes")
+    keys = F.array(*[_key(j, _segment(F.col(names[j // 3]), j % 3)) for j in range(3 * WIDE)])
+    tables = nodes.select("node", "f0", F.explode(keys).alias("key"))
+    key, bits = F.col("key"), [1 << i for i in range(22)]
+    cleared = [F.struct(F.when(key.bitwiseAND(F.lit(b)) != 0, key.bitwiseAND(F.lit(~b))).alias("key"), F.lit(False).alias("same")) for b in bits]
+    lookups = tables.select("node", "f0", F.explode(F.array(F.struct(key.alias("key"), F.lit(True).alias("same")), *cleared)).alias("x")).select(F.col("node").alias("a"), F.col("f0").alias("fa"), "x.key", "x.same").where("key is not null")
+    meets = (F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= FIRST_WORD) & (~F.col("same") | (F.col("a") < F.col("b")))
+    found = lookups.join(tables.select(F.col("node").alias("b"), F.col("f0").alias("fb"), F.col("key").alias("k")), (F.col("key") == F.col("k")) & meets)
+    pairs = found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    side = lambda x: nodes.select(F.col("node").alias(f"n{x}"), *[F.col(n).alias(f"{x}{n}") for n in names])
+    both = pairs.join(side("x"), F.col("a") == F.col("nx")).join(side("y"), F.col("b") == F.col("ny"))
+    apart = sum((F.bit_count(F.col(f"x{n}").bitwiseXOR(F.col(f"y{n}"))) for n in names), F.lit(0))
+    roots = components(both.where(apart <= allowed_bits(similarity)).select("a", "b")).withColumnsRenamed({"node": "of_node"})
+    placed = nodes.join(roots, F.col("node") == F.col("of_node"), "left").select("node", *names, F.coalesce("root", "node").alias("root"))
+    least = placed.groupBy("root").agg(F.min("node").alias("component_id")).withColumnRenamed("root", "of")
+    classes, _ = written(placed.join(least, F.col("root") == F.col("of")).select("component_id", *[F.col(n).alias(f"c{n}") for n in names]), "classes")
+    same = F.lit(True)
+    for n in names:
+        same = same & (F.col(n) == F.col(f"c{n}"))
+    return prints.join(classes, same).select("doc_id", "component_id")
+
+
+def allowed_bits(similarity: float) -> int:
+    """Differing bits of wide fingerprints that a Jaccard similarity of sets of like size allows: the expected ones and one standard deviation."""
+    share = np.arccos(2 * similarity / (1 + similarity)) / np.pi
+    return int(64 * WIDE * share + np.sqrt(64 * WIDE * share * (1 - share)))
+
+
+def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SIMILAR_WORDS, similarity: float = SIMILARITY) -> DataFrame:
+    """The rows of ``docs``, all columns, one of each group of similar texts: that of the smallest id.
 
     Of rows that share that id, the first by the text's MD5 stays. Rows with a null id stay as they are.
     """
-    groups = near_duplicates(docs, id_col, text_col, words, radius)
+    groups = similar_groups(docs, id_col, text_col, words, similarity)
     kept = groups.where("doc_id = component_id").select(F.col("doc_id").alias("kept_id")).distinct()
     rows = docs.select(F.col(id_col).cast("long").alias("id"), F.md5(F.col(text_col).cast("string").cast("binary")).alias("h"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
     first = F.row_number().over(Window.partitionBy("kept_id").orderBy(F.asc_nulls_first("h")))

@@ -263,8 +263,34 @@ def test_every_near_pair_is_found(spark):
         assert len(found) == len(set(found)) and set(found) == expected
 
 
-def test_one_of_each_group_stays(docs, rows):
-    groups = by_id(simhash_mih.digest(docs))
+def shingles(text, n=5):
+    words = text.lower().split()
+    return {" ".join(words[i : i + n]) for i in range(max(1, len(words) - n + 1))}
+
+
+def test_similar_groups_against_jaccard(spark, docs, rows):
+    g = np.random.default_rng(8)
+    planted = []
+    for r in rows[:60]:
+        words = r["text"].split()
+        for k in range(2):
+            changed = list(words)
+            for at in g.choice(len(words), max(1, len(words) // 120), replace=False):
+                changed[at] = f"new{k}{at}"
+            planted.append((10_000 + len(planted), " ".join(changed)))
+    both = docs.select("doc_id", "text").unionByName(spark.createDataFrame(planted, "doc_id long, text string"))
+    text = {r["doc_id"]: r["text"] for r in both.collect()}
+    group = {r["doc_id"]: r["component_id"] for r in simhash_mih.similar_groups(both).collect()}
+    sets = {i: shingles(t) for i, t in text.items()}
+    near = [(a, b, len(sets[a] & sets[b]) / len(sets[a] | sets[b])) for a in sets for b in sets if a < b and sets[a] & sets[b]]
+    found = [group[a] == group[b] for a, b, j in near if j >= 0.85]
+    assert len(found) > 50 and np.mean(found) > 0.98
+    alone = [i for i in text if not any(j >= 0.5 for a, b, j in near if i in (a, b))]
+    assert alone and all(group[i] == i for i in alone)
+
+
+def test_one_of_each_group_stays(docs):
+    groups = by_id(simhash_mih.similar_groups(docs))
     kept = [r["doc_id"] for r in simhash_mih.keep_one(docs).collect()]
     assert sorted(kept) == sorted({r["component_id"] for r in groups.values()})
 
