@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 
 from keyloom.functions.hashing import np_derived, np_xxhash64
 from keyloom.operators.lookup import Filter, np_evaluate
-from keyloom.plans.params import Spec, acyclic_probability, modulus_for
+from keyloom.plans.params import acyclic_probability, modulus_for
 
 #: A filter that a function closes over may have so many bytes.
 FUNCTION_BYTES = 64 << 20
@@ -65,12 +65,13 @@ def register_slots(spark: SparkSession, name: str, filter: Filter) -> None:
 
 
 def components_sql(edges: str) -> str:
-    """SQL that both Spark and DuckDB run: the least slot that each slot of a small edge view (u, v) reaches."""
-    return f"""
-WITH RECURSIVE sym(a, b) AS (SELECT u, v FROM {edges} UNION SELECT v, u FROM {edges}),
-reach(a, b) AS (SELECT a, a FROM sym UNION SELECT r.a, s.b FROM reach r JOIN sym s ON r.b = s.a)
-SELECT a AS slot, min(b) AS component FROM reach GROUP BY a"""
-
+    """SQL that both Spark and DuckDB run: the least slot of each slot's tree, for a small edge view (u, v) that is a forest.
 
-def spec_of(filter: Filter) -> Spec:
-    return filter.spec
+    Walks never turn back, so in a forest they end; Spark's recursion has no UNION that would stop them elsewhere.
+    """
+    return f"""
+WITH RECURSIVE sym(a, b) AS (SELECT u, v FROM {edges} UNION ALL SELECT v, u FROM {edges}),
+walk(a, place, before) AS (
+  SELECT DISTINCT a, a, CAST(-1 AS BIGINT) FROM sym
+  UNION ALL SELECT w.a, s.b, w.place FROM walk w JOIN sym s ON w.place = s.a WHERE s.b <> w.before)
+SELECT a AS slot, min(place) AS component FROM walk GROUP BY a"""

@@ -105,6 +105,16 @@ def _matched(spec: Spec, shard: int, d0, d1, value) -> dict:
             return {"n_slots": slots, "seed": seed, "attempts": attempt, "g": g, "h": h}
 
 
+def _peeled(spec: Spec, shard: int, d0, d1, value) -> dict:
+    slots = max(3 * spec.r, math.ceil(spec.c * len(d0)) + 8)
+    for attempt, seed in _attempts(spec, shard, len(d0), slots):
+        at = K.positions(d0, d1, seed, slots, spec.r)
+        peeled = K.peel(at, slots)
+        if peeled.done:
+            rhs = (value - K.masks(d0, d1, seed, spec.modulus)) % spec.modulus
+            return {"n_slots": slots, "seed": seed, "attempts": attempt, "g": K.solve_peeled(peeled, at, rhs, slots, spec.modulus)}
+
+
 def sparse_row(d0, d1, seed: int, block: int, s: int, q: int, p: int) -> tuple[np.ndarray, np.ndarray]:
     """Positions and coefficients of each key in one block; shape (s, n)."""
     roles = [CHOICE + 2 * (block * s + t) for t in range(s)]
@@ -196,7 +206,7 @@ def membership_bits(d0, d1, seed: int, n_bits: int, hashes: int):
         yield (first + j * step) % n_bits
 
 
-KERNELS: dict[str, Callable] = {"acyclic": _acyclic, "af_raw": _acyclic, "mutable": _acyclic, "matched": _matched, "sparse": _sparse, "xor": _xor, "dict": _dict, "membership": _membership, "dict_membership": _dict}
+KERNELS: dict[str, Callable] = {"acyclic": _acyclic, "af_raw": _acyclic, "mutable": _acyclic, "matched": _matched, "peeled": _peeled, "sparse": _sparse, "xor": _xor, "dict": _dict, "membership": _membership, "dict_membership": _dict}
 
 
 # --- builders ----------------------------------------------------------------------------------------------------------
@@ -211,6 +221,24 @@ def build_acyclic(df: DataFrame, key, value: str, *, k: int = 1, modulus: int |
     return _build(df, key, value, Spec("acyclic", k=k, modulus=modulus_for(k, modulus, error), c=c, distinct=endpoints == "distinct", family=family, shards=shards_for(n, shards), max_attempts=max_attempts, seed=seed), n)
 
 
+def build_peeled(df: DataFrame, key, value: str, *, k: int = 1, modulus: int | None = None, error: float = 2.0**-32, endpoints_per_key: int = 3, c: float = 1.25, shards: int | str = "auto", max_attempts: int = 128, seed: int = 42) -> Filter:
+    """An acyclic filter with three slots for each key, in ranges of their own: peeling a random hypergraph needs about 1.23 slots a key, where a graph needs over 2.
+
+    Later public knowledge answers the question of linear building below two slots a key that way.
+    """
+    if endpoints_per_key < 3 or c < 1.2:
+        raise ValueError("three slots or more for each key, and 1.2 slots a key")
+    n = df.count()
+    return _build(df, key, value, Spec("peeled", k=k, modulus=modulus_for(k, modulus, min(error, 2.0**-2)), c=c, r=endpoints_per_key, shards=shards_for(n, shards), max_attempts=max_attempts, seed=seed), n)
+
+
+def plan_shards(df: DataFrame, key, approx: bool = False, per_shard: int = 1 << 16) -> int:
+    """Shards for a set that isn't counted yet; ``approx`` estimates the distinct keys (for planning only: builds count exactly)."""
+    names = key_columns(key)
+    n = df.agg(F.approx_count_distinct(F.struct(*names))).first()[0] if approx else df.select(*names).distinct().count()
+    return shards_for(n, "auto", per_shard)
+
+
 def build_bitmap_map(df: DataFrame, key, value: str, *, k: int = 1, c: float = 2.5, seed: int = 42, shards: int | str = "auto") -> Filter:
     """The same without masks: exact on keys, some value for any other key."""
     check_c(c)
@@ -290,6 +318,13 @@ def build_bucketed_sparse(df: DataFrame, key, value: str, *, k: int, eps: float
     return _build(df, key, value, Spec("sparse", k=k, eps=eps, s=s, p_bits=p_bits, shards=buckets, seed=chosen, max_blocks=max_blocks, field=field), n)
 
 
+def bucketed(builder: Callable, df: DataFrame, key, value: str, *, bucket_c: float = 2.0, **options) -> Filter:
+    """Any builder over n/(c log n) buckets: each is built by itself, and a lookup evaluates one more hash."""
+    if builder is build_sparse_linear:
+        return build_bucketed_sparse(df, key, value, bucket_c=bucket_c, **options)
+    return builder(df, key, value, shards=bucket_count(df.count(), bucket_c), **options)
+
+
 def build_xor_sparse(df: DataFrame, key, value: str, *, k: int, error: float = 2.0**-20, eps: float = 0.25, s: int = 3, seed: int = 42, per_bucket: int = 256) -> Filter:
     """s positions over GF(2), combined by exclusive or: the later, simpler relative."""
     n = df.count()

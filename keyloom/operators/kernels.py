@@ -144,6 +144,15 @@ def fill_two_tables(peeled: Peeling, slots: np.ndarray, value: np.ndarray, mask:
     return choice, content
 
 
+def solve_peeled(peeled: Peeling, slots: np.ndarray, rhs: np.ndarray, n_slots: int, modulus: int) -> np.ndarray:
+    """Slots so that each key's r of them add up to its rhs: back through the rounds, each key settles the slot that was its own."""
+    g = np.zeros(n_slots, np.int64)
+    for keys, own in reversed(peeled.rounds):
+        rest = g[slots[:, keys]].sum(axis=0) - g[own]
+        g[own] = (rhs[keys] - rest) % modulus
+    return g
+
+
 class Echelon:
     """Reduced rows over a prime field below 2^31, with a right-hand side as the last column; rows are added one by one."""
 

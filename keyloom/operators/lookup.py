@@ -89,6 +89,13 @@ def evaluate(spec: Spec, blocks: int = 1) -> Column:
         if spec.kind == "af_raw":
             return F.pmod(g(u) + g(v), m)
         return in_range(F.pmod(g(u) + g(v) + F.pmod(hash_of(MASK), m), m))
+    if spec.kind == "peeled":
+        ends = [F.floor(n * j / spec.r) if j else F.lit(0).cast("long") for j in range(spec.r + 1)]
+        m = F.lit(spec.modulus).cast("long")
+        x = F.pmod(hash_of(MASK), m)
+        for j in range(spec.r):
+            x = F.pmod(x + g(ends[j] + F.pmod(hash_of(CHOICE + j), ends[j + 1] - ends[j])), m)
+        return in_range(x)
     if spec.kind == "matched":
         ends = [F.floor(n * j / spec.r) if j else F.lit(0).cast("long") for j in range(spec.r + 1)]
         at = [ends[j] + F.pmod(hash_of(CHOICE + j), ends[j + 1] - ends[j]) for j in range(spec.r)]
@@ -147,6 +154,12 @@ def np_evaluate(spec: Spec, row: dict, d0: np.ndarray, d1: np.ndarray) -> np.nda
         v = (u + 1 + of(SECOND) % (n - 1)) % n if spec.distinct else of(SECOND) % n
         x = (g[u] + g[v] + (0 if spec.kind == "af_raw" else of(MASK) % spec.modulus)) % spec.modulus
         return np.where(x < limit, x, -1)
+    if spec.kind == "peeled":
+        ends = [n * j // spec.r for j in range(spec.r + 1)]
+        x = of(MASK) % spec.modulus
+        for j in range(spec.r):
+            x = (x + g[ends[j] + of(CHOICE + j) % (ends[j + 1] - ends[j])]) % spec.modulus
+        return np.where(x < limit, x, -1)
     if spec.kind == "matched":
         ends = [n * j // spec.r for j in range(spec.r + 1)]
         at = np.stack([ends[j] + of(CHOICE + j) % (ends[j + 1] - ends[j]) for j in range(spec.r)])

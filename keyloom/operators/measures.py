@@ -19,7 +19,7 @@ from keyloom.plans.params import Spec, acyclic_probability, bucket_tail
 
 def slot_bits(spec: Spec) -> int:
     """Bits of one slot, all tables together; for sparse filters the width of the largest prime."""
-    if spec.kind in ("acyclic", "mutable", "af_raw", "xor"):
+    if spec.kind in ("acyclic", "mutable", "af_raw", "xor", "peeled"):
         return width_of(spec.modulus)
     if spec.kind == "matched":
         return spec.q_bits + spec.k
@@ -43,7 +43,7 @@ def size_bits(filter: Filter) -> dict[str, float]:
 
 def predicted_bits(spec: Spec, n: int) -> float:
     """The space that formulas give."""
-    if spec.kind in ("acyclic", "mutable", "af_raw"):
+    if spec.kind in ("acyclic", "mutable", "af_raw", "peeled"):
         return math.ceil(spec.c * n) * width_of(spec.modulus)
     if spec.kind == "matched":
         return spec.c * n * (spec.q_bits + spec.k)
@@ -58,7 +58,7 @@ def predicted_bits(spec: Spec, n: int) -> float:
 
 def lookup_cost(spec: Spec) -> dict[str, int]:
     """Hash evaluations and table reads of one lookup (of one tried block for sparse filters); one more hash if the set is sharded."""
-    hashes, reads = {"acyclic": (3, 2), "mutable": (3, 2), "af_raw": (2, 2), "matched": (spec.r + 1, spec.r + 1), "sparse": (1 + 2 * spec.s, spec.s), "xor": (spec.s + 1, spec.s), "dict": (1, 1), "membership": (spec.hashes, spec.hashes), "dict_membership": (spec.hashes + 1, spec.hashes + 1)}[spec.kind]
+    hashes, reads = {"acyclic": (3, 2), "mutable": (3, 2), "af_raw": (2, 2), "matched": (spec.r + 1, spec.r + 1), "peeled": (spec.r + 1, spec.r), "sparse": (1 + 2 * spec.s, spec.s), "xor": (spec.s + 1, spec.s), "dict": (1, 1), "membership": (spec.hashes, spec.hashes), "dict_membership": (spec.hashes + 1, spec.hashes + 1)}[spec.kind]
     return {"hashes": hashes + (spec.shards > 1), "reads": reads}
 
 

@@ -57,6 +57,23 @@ def top_k(df: DataFrame, by: str, k: int, *ties: str) -> DataFrame:
     return df.orderBy(F.desc(by), *ties).limit(k)
 
 
+def ranked(df: DataFrame, by: str, *partition: str, tiles: int = 4) -> DataFrame:
+    """``df`` with row_number, rank, dense_rank, percent_rank and a tile of ``by``, falling, within each partition."""
+    w = Window.partitionBy(*partition).orderBy(F.desc(by))
+    return df.withColumns({"nth": F.row_number().over(w), "rank": F.rank().over(w), "dense": F.dense_rank().over(w), "percent": F.percent_rank().over(w), "tile": F.ntile(tiles).over(w)})
+
+
+def moving_mean(df: DataFrame, value: str, order: str, *partition: str, back: int = 4) -> DataFrame:
+    """A mean over each row and some before it, and the change from the row before."""
+    w = Window.partitionBy(*partition).orderBy(order)
+    return df.withColumns({"mean": F.avg(value).over(w.rowsBetween(-back, 0)), "change": F.col(value) - F.lag(value).over(w)})
+
+
+def sample_by(df: DataFrame, column: str, shares: dict, seed: int = 42) -> DataFrame:
+    """A seeded sample with a share for each value of a column."""
+    return df.sampleBy(column, shares, seed)
+
+
 def key_difference(a: DataFrame, b: DataFrame, all_rows: bool = False) -> tuple[DataFrame, DataFrame]:
     """What a has and b hasn't, and what both have."""
     return (a.exceptAll(b), a.intersectAll(b)) if all_rows else (a.subtract(b), a.intersect(b))

@@ -39,7 +39,7 @@ class Spec:
     @property
     def error(self) -> float:
         """The bound on the share of absent keys that get a value."""
-        if self.kind in ("acyclic", "mutable", "xor"):
+        if self.kind in ("acyclic", "mutable", "xor", "peeled"):
             return 2.0**self.k / self.modulus
         if self.kind == "matched":
             return self.r / 2.0**self.q_bits

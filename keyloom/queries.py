@@ -137,6 +137,7 @@ _variant("baf", "build_acyclic", k=5, shards=16)
 _variant("bslf", "build_bucketed_sparse", k=5)
 _variant("mtf_r2", "build_matched", k=5)
 _variant("mtf_r3", "build_matched", k=5, r=3, slots_factor=2.5)
+_variant("af_three_slots", "build_peeled", k=5)
 _variant("hash_dict", "build_hash_dict")
 _variant("low_collision_dict", "build_low_collision_dict")
 _variant("dict_membership", "build_dict_with_membership")
@@ -335,6 +336,12 @@ def _(spark, d):
     return R.top_k(pairs_of(spark, d, "indeg_part"), "value", 20, "l_partkey")
 
 
+@query("ranked_indegree", "SELECT l_suppkey, value, row_number() OVER w AS nth, rank() OVER w AS rank, ntile(4) OVER w AS tile FROM (SELECT l_suppkey, count(*) * 100000 + l_suppkey AS value FROM lineitem GROUP BY 1) WINDOW w AS (ORDER BY value DESC)")
+def _(spark, d):
+    rows = pairs_of(spark, d, "indeg_supplier").select("l_suppkey", (F.col("value") * 100_000 + F.col("l_suppkey")).alias("value"), F.lit(0).alias("all"))
+    return R.ranked(rows, "value", "all").select("l_suppkey", "value", "nth", "rank", "tile")
+
+
 @query("setops_absent", "SELECT o_orderkey FROM orders EXCEPT SELECT l_orderkey FROM lineitem")
 def _(spark, d):
     return R.key_difference(table(spark, d, "orders").select("o_orderkey"), table(spark, d, "lineitem").select("l_orderkey"))[0]

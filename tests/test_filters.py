@@ -36,6 +36,7 @@ BUILDERS = {
     "mutable": lambda p, **o: B.build_mutable(p, "l_orderkey", "value", k=5, **o),
     "matched2": lambda p, **o: B.build_matched(p, "l_orderkey", "value", k=5, **o),
     "matched3": lambda p, **o: B.build_matched(p, "l_orderkey", "value", k=5, r=3, slots_factor=1.5, **o),
+    "peeled": lambda p, **o: B.build_peeled(p, "l_orderkey", "value", k=5, **o),
     "xor": lambda p, **o: B.build_xor_sparse(p, "l_orderkey", "value", k=5, **o),
     "bslf": lambda p: B.build_bucketed_sparse(p, "l_orderkey", "value", k=5),
     "dict": lambda p: B.build_hash_dict(p, "l_orderkey", "value"),
@@ -50,7 +51,7 @@ def test_members_are_exact(name, orders):
     assert M.member_mismatches(orders, BUILDERS[name](orders), "l_orderkey", "value") == 0
 
 
-@pytest.mark.parametrize("name", ["acyclic", "matched2", "xor"])
+@pytest.mark.parametrize("name", ["acyclic", "matched2", "xor", "peeled"])
 @pytest.mark.parametrize("bits", [2, 5])
 def test_error_on_absent_keys(name, bits, orders, absent):
     found = M.false_value_rate(BUILDERS[name](orders, error=2.0**-bits), absent, "l_orderkey")
@@ -69,7 +70,7 @@ def test_membership(orders, absent):
 
 
 @pytest.mark.parametrize("n", [0, 1, 2])
-@pytest.mark.parametrize("name", ["acyclic", "mutable", "matched2", "dict", "bslf", "xor"])
+@pytest.mark.parametrize("name", ["acyclic", "mutable", "matched2", "dict", "bslf", "xor", "peeled"])
 def test_few_keys(name, n, spark):
     p = spark.range(n).select(F.col("id").alias("l_orderkey"), (F.col("id") + 3).alias("value"))
     f = BUILDERS[name](p)
@@ -274,3 +275,34 @@ def test_registered_queries_have_stable_columns(spark, small):
     for name in ("indeg_order", "md5_edges", "space_table"):
         assert Q.queries()[name](spark, small).columns
     assert isinstance(BuildError("x"), ValueError)
+
+
+def test_last_values_in_state(spark, small, tmp_path):
+    old = spark.conf.get("spark.sql.streaming.stateStore.providerClass")
+    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
+    try:
+        path = f"{small}/events.parquet"
+        got = S.run_once(S.latest_value(S.events_stream(spark, path), "user_id", "value"), "last_values", f"{tmp_path}/c", "update")
+        truth = spark.read.parquet(path).groupBy("user_id").agg(F.max_by("value", "ts").alias("value"))
+        assert got.select("user_id", "value").exceptAll(truth).isEmpty() and got.count() == truth.count()
+    finally:
+        spark.conf.set("spark.sql.streaming.stateStore.providerClass", old)
+
+
+def test_bucketed_builders(orders):
+    for builder in (B.build_acyclic, B.build_matched, B.build_sparse_linear):
+        f = B.bucketed(builder, orders, "l_orderkey", "value", k=5, bucket_c=8.0)
+        assert f.spec.shards > 10 and M.member_mismatches(orders, f, "l_orderkey", "value") == 0
+
+
+def test_windows_samples_and_plans(spark, orders):
+    rows = spark.createDataFrame([("a", 1), ("a", 2), ("a", 2), ("b", 5)], "k string, v int")
+    assert sorted(r["rank"] for r in R.ranked(rows, "v", "k").where("k = 'a'").collect()) == [1, 1, 3]
+    assert [r["change"] for r in R.moving_mean(rows.where("k = 'a'"), "v", "v", "k").orderBy("v").collect()] == [None, 1, 0]
+    assert R.sample_by(rows, "k", {"b": 1.0}).count() == 1
+    assert B.plan_shards(orders, "l_orderkey", per_shard=500) == 3 and 2 <= B.plan_shards(orders, "l_orderkey", approx=True, per_shard=500) <= 4
+
+
+def test_components_by_recursion(spark):
+    spark.createDataFrame([(1, 2), (2, 3), (7, 8)], "u long, v long").createOrReplaceTempView("few_edges")
+    assert {r["slot"]: r["component"] for r in spark.sql(sqlapi.components_sql("few_edges")).collect()} == {1: 1, 2: 1, 3: 1, 7: 7, 8: 7}
