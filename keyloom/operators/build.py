@@ -99,7 +99,7 @@ def _matched(spec: Spec, shard: int, d0, d1, value) -> dict:
     slots = max(2 * spec.r, math.ceil(spec.c * len(d0)))
     for attempt, seed in _attempts(spec, shard, len(d0), slots):
         at = K.positions(d0, d1, seed, slots, spec.r)
-        peeled = K.peel(at, slots)
+        peeled = (K.peel if spec.matching == "peel" else K.match_by_sorting)(at, slots)
         if peeled.done:
             g, h = K.fill_two_tables(peeled, at, value, K.masks(d0, d1, seed, 1 << spec.q_bits), slots)
             return {"n_slots": slots, "seed": seed, "attempts": attempt, "g": g, "h": h}
@@ -256,13 +256,18 @@ def build_mutable(df: DataFrame, key, value: str, *, k: int = 1, modulus: int |
     return _build(df, key, value, Spec("mutable", k=k, modulus=modulus_for(k, modulus, error), c=c, shards=parts, component_cap=cap, seed=seed, max_attempts=256), n)
 
 
-def build_matched(df: DataFrame, key, value: str, *, k: int = 1, error: float = 2.0**-32, r: int = 2, slots_factor: float = 2.5, seed: int = 42, shards: int | str = "auto") -> Filter:
-    """The measured competitor, reconstructed from its outline: one table tells which of r slots is a key's own, a second holds the value there."""
+def build_matched(df: DataFrame, key, value: str, *, k: int = 1, error: float = 2.0**-32, r: int = 2, slots_factor: float = 2.5, matching: str = "sorted", seed: int = 42, shards: int | str = "auto") -> Filter:
+    """The measured competitor, reconstructed from its outline: one table tells which of r slots is a key's own, a second holds the value there.
+
+    matching: ``sorted`` finds it in rounds over all keys left, in n log n time as the outline says; ``peel`` is this engine's own linear way.
+    """
+    if matching not in ("sorted", "peel"):
+        raise ValueError(matching)
     if r < 2:
         raise ValueError("with one position for each key, two keys collide almost surely")
     check_k(k)
     n = df.count()
-    return _build(df, key, value, Spec("matched", k=k, c=slots_factor, r=r, q_bits=math.ceil(math.log2(r / error)), shards=shards_for(n, shards), seed=seed), n)
+    return _build(df, key, value, Spec("matched", k=k, c=slots_factor, r=r, matching=matching, q_bits=math.ceil(math.log2(r / error)), shards=shards_for(n, shards), seed=seed), n)
 
 
 def _check_sparse(k: int, eps: float, s: int, p_bits: int, allow_s1: bool) -> None:

@@ -58,28 +58,52 @@ def peel(slots: np.ndarray, n_slots: int) -> Peeling:
     for row in slots:
         degree += np.bincount(row, minlength=n_slots)
         np.bitwise_xor.at(key_at, row, ids)
-    rounds, left = [], n
+    rounds, left, scratch = [], n, np.zeros(n, np.int64)
     leaves = np.nonzero(degree == 1)[0]
     while len(leaves):
-        keys, at = np.unique(key_at[leaves], return_index=True)
-        rounds.append((keys, leaves[at]))
+        at = _one_each(key_at[leaves], scratch)
+        leaves = leaves[at]
+        keys = key_at[leaves]
+        rounds.append((keys, leaves))
         left -= len(keys)
         touched = slots[:, keys]
         for row in touched:
             np.subtract.at(degree, row, 1)
             np.bitwise_xor.at(key_at, row, keys)
-        after = np.unique(touched)
+        after = touched.ravel()
         leaves = after[degree[after] == 1]
     return Peeling(rounds, left == 0)
 
 
+def _one_each(keys: np.ndarray, scratch: np.ndarray) -> np.ndarray:
+    """Places of the last of each of some small numbers: what is written last stays."""
+    places = np.arange(len(keys))
+    scratch[keys] = places
+    return scratch[keys] == places
+
+
+def match_by_sorting(slots: np.ndarray, n_slots: int) -> Peeling:
+    """What ``peel`` gives, by a matching in rounds: each sorts the slots of all keys that are left and takes those keys that have one to themselves."""
+    r, n = slots.shape
+    left, rounds, scratch = np.arange(n), [], np.zeros(n, np.int64)
+    while len(left):
+        flat = slots[:, left].ravel()
+        order = np.argsort(flat, kind="stable")
+        ranked = flat[order]
+        differs = np.concatenate(([True], ranked[1:] != ranked[:-1], [True]))
+        alone = order[differs[:-1] & differs[1:]]
+        if not len(alone):
+            return Peeling(rounds, False)
+        alone = alone[_one_each(alone % len(left), scratch)]
+        rounds.append((left[alone % len(left)], flat[alone]))
+        left = np.delete(left, alone % len(left))
+    return Peeling(rounds, True)
+
+
 def is_forest(u: np.ndarray, v: np.ndarray, n_slots: int) -> Peeling | None:
-    """The peeling of a graph without loops, repeated edges and cycles; None for any other."""
+    """The peeling of a graph without loops, repeated edges and cycles; None for any other. Peeling stops at a repeated edge as at any cycle."""
     if (u == v).any():
         return None
-    low, high = np.minimum(u, v), np.maximum(u, v)
-    if len(np.unique(low * n_slots + high)) < len(u):
-        return None
     peeled = peel(np.stack((u, v)), n_slots)
     return peeled if peeled.done else None
 
@@ -100,8 +124,8 @@ def solve_forest(peeled: Peeling, u: np.ndarray, v: np.ndarray, rhs: np.ndarray,
         other = u[keys] ^ v[keys] ^ leaf
         g[leaf] = (rhs[keys] - g[other]) % modulus
         root[leaf], odd[leaf] = root[other], ~odd[other]
-    least = np.full(n_slots, n_slots)
-    np.minimum.at(least, root, np.arange(n_slots))
+    least, falling = np.zeros(n_slots, np.int64), np.arange(n_slots - 1, -1, -1)
+    least[root[::-1]] = falling  # what is written last stays: the least slot of each root
     first = least[root]
     move = g[first]
     g = np.where(odd == odd[first], g - move, g + move) % modulus

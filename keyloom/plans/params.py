@@ -25,6 +25,7 @@ class Spec:
     max_attempts: int = 64
     component_cap: int = 0
     r: int = 2
+    matching: str = "sorted"
     q_bits: int = 32
     eps: float = 0.1
     s: int = 3

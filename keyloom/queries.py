@@ -136,6 +136,7 @@ _variant("af_c209", "build_acyclic", k=5, c=2.09, shards=8)
 _variant("baf", "build_acyclic", k=5, shards=16)
 _variant("bslf", "build_bucketed_sparse", k=5)
 _variant("mtf_r2", "build_matched", k=5)
+_variant("mtf_peel", "build_matched", k=5, matching="peel")
 _variant("mtf_r3", "build_matched", k=5, r=3, slots_factor=2.5)
 _variant("af_three_slots", "build_peeled", k=5)
 _variant("hash_dict", "build_hash_dict")

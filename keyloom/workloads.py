@@ -80,6 +80,7 @@ def creation(spark: SparkSession, d: str, trials: int = 45, c: float = 2.5, erro
             "acyclic": lambda s: build.build_acyclic(pairs, key, "value", k=6, error=error, c=c, seed=s),
             "acyclic_independent": lambda s: build.build_acyclic(pairs, key, "value", k=6, error=error, c=c, endpoints="independent", seed=s),
             "matched": lambda s: build.build_matched(pairs, key, "value", k=6, error=error, slots_factor=c, seed=s),
+            "matched_peel": lambda s: build.build_matched(pairs, key, "value", k=6, error=error, slots_factor=c, matching="peel", seed=s),
         }
         found = {m: measures.measure_build(f, trials) for m, f in make.items()}
         for m, stats in found.items():

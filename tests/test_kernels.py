@@ -103,13 +103,22 @@ def test_acyclic_rate_near_formula(c, distinct):
     assert found["mean_max_component"] <= found["max_component"] <= params.component_bound(2_000, c)
 
 
+@pytest.mark.parametrize("r", [2, 3])
+def test_both_matchings_end_alike(r):
+    keys = np.arange(400)
+    for seed in range(20):
+        at = K.positions(keys, keys, seed, 1000, r)
+        a, b = K.peel(at, 1000), K.match_by_sorting(at, 1000)
+        assert a.done == b.done and [sorted(x.tolist()) for x, _ in a.rounds] == [sorted(x.tolist()) for x, _ in b.rounds]
+
+
 @pytest.mark.parametrize("r", [2, 3])
 def test_two_tables(r):
     keys = np.arange(500)
     value = keys % 31
     for seed in range(64):
         at = K.positions(keys, keys, seed, 1250, r)
-        if (peeled := K.peel(at, 1250)).done:
+        if (peeled := K.match_by_sorting(at, 1250)).done:
             break
     mask = K.masks(keys, keys, seed, 1 << 20)
     choice, content = K.fill_two_tables(peeled, at, value, mask, 1250)
