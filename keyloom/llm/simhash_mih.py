@@ -10,7 +10,9 @@ and is given by the first segment that finds it, so that joins give links, once
 ``similar_groups`` takes the same steps for a similarity of shingle sets, for which 64 bits are too few: WIDE words of 64 bits, three segments
 in each. A similarity is an expected share of differing bits, to which one standard deviation is added. Pairs with fewer differing bits than twice the
 segments are found for certain, those at a similarity of 0.8 with a chance of 0.98. Here a pair is first verified by
-its first word inside the join, then by all of them.
+its first word inside the join, then by all of them. A group of thousands of near copies must not make all of its pairs, so every table's
+equal segments are first linked to two of their number only; lookups then meet what isn't in the same group yet. The groups that result
+are those of all links.
 
 Equal fingerprints are one node, so groups of copies never make pairs. Null and empty texts have fingerprint zero and
 are linked like any other. Rows with a null id get a component by their fingerprint's other rows (null if there are none).
@@ -33,7 +35,7 @@ SEGMENTS = ((0, 22), (22, 21), (43, 21))
 WORDS = 4
 RADIUS = 4
 #: Words of a wide fingerprint, and the differing bits that a pair may have in the first of them: far more than pairs of 0.8 have, far fewer than others.
-WIDE, FIRST_WORD = 8, 20
+WIDE, FIRST_WORD = 8, 18
 SIMILAR_WORDS, SIMILARITY = 5, 0.8
 
 
@@ -139,17 +141,32 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     prints, _ = written(rows.mapInArrow(run, "doc_id long, " + ", ".join(f"{n} long" for n in names)), "wide")
     nodes, _ = written(prints.groupBy(*names).agg(F.min("doc_id").alias("node")), "nodes")
     keys = F.array(*[_key(j, _segment(F.col(names[j // 3]), j % 3)) for j in range(3 * WIDE)])
-    tables = nodes.select("node", "f0", F.explode(keys).alias("key"))
-    key, bits = F.col("key"), [1 << i for i in range(22)]
-    cleared = [F.struct(F.when(key.bitwiseAND(F.lit(b)) != 0, key.bitwiseAND(F.lit(~b))).alias("key"), F.lit(False).alias("same")) for b in bits]
-    lookups = tables.select("node", "f0", F.explode(F.array(F.struct(key.alias("key"), F.lit(True).alias("same")), *cleared)).alias("x")).select(F.col("node").alias("a"), F.col("f0").alias("fa"), "x.key", "x.same").where("key is not null")
-    meets = (F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= FIRST_WORD) & (~F.col("same") | (F.col("a") < F.col("b")))
-    found = lookups.join(tables.select(F.col("node").alias("b"), F.col("f0").alias("fb"), F.col("key").alias("k")), (F.col("key") == F.col("k")) & meets)
-    pairs = found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    side = lambda x: nodes.select(F.col("node").alias(f"n{x}"), *[F.col(n).alias(f"{x}{n}") for n in names])
-    both = pairs.join(side("x"), F.col("a") == F.col("nx")).join(side("y"), F.col("b") == F.col("ny"))
-    apart = sum((F.bit_count(F.col(f"x{n}").bitwiseXOR(F.col(f"y{n}"))) for n in names), F.lit(0))
-    roots = components(both.where(apart <= allowed_bits(similarity)).select("a", "b")).withColumnsRenamed({"node": "of_node"})
+
+    def verified(candidates: DataFrame) -> DataFrame:
+        pairs = candidates.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        side = lambda x: nodes.select(F.col("node").alias(f"n{x}"), *[F.col(n).alias(f"{x}{n}") for n in names])
+        apart = sum((F.bit_count(F.col(f"x{n}").bitwiseXOR(F.col(f"y{n}"))) for n in names), F.lit(0))
+        return pairs.join(side("x"), F.col("a") == F.col("nx")).join(side("y"), (F.col("b") == F.col("ny")) & (apart <= allowed_bits(similarity))).select("a", "b")
+
+    close = F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= FIRST_WORD
+    group = F.when(F.col("root").isNotNull(), F.abs(F.xxhash64("root") % 2**31) + 1).otherwise(0)
+    apart = (F.col("ga") == 0) | (F.col("ga") != F.col("gb"))
+    members = nodes.select(F.col("node").alias("b"), F.col("f0").alias("fb"), F.explode(keys).alias("k"))
+    rank = F.struct(F.xxhash64("b").alias("r"), F.col("b").alias("a"), F.col("fb").alias("fa"))
+    leaders = members.groupBy(F.col("k").alias("key")).agg(F.min(rank).alias("low"), F.max(rank).alias("high"), F.count("*").alias("n")).where("n > 1")
+    leaders = leaders.select("key", F.explode(F.array("low", "high")).alias("x")).select("key", "x.a", "x.fa")
+    found = verified(members.join(leaders, (F.col("k") == F.col("key")) & (F.col("a") != F.col("b")) & close))
+    stars, _ = written(components(found).select(F.col("node").alias("of"), "root"), "stars")
+    tables, _ = written(nodes.select("node", "f0", keys.alias("keys")).join(stars, F.col("node") == F.col("of"), "left").select("node", "f0", group.alias("group"), F.explode("keys").alias("key")), "segments")
+
+    key = F.col("key")
+    cleared = [F.struct(F.when(key.bitwiseAND(F.lit(1 << i)) != 0, key.bitwiseAND(F.lit(~(1 << i)))).alias("key"), F.lit(False).alias("same")) for i in range(22)]
+    lookups = tables.select("node", "f0", "group", F.explode(F.array(F.struct(key.alias("key"), F.lit(True).alias("same")), *cleared)).alias("x"))
+    lookups = lookups.select(F.col("node").alias("a"), F.col("f0").alias("fa"), F.col("group").alias("ga"), "x.key", "x.same").where("key is not null")
+    others = tables.select(F.col("node").alias("b"), F.col("f0").alias("fb"), F.col("group").alias("gb"), key.alias("k"))
+    meets = close & apart & (~F.col("same") | (F.col("a") < F.col("b")))
+    across = verified(lookups.join(others, (F.col("key") == F.col("k")) & meets))
+    roots = components(across.unionByName(stars.select(F.col("of").alias("a"), F.col("root").alias("b")))).withColumnRenamed("node", "of_node")
     placed = nodes.join(roots, F.col("node") == F.col("of_node"), "left").select("node", *names, F.coalesce("root", "node").alias("root"))
     least = placed.groupBy("root").agg(F.min("node").alias("component_id")).withColumnRenamed("root", "of")
     classes, _ = written(placed.join(least, F.col("root") == F.col("of")).select("component_id", *[F.col(n).alias(f"c{n}") for n in names]), "classes")
