@@ -7,7 +7,7 @@ the filter doesn't have can't be added; they are reported.
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from itertools import groupby
 
 import numpy as np
 import pandas as pd
@@ -79,26 +79,29 @@ def update_values(filter: Filter, graph: DataFrame, changes: DataFrame, key, val
     else:
         ends = affected.select("shard", "component", "u", "v", "rhs")
 
-    def solve(tree: pd.DataFrame) -> pd.DataFrame:
-        shard = int(tree["shard"].iloc[0])
-        tree = tree.sort_values(["u", "v"])
+    def solve(trees: pd.DataFrame) -> pd.DataFrame:
+        """All affected trees of one shard."""
+        shard = int(trees["shard"].iloc[0])
         if mode == "recompute":
-            slots, at = np.unique(tree[["u", "v"]].to_numpy().ravel(), return_inverse=True)
+            slots, at = np.unique(trees[["u", "v"]].to_numpy().ravel(), return_inverse=True)
             u, v = at.reshape(-1, 2).T
-            g = K.solve_forest(K.peel(np.stack((u, v)), len(slots)), u, v, tree["rhs"].to_numpy(), len(slots), modulus).g
+            g = K.solve_forest(K.peel(np.stack((u, v)), len(slots)), u, v, trees["rhs"].to_numpy(), len(slots), modulus).g
             out = dict(zip(slots.tolist(), g.tolist()))
         else:
-            u, v = tree["u"].tolist(), tree["v"].tolist()
-            g = dict(zip(u, tree["gu"].tolist())) | dict(zip(v, tree["gv"].tolist()))
             out = {}
-            for i, (new, old) in enumerate(zip(tree["rhs"].tolist(), tree["old_rhs"].tolist())):
-                if new != old:
-                    moved = K.shift_side(u, v, g, i, new, modulus)
-                    g |= moved
-                    out |= moved
+            columns = ("component", "u", "v", "rhs", "old_rhs", "gu", "gv")
+            rows = sorted(zip(*(trees[c].tolist() for c in columns)))
+            for _, tree in groupby(rows, key=lambda row: row[0]):
+                _, u, v, new, old, gu, gv = map(list, zip(*tree))
+                g = dict(zip(u, gu)) | dict(zip(v, gv))
+                for i in range(len(u)):
+                    if new[i] != old[i]:
+                        moved = K.shift_side(u, v, g, i, new[i], modulus)
+                        g |= moved
+                        out |= moved
         return pd.DataFrame({"shard": shard, "slot": list(out), "g": list(out.values())}, columns=["shard", "slot", "g"]).astype({"shard": "int32", "slot": "int64", "g": "int64"})
 
-    deltas, _ = written(ends.groupBy("shard", "component").applyInPandas(solve, "shard int, slot long, g long"), "deltas")
+    deltas, _ = written(ends.groupBy("shard").applyInPandas(solve, "shard int, slot long, g long"), "deltas")
     tables, _ = written(overlay(filter.tables, deltas), "filter")
     return filter.with_tables(tables), graph.drop("old_rhs", "touched"), deltas
 
