@@ -198,8 +198,8 @@ def codec(tokens: tuple[bytes, ...], pattern: str) -> Codec:
     return _codecs[key]
 
 
-def _mapped(docs: DataFrame, schema: str, row, id_col: str, value_col: str, kind: str, vocabulary: str | None, pattern: str) -> DataFrame:
-    """row(codec, value) -> the columns after the id."""
+def _mapped(docs: DataFrame, schema: str, row, id_col: str, value_col: str, kind: str, vocabulary: str | None, pattern: str, forget: bool = True) -> DataFrame:
+    """row(codec, value) -> the columns after the id. ``forget``: pieces are remembered for one task only, and the memory goes to later stages."""
     shared = docs.sparkSession.sparkContext.broadcast(load_ranks(vocabulary or public_tokenizers.path(VOCABULARY)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -209,6 +209,9 @@ def _mapped(docs: DataFrame, schema: str, row, id_col: str, value_col: str, kind
                 part = batch.slice(at, 500)
                 columns = list(zip(*(row(own, x.as_py()) for x in part.column(1))))
                 yield pa.RecordBatch.from_arrays([part.column(0), *map(pa.array, columns)], names=names)
+        if forget:
+            own.seen.clear()
+            own.pairs.clear()
 
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(value_col).cast(kind).alias("value"))
     names = ["doc_id", *(x.split()[0] for x in schema.split(", "))]
@@ -237,4 +240,4 @@ def digest(docs: DataFrame) -> DataFrame:
         ids = own.encode_text(text)
         return ids.count(",") + 1 if ids else 0, hashlib.sha256(ids.encode()).hexdigest(), hashlib.sha256(own.decode_text(ids)).hexdigest()
 
-    return _mapped(docs, "n_tokens long, ids_sha256 string, decoded_sha256 string", row, "doc_id", "text", "string", None, public_tokenizers.PATTERN)
+    return _mapped(docs, "n_tokens long, ids_sha256 string, decoded_sha256 string", row, "doc_id", "text", "string", None, public_tokenizers.PATTERN, forget=False)
