@@ -1,6 +1,9 @@
 """Toxicity: a Levenshtein automaton intersected with a lexicon trie, and scores of the context window.
 
-The lexicon is learnt from labelled rows: words that stand in a least share of distinct toxic texts and far less often in others.
+The lexicon is learnt from labelled rows: words and stems (beginnings that many words share) that stand far more often in distinct toxic texts
+than in others, whatever their share of them: a language with few labelled rows has its terms, too. That a term is no chance find among all
+words and stems is tested (CHANCE); in samples too small for the test, a least share of the toxic texts will do. A word that begins with a stem
+is a hit of the stem, and has features of its own.
 Its trie and the automaton for the allowed edits (one, two for long terms) are walked together, and their product is made
 deterministic as words ask for it, so that a word costs one look-up a character and most end after a few. A word near a term is a hit;
 near misses that are as frequent in clean labelled texts are not. Each hit is scored by its window: inside
@@ -24,9 +27,11 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 SAMPLE_ROWS = 20_000
-#: A term stands in this share of the distinct toxic texts at least, and so many times as often in them as in clean ones.
-TERM_SHARE, TERM_TEXTS, TERM_RATIO, MAX_TERMS = 0.1, 3, 20.0, 400
-LEAST_LETTERS, LONG_LETTERS = 4, 9
+#: A term stands in so many distinct toxic texts at least, so many times as often in them as in clean ones, and either by a chance of CHANCE at most
+#: (over all words and stems together) or in the share TERM_SHARE of the toxic texts.
+TERM_SHARE, TERM_TEXTS, TERM_RATIO, MAX_TERMS, CHANCE = 0.1, 3, 20.0, 400, 0.01
+#: Stems are counted, so that they may stand in more clean texts, by chance.
+LEAST_LETTERS, LONG_LETTERS, LEAST_STEM, STEM_RATIO, STEM = 4, 9, 3, 5.0, "*"
 WINDOW = 5
 REMEMBERED = 300_000
 
@@ -119,6 +124,7 @@ class FuzzyLexicon:
 @dataclass
 class Model:
     terms: list[str]
+    stems: frozenset[str] = frozenset()
     innocent: frozenset[str] = frozenset()
     weights: np.ndarray = field(default_factory=lambda: np.zeros(len(FEATURES)))
     bias: float = -30.0
@@ -129,18 +135,21 @@ class Model:
 
 #: What a text's hits are counted as, and the weight that a count has as long as labels don't say otherwise: a misspelling counts like its
 #: term, less a little; an abusive window adds to a hit; a quotation is counted apart.
-FEATURES = {"unquoted hits": 0.0, "in an abusive window": 0.5, "quoted hits": 0.0, "misspelled": -1.5, "distinct terms": 0.0, "share of words": 0.0}
+FEATURES = {"unquoted hits": 0.0, "in an abusive window": 0.5, "quoted hits": 0.0, "misspelled": -1.5, "distinct terms": 0.0, "stems": 0.0, "share of stems": 0.0, "share of words": 0.0}
 
 
 class _Known(dict):
     """Word -> what the lexicon finds; bounded."""
 
-    def __init__(self, terms: list[str], innocent: frozenset[str]):
+    def __init__(self, terms: list[str], innocent: frozenset[str], stems: frozenset[str] = frozenset()):
         super().__init__()
-        self.lexicon, self.innocent = FuzzyLexicon(terms), innocent
+        self.lexicon, self.innocent, self.stems = FuzzyLexicon(terms), innocent, stems
+        self.lengths = sorted({len(s) for s in stems})
 
     def __missing__(self, word: str) -> tuple[int, str] | None:
         found = None if word in self.innocent else self.lexicon.find(word)
+        if found is None or found[0]:
+            found = next(((0, word[:n] + STEM) for n in self.lengths if word[:n] in self.stems), found)
         if len(self) >= REMEMBERED:
             self.clear()
         self[word] = found
@@ -148,7 +157,7 @@ class _Known(dict):
 
 
 def features(text: str | None, known: _Known) -> list[float]:
-    """The counts of FEATURES, all but the last as logarithms."""
+    """The counts of FEATURES, all but shares as logarithms; those of stems apart from those of terms."""
     out = [0.0] * len(FEATURES)
     low = (text or "").lower()
     words = WORD.findall(low)
@@ -162,14 +171,18 @@ def features(text: str | None, known: _Known) -> list[float]:
         line = low.rfind("\n", 0, at[i][0]) + 1
         opened = sum(low.count(q, line, at[i][0]) for q in QUOTES) % 2 == 1 and any(q in low[at[i][1] : at[i][1] + 80] for q in QUOTES)
         if opened or not REPORTING.isdisjoint(near):
-            out[2] += 1
+            out[2] += not term.endswith(STEM)
+            continue
+        if term.endswith(STEM):
+            out[5] += 1
             continue
         out[0] += 1
         out[1] += not ADDRESSING.isdisjoint(near)
         out[3] += edits > 0
         terms.add(term)
     out[4] = len(terms)
-    return [float(np.log1p(x)) for x in out[:5]] + [out[0] / len(words)]
+    # shares of stems are of a per cent, where clean texts have theirs by chance
+    return [float(np.log1p(x)) for x in out[:6]] + [float(np.log1p(100 * out[5] / len(words))), out[0] / len(words)]
 
 
 def _texts(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
@@ -193,7 +206,8 @@ def learn(docs: DataFrame, labels: DataFrame, allowed: Column, id_col: str = "do
         for batch in batches:
             for text, toxic in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
                 total[""][toxic > 0] += 1
-                for w in set(WORD.findall(text.lower())):
+                words = set(WORD.findall(text.lower()))
+                for w in words | {w[:n] + STEM for w in words for n in range(LEAST_STEM, len(w))}:
                     total[w][toxic > 0] += 1
         yield pa.RecordBatch.from_arrays([pa.array(list(total)), pa.array([v[0] for v in total.values()], pa.int64()), pa.array([v[1] for v in total.values()], pa.int64())], names=["w", "clean", "toxic"])
 
@@ -206,8 +220,17 @@ def learn(docs: DataFrame, labels: DataFrame, allowed: Column, id_col: str = "do
     if not n_toxic:
         return Model([])
     ratio = ((F.col("toxic") + 0.5) / (n_toxic + 1)) / ((F.col("clean") + 0.5) / (n_clean + 1))
-    wanted = (F.col("toxic") >= max(TERM_TEXTS, TERM_SHARE * n_toxic)) & (ratio >= TERM_RATIO) & (F.length("w") >= LEAST_LETTERS)
-    terms = [r["w"] for r in counts.where(wanted).orderBy(ratio.desc(), "w").limit(MAX_TERMS).collect()]
+    # A bound of the chance that of so many texts with it so many are toxic: exp(-gain).
+    prior, either = n_toxic / (n_toxic + n_clean), F.col("toxic") + F.col("clean")
+    gain = F.col("toxic") * F.log(F.col("toxic") / either / prior) + F.when(F.col("clean") > 0, F.col("clean") * F.log(F.col("clean") / either / max(1 - prior, 1e-9))).otherwise(0.0)
+    known = (gain >= float(np.log(counts.count() / CHANCE))) | (F.col("toxic") >= TERM_SHARE * n_toxic)
+    stem = F.col("w").endswith(STEM)
+    wanted = (F.col("toxic") >= TERM_TEXTS) & (ratio >= F.when(stem, STEM_RATIO).otherwise(TERM_RATIO)) & (F.length("w") >= F.when(stem, LEAST_STEM + 1).otherwise(LEAST_LETTERS)) & known
+    found = counts.where("w <> ''").where(wanted).select("w", "toxic", ratio.alias("ratio"), gain.alias("gain")).collect()
+    stems = _stems(found)
+    of_stem = lambda w: any(w[:n] in stems for n in range(LEAST_STEM, len(w) + 1))
+    terms = sorted((r for r in found if not r["w"].endswith(STEM) and not of_stem(r["w"])), key=lambda r: (-r["ratio"], r["w"]))
+    terms = [r["w"] for r in terms[:MAX_TERMS]]
 
     def near(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         lexicon = FuzzyLexicon(terms)
@@ -215,11 +238,11 @@ def learn(docs: DataFrame, labels: DataFrame, allowed: Column, id_col: str = "do
             yield batch.filter(pa.array([(f := lexicon.find(w)) is not None and f[0] > 0 for w in batch.column(0).to_pylist()], pa.bool_()))
 
     kind = counts.schema
-    plain = counts.where(ratio < 3).mapInArrow(near, kind) if terms else counts.limit(0)
+    plain = counts.where(~stem & (ratio < 3)).mapInArrow(near, kind) if terms else counts.limit(0)
     innocent = frozenset(r["w"] for r in plain.select("w").collect())  # words within the edits of MAX_TERMS terms, in SAMPLE_ROWS texts
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known = _Known(terms, innocent)
+        known = _Known(terms, innocent, stems)
         for batch in batches:
             x = np.array([features(t, known) for t in batch.column(0).to_pylist()], float).reshape(-1, len(FEATURES))
             yield pa.RecordBatch.from_arrays([*(pa.array(c) for c in x.T), batch.column(1)], names=[*names, "toxic"])
@@ -227,7 +250,25 @@ def learn(docs: DataFrame, labels: DataFrame, allowed: Column, id_col: str = "do
     names = [f"f{i}" for i in range(len(FEATURES))]
     grid = sample.mapInArrow(measure, ", ".join(f"{n} double" for n in names) + ", toxic int").groupBy(*names, "toxic").count().toPandas()
     weights, bias = _logistic(grid[names].to_numpy(), grid["toxic"].to_numpy(float), grid["count"].to_numpy(float))
-    return Model(terms, innocent, weights, bias)
+    return Model(terms, stems, innocent, weights, bias)
+
+
+def _stems(found: list) -> frozenset[str]:
+    """Of nested beginnings the one of the greatest gain; none that is but one word and its variants."""
+    words = [(r["w"], r["toxic"]) for r in found if not r["w"].endswith(STEM)]
+    most: dict[str, int] = defaultdict(int)
+    for w, n in words:
+        for k in range(LEAST_STEM, len(w) + 1):
+            most[w[:k]] = max(most[w[:k]], n)
+    taken: set[str] = set()
+    begun: set[str] = set()
+    for r in sorted((r for r in found if r["w"].endswith(STEM)), key=lambda r: (-r["gain"], len(r["w"]), r["w"])):
+        s = r["w"][: -len(STEM)]
+        if 2 * most[s] > r["toxic"] or s in begun or any(s[:k] in taken for k in range(LEAST_STEM, len(s))):
+            continue
+        taken.add(s)
+        begun |= {s[:k] for k in range(LEAST_STEM, len(s))}
+    return frozenset(taken)
 
 
 def _logistic(x: np.ndarray, y: np.ndarray, n: np.ndarray, ridge: float = 1.0) -> tuple[np.ndarray, float]:
@@ -252,7 +293,7 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = shared.value
-        known = _Known(model.terms, model.innocent)
+        known = _Known(model.terms, model.innocent, model.stems)
         for batch in batches:
             x = np.array([features(t.as_py(), known) for t in batch.column(1)], float).reshape(-1, len(FEATURES))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(model.score(x))], names=["doc_id", "score"])
@@ -268,7 +309,7 @@ def reject(docs: DataFrame, model: Model, text_col: str = "text", threshold: flo
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         model = shared.value
-        known = _Known(model.terms, model.innocent)
+        known = _Known(model.terms, model.innocent, model.stems)
         for batch in batches:
             x = np.array([features(t.as_py(), known) for t in batch.column(place)], float).reshape(-1, len(FEATURES))
             yield batch.filter(pa.array(model.score(x) < threshold))

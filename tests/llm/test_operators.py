@@ -335,6 +335,17 @@ def test_toxicity_on_held_out(spark):
     assert np.mean(clean) < 0.03 and np.mean(toxic) > 0.4
 
 
+def test_toxicity_of_each_language(spark):
+    d = "/root/testdata/sf0.1"
+    docs, labels = table(spark, d, "documents"), table(spark, d, "labels")
+    found = by_id(toxicity.digest(docs, labels))
+    lang = {r["doc_id"]: r["lang"] for r in docs.select("doc_id", "lang").collect()}
+    held = [(lang[r["doc_id"]], r["toxic"], found[r["doc_id"]]["predicted"]) for r in labels.collect() if found[r["doc_id"]]["held_out"]]
+    for own in ("de", "en", "es", "fr"):
+        assert np.mean([p for x, t, p in held if x == own and t]) > 0.8
+        assert np.mean([p for x, t, p in held if x == own and not t]) < 0.03
+
+
 # op9
 
 
