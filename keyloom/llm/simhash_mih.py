@@ -7,12 +7,13 @@ differ in one bit only one has it set, a ball needs the segment itself and those
 12 lookups of 22 bits, and every near pair still meets. A pair is verified by its complete distance inside the join
 and is given by the first segment that finds it, so that joins give links, once each, and no candidates.
 
-``similar_groups`` takes the same steps for a similarity of shingle sets, for which 64 bits are too few: WIDE words of 64 bits, three segments
-in each. A similarity is an expected share of differing bits, to which one standard deviation is added. Pairs with fewer differing bits than twice the
-segments are found for certain, those at a similarity of 0.8 with a chance of 0.98. Here a pair is first verified by
-its first word inside the join, then by all of them. A group of thousands of near copies must not make all of its pairs, so every table's
-equal segments are first linked to two of their number only; lookups then meet what isn't in the same group yet. The groups that result
-are those of all links.
+``similar_groups`` takes the same steps for a similarity of shingle sets, for which 64 bits are too few: WIDE words of 64 bits over the distinct shingles,
+three segments in each. A similarity is an expected share of differing bits, to which DEVIATIONS standard deviations are added. Bits only make
+candidates: at a similarity of 0.8 the segments find a pair with a chance of 0.98, the first word's and all words' limits lose well below 1 % each. A
+candidate is verified by its first word inside the join, then by all of them and the sets' sizes, and at last by the exact similarity of the two sets
+of shingle hashes, which are read for candidates only; so every link is as similar as asked. A group of thousands of near copies must not make
+all of its pairs, so every table's equal segments are first linked to two of their number only; lookups then meet what isn't in the same
+group yet. The groups that result are those of all links. Here a node is a distinct set of shingles.
 
 Equal fingerprints are one node, so groups of copies never make pairs. Null and empty texts have fingerprint zero and
 are linked like any other. Rows with a null id get a component by their fingerprint's other rows (null if there are none).
@@ -20,6 +21,7 @@ are linked like any other. Rows with a null id get a component by their fingerpr
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -35,7 +37,9 @@ SEGMENTS = ((0, 22), (22, 21), (43, 21))
 WORDS = 4
 RADIUS = 4
 #: Words of a wide fingerprint, and the differing bits that a pair may have in the first of them: far more than pairs of 0.8 have, far fewer than others.
-WIDE, FIRST_WORD = 8, 18
+WIDE, FIRST_WORD, DEVIATIONS = 8, 18, 3
+#: Nodes whose sets are read by a broadcast of their numbers (8 bytes each); more of them by a shuffle.
+BROADCAST_NODES = 2_000_000
 SIMILAR_WORDS, SIMILARITY = 5, 0.8
 
 
@@ -68,8 +72,12 @@ def _majority(hashes: np.ndarray) -> np.ndarray:
 
 
 def wide_fingerprint(text: str | None, words: int = SIMILAR_WORDS) -> np.ndarray:
-    """WIDE words of 64 bits; each mixes the shingles' hashes in its own way."""
-    h = _hashes(text, words)[:, None] + np.arange(1, WIDE + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+    """WIDE words of 64 bits; each mixes the distinct shingles' hashes in its own way."""
+    return _wide(np.unique(_hashes(text, words)))
+
+
+def _wide(hashes: np.ndarray) -> np.ndarray:
+    h = hashes[:, None] + np.arange(1, WIDE + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
     h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
     h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
     return _majority(h ^ (h >> np.uint64(31)))
@@ -129,24 +137,34 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 
 def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SIMILAR_WORDS, similarity: float = SIMILARITY) -> DataFrame:
-    """(doc_id, component_id) of rows with an id: groups of texts whose sets of shingles are that similar, by wide fingerprints."""
+    """(doc_id, component_id) of rows with an id: groups of texts whose sets of shingles are that similar; candidates come by wide fingerprints."""
     names = [f"f{k}" for k in range(WIDE)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            prints = np.array([wide_fingerprint(t.as_py(), words) for t in batch.column(1)], np.uint64).reshape(-1, WIDE).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), *(pa.array(c) for c in prints.T)], names=["doc_id", *names])
+            sets = [np.unique(_hashes(t.as_py(), words)) for t in batch.column(1)]
+            prints = np.array([_wide(x) for x in sets], np.uint64).reshape(-1, WIDE).view(np.int64)
+            ids = pa.array([hashlib.md5(x.tobytes()).hexdigest() for x in sets], pa.string())
+            yield pa.RecordBatch.from_arrays([batch.column(0), ids, pa.array([x.view(np.int64) for x in sets], pa.list_(pa.int64())), *(pa.array(c) for c in prints.T)], names=["doc_id", "set_id", "shingles", *names])
 
     rows = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    prints, _ = written(rows.mapInArrow(run, "doc_id long, " + ", ".join(f"{n} long" for n in names)), "wide")
-    nodes, _ = written(prints.groupBy(*names).agg(F.min("doc_id").alias("node")), "nodes")
+    rows = rows.mapInArrow(run, "doc_id long, set_id string, shingles array<long>, " + ", ".join(f"{n} long" for n in names))
+    prints, _ = written(rows.withColumn("n", F.size("shingles")).withColumn("row", F.monotonically_increasing_id()), "wide")
+    nodes, _ = written(prints.groupBy("set_id", "n", *names).agg(F.min("row").alias("node"), F.min("doc_id").alias("least")), "nodes")
     keys = F.array(*[_key(j, _segment(F.col(names[j // 3]), j % 3)) for j in range(3 * WIDE)])
 
     def verified(candidates: DataFrame) -> DataFrame:
         pairs = candidates.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-        side = lambda x: nodes.select(F.col("node").alias(f"n{x}"), *[F.col(n).alias(f"{x}{n}") for n in names])
+        side = lambda x: nodes.select(F.col("node").alias(f"n{x}"), F.col("n").alias(f"size{x}"), *[F.col(n).alias(f"{x}{n}") for n in names])
         apart = sum((F.bit_count(F.col(f"x{n}").bitwiseXOR(F.col(f"y{n}"))) for n in names), F.lit(0))
-        return pairs.join(side("x"), F.col("a") == F.col("nx")).join(side("y"), (F.col("b") == F.col("ny")) & (apart <= allowed_bits(similarity))).select("a", "b")
+        alike = (apart <= allowed_bits(similarity)) & (F.least("sizex", "sizey") >= similarity * F.greatest("sizex", "sizey") - 1e-6)
+        near, _ = written(pairs.join(side("x"), F.col("a") == F.col("nx")).join(side("y"), (F.col("b") == F.col("ny")) & alike).select("a", "b"), "near")
+        needed, _ = written(near.select(F.explode(F.array("a", "b")).alias("of")).distinct(), "needed")
+        needed = F.broadcast(needed) if needed.count() <= BROADCAST_NODES else needed
+        sets, _ = written(prints.select("row", "shingles").join(needed, F.col("row") == F.col("of"), "left_semi"), "sets")
+        both = near.join(sets.select(F.col("row").alias("rx"), F.col("shingles").alias("x")), F.col("a") == F.col("rx")).join(sets.select(F.col("row").alias("ry"), F.col("shingles").alias("y")), F.col("b") == F.col("ry"))
+        common = F.size(F.array_intersect("x", "y"))
+        return both.where(common * (1 + similarity) >= similarity * (F.size("x") + F.size("y")) - 1e-6).select("a", "b")
 
     close = F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= FIRST_WORD
     group = F.when(F.col("root").isNotNull(), F.abs(F.xxhash64("root") % 2**31) + 1).otherwise(0)
@@ -167,19 +185,16 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     meets = close & apart & (~F.col("same") | (F.col("a") < F.col("b")))
     across = verified(lookups.join(others, (F.col("key") == F.col("k")) & meets))
     roots = components(across.unionByName(stars.select(F.col("of").alias("a"), F.col("root").alias("b")))).withColumnRenamed("node", "of_node")
-    placed = nodes.join(roots, F.col("node") == F.col("of_node"), "left").select("node", *names, F.coalesce("root", "node").alias("root"))
-    least = placed.groupBy("root").agg(F.min("node").alias("component_id")).withColumnRenamed("root", "of")
-    classes, _ = written(placed.join(least, F.col("root") == F.col("of")).select("component_id", *[F.col(n).alias(f"c{n}") for n in names]), "classes")
-    same = F.lit(True)
-    for n in names:
-        same = same & (F.col(n) == F.col(f"c{n}"))
-    return prints.join(classes, same).select("doc_id", "component_id")
+    placed = nodes.join(roots, F.col("node") == F.col("of_node"), "left").select("set_id", "least", F.coalesce("root", "node").alias("root"))
+    smallest = placed.groupBy("root").agg(F.min("least").alias("component_id")).withColumnRenamed("root", "of")
+    classes, _ = written(placed.join(smallest, F.col("root") == F.col("of")).select(F.col("set_id").alias("of_set"), "component_id"), "classes")
+    return prints.join(classes, F.col("set_id") == F.col("of_set")).select("doc_id", "component_id")
 
 
 def allowed_bits(similarity: float) -> int:
-    """Differing bits of wide fingerprints that a Jaccard similarity of sets of like size allows: the expected ones and one standard deviation."""
+    """Differing bits of wide fingerprints that a Jaccard similarity of sets of like size allows: the expected ones and DEVIATIONS standard deviations."""
     share = np.arccos(2 * similarity / (1 + similarity)) / np.pi
-    return int(64 * WIDE * share + np.sqrt(64 * WIDE * share * (1 - share)))
+    return int(64 * WIDE * share + DEVIATIONS * np.sqrt(64 * WIDE * share * (1 - share)))
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SIMILAR_WORDS, similarity: float = SIMILARITY) -> DataFrame:

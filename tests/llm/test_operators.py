@@ -289,6 +289,21 @@ def test_similar_groups_against_jaccard(spark, docs, rows):
     assert alone and all(group[i] == i for i in alone)
 
 
+def test_links_on_both_sides_of_the_similarity(spark):
+    g = np.random.default_rng(4)
+    rows, near = [], {}
+    for i in range(600):  # the last k of n words are others: n - 4 shingles each, k of them not shared
+        n = int(g.integers(60, 400))
+        k = (n - 4) // 9 if i % 2 else (n - 4) // 9 + 1  # similarity (m - k) / (m + k), 0.8 at k = m / 9
+        words = [f"w{i}x{j}" for j in range(n)]
+        rows += [(2 * i, " ".join(words)), (2 * i + 1, " ".join(words[: n - k] + [f"o{i}x{j}" for j in range(k)]))]
+        near[i] = (n - 4 - k) / (n - 4 + k) >= 0.8
+    group = {r["doc_id"]: r["component_id"] for r in simhash_mih.similar_groups(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    joined = {i: group[2 * i + 1] == 2 * i for i in near}
+    assert not any(joined[i] for i in near if not near[i])
+    assert np.mean([joined[i] for i in near if near[i]]) > 0.94
+
+
 def test_one_of_each_group_stays(docs):
     groups = by_id(simhash_mih.similar_groups(docs))
     kept = [r["doc_id"] for r in simhash_mih.keep_one(docs).collect()]
