@@ -7,7 +7,8 @@ makes: secrets of many kinds among words and assignments, and look-alikes (commi
 numbers). A part of them is held out: on it a Platt curve calibrates the scores, and the threshold is the largest that still
 finds the wanted share of the held-out secrets. The generator's size is a parameter; the scan covers every text whole.
 
-Base findings always stay; the network adds those of its findings that don't overlap one. Null and empty texts have no findings.
+A candidate longer than INSIDE is seen in overlapping windows of that length, each between what is before and after the whole, and scores as the highest of them. Base findings always
+stay; of a candidate that they touch, the network judges the parts of LEAST_PART or more characters that they leave. Null and empty texts have no findings.
 """
 
 from __future__ import annotations
@@ -31,8 +32,9 @@ ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{24,}")
 LEAST_ASSIGNED, LEAST_ACCESS, LEAST_HEX = 6, 20, 24
 CANDIDATE = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{16,}")
-#: What the network sees: characters before the candidate, of it (its two ends if it is longer), and after it.
-BEFORE, INSIDE, AFTER = 28, 48, 8
+#: What the network sees: characters before the candidate, of it, and after it; windows of longer ones begin STRIDE characters apart.
+BEFORE, INSIDE, AFTER, STRIDE = 28, 48, 8, 12
+LEAST_PART = 16
 EXAMPLES, HELD_OUT, RECALL = 6_000, 0.25, 0.98
 
 _TOKEN_BYTES = bytes(c if chr(c) in "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-" else 32 for c in range(256))
@@ -111,19 +113,26 @@ def _codes(text: str) -> list[int]:
     return [c - 30 if 32 <= (c := ord(x)) < 127 else 1 if c in (9, 10, 13) else 98 for x in text]
 
 
-def windows(found: list[tuple[str, int, int]]) -> tuple[np.ndarray, np.ndarray]:
-    """Symbols (0: nothing there) and flags of the characters inside, one row for each (text, start, end)."""
-    symbols, inside = np.zeros((len(found), _WIDTH), np.int16), np.zeros((len(found), _WIDTH), np.float32)
-    for row, (text, start, end) in enumerate(found):
-        own = text[start:end]
-        if len(own) > INSIDE:
-            own = own[: INSIDE // 2] + own[-INSIDE // 2 :]
+def windows(found: list[tuple[str, int, int]]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Symbols (0: nothing there) and flags of the characters inside, one row for each window of each (text, start, end), and which of ``found`` each is of."""
+    owner = [(i, *piece) for i, (_, start, end) in enumerate(found) for piece in _pieces(start, end)]
+    symbols, inside = np.zeros((len(owner), _WIDTH), np.int16), np.zeros((len(owner), _WIDTH), np.float32)
+    for row, (i, a, b) in enumerate(owner):
+        text, start, end = found[i]
+        own = text[a:b]
         before, after = _codes(text[max(0, start - BEFORE) : start]), _codes(text[end : end + AFTER])
         symbols[row, BEFORE - len(before) : BEFORE] = before
         symbols[row, BEFORE : BEFORE + len(own)] = _codes(own)
         inside[row, BEFORE : BEFORE + len(own)] = 1
         symbols[row, BEFORE + len(own) : BEFORE + len(own) + len(after)] = after
-    return symbols, inside
+    return symbols, inside, np.array([i for i, _, _ in owner], np.int64)
+
+
+def _pieces(start: int, end: int) -> list[tuple[int, int]]:
+    """The whole, or the windows of INSIDE characters that cover it; of windows after the first, each begins STRIDE later, the last at the end."""
+    if end - start <= INSIDE:
+        return [(start, end)]
+    return [(a, a + INSIDE) for a in (*range(start, end - INSIDE, STRIDE), end - INSIDE)]
 
 
 @dataclass
@@ -183,11 +192,13 @@ class Network:
             w[name] = w[name] - rate * (m / (1 - 0.9 ** state["t"])) / (np.sqrt(v / (1 - 0.999 ** state["t"])) + 1e-8)
 
     def scores(self, found: list[tuple[str, int, int]]) -> np.ndarray:
-        """Calibrated probabilities."""
+        """Calibrated probabilities, for each the highest of its windows."""
         out = np.zeros(len(found))
-        for at in range(0, len(found), 512):
-            logit, _ = self.forward(*windows(found[at : at + 512]))
-            out[at : at + 512] = 1 / (1 + np.exp(-(self.curve[0] * logit + self.curve[1])))
+        for at in range(0, len(found), 64):
+            symbols, inside, owner = windows(found[at : at + 64])
+            for k in range(0, len(owner), 512):
+                logit, _ = self.forward(symbols[k : k + 512], inside[k : k + 512])
+                np.maximum.at(out, at + owner[k : k + 512], 1 / (1 + np.exp(-(self.curve[0] * logit + self.curve[1]))))
         return out
 
 
@@ -195,14 +206,18 @@ class Network:
 def trained(examples: int = EXAMPLES, recall: float = RECALL, seed: int = 7, epochs: int = 5) -> Network:
     """Trains, calibrates and sets the threshold; the same for the same parameters."""
     found, y = labelled_findings(examples, seed)
-    symbols, inside = windows(found)
+    symbols, inside, owner = windows(found)
     order = np.random.default_rng(seed).permutation(len(y))
     held, fit = np.split(order, [int(len(y) * HELD_OUT)])
+    fit, of_held = np.flatnonzero(np.isin(owner, fit)), np.flatnonzero(np.isin(owner, held))
     net, state = Network.fresh(), {}
     for epoch in range(epochs):
         for part in np.array_split(np.random.default_rng(seed + epoch).permutation(fit), max(1, len(fit) // 64)):
-            net.step(symbols[part], inside[part], y[part], state, 0.004 * 0.6**epoch)
-    logit = np.concatenate([net.forward(symbols[p], inside[p])[0] for p in np.array_split(held, max(1, len(held) // 512))])
+            net.step(symbols[part], inside[part], y[owner[part]], state, 0.004 * 0.6**epoch)
+    highest = np.full(len(y), -np.inf)
+    for p in np.array_split(of_held, max(1, len(of_held) // 512)):
+        np.maximum.at(highest, owner[p], net.forward(symbols[p], inside[p])[0])
+    logit = highest[held]
     a, b = 1.0, 0.0
     for _ in range(300):  # Platt: logistic regression on the one score
         d = 1 / (1 + np.exp(-(a * logit + b))) - y[held]
@@ -238,6 +253,26 @@ def candidates(text: str) -> list[tuple[int, int]]:
     return [(m.start(), m.end()) for m in CANDIDATE.finditer(text) if (any(c.isdigit() for c in m[0]) and any(c.isalpha() for c in m[0]))]
 
 
+def _uncovered(text: str, start: int, end: int, base: list[tuple[int, int, int]]) -> list[tuple[int, int]]:
+    """The candidate, or the parts that base findings leave of it, without joining signs at their ends, that are candidates themselves."""
+    touching = [(s, e) for s, _, e in base if s < end and start < e]
+    if not touching:
+        return [(start, end)]
+    parts, at = [], start
+    for s, e in [*touching, (end, end)]:
+        if s > at:
+            a, b = at, s
+            while a < b and text[a] in "+/_=-":
+                a += 1
+            while a < b and text[b - 1] in "+/_-":
+                b -= 1
+            own = text[a:b]
+            if b - a >= LEAST_PART and any(c.isdigit() for c in own) and any(c.isalpha() for c in own):
+                parts.append((a, b))
+        at = max(at, e)
+    return parts
+
+
 def findings(texts: list[str | None], net: Network) -> list[list[tuple[int, int, int, float]]]:
     """(start, kind, end, score) of each text, in order; base findings have score 1."""
     out, asked, owner = [], [], []
@@ -245,9 +280,9 @@ def findings(texts: list[str | None], net: Network) -> list[list[tuple[int, int,
         base = base_findings(text) if text else []
         out.append([(*f, 1.0) for f in base])
         for start, end in candidates(text) if text else ():
-            if not any(s < end and start < e for s, _, e in base):
-                owner.append((i, start, end))
-                asked.append((text, start, end))
+            for a, b in _uncovered(text, start, end, base):
+                owner.append((i, a, b))
+                asked.append((text, a, b))
     for (i, start, end), score in zip(owner, net.scores(asked) if asked else ()):
         if score >= net.threshold:
             out[i].append((start, 3, end, float(score)))
