@@ -225,7 +225,7 @@ def trained(examples: int = EXAMPLES, recall: float = RECALL, seed: int = 7, epo
     net.curve = (float(a), float(b))
     scores = 1 / (1 + np.exp(-(a * logit + b)))
     of_secrets = np.sort(scores[y[held] == 1])
-    net.threshold = float(max(0.5, of_secrets[int(len(of_secrets) * (1 - recall))]))
+    net.threshold = float(of_secrets[int(len(of_secrets) * (1 - recall))])
     return net
 
 

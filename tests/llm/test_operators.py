@@ -425,6 +425,15 @@ def test_cnn_on_fresh_findings():
     assert hit[y == 1].mean() > 0.93 and hit[y == 0].mean() < 0.03
 
 
+def test_threshold_keeps_the_wanted_recall():
+    net = secret_cnn.trained()
+    found, y = secret_cnn.labelled_findings(secret_cnn.EXAMPLES, 7)
+    held = np.random.default_rng(7).permutation(len(y))[: int(len(y) * secret_cnn.HELD_OUT)]
+    scores = net.scores([found[i] for i in held])[y[held] == 1]
+    assert np.mean(scores >= net.threshold - 1e-9) >= secret_cnn.RECALL
+    assert np.mean(scores > net.threshold + 1e-9) < secret_cnn.RECALL  # the largest such
+
+
 def test_secrets_in_long_candidates_and_beside_base_findings():
     r, net = random.Random(3), secret_cnn.trained()
     path = lambda k: "/".join(secret_cnn._token(r, secret_cnn._LOWER, 4, 9) for _ in range(k))
