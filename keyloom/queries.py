@@ -473,13 +473,14 @@ def _(spark, d):
 # --- experiments: measured rows, no SQL ---------------------------------------------------------------------------------
 
 query("false_value_rate")(lambda spark, d: W.error_rates(spark, d))
-query("w3_creation")(lambda spark, d: W.creation(spark, d, trials=3, names=("indeg_part",)))
+query("w3_creation")(lambda spark, d: W.creation(spark, d))
 query("w8_update_costs")(lambda spark, d: W.update_costs(spark, d))
-query("w9_c_sweep")(lambda spark, d: W.c_sweep(spark, n=1_000, trials=50))
-query("w10_sparse_sweep")(lambda spark, d: W.sparse_sweep(spark, sizes=(50, 100), eps=(0.1, 0.5)))
-query("w11_bucketing")(lambda spark, d: W.bucketing(spark, d, names=("indeg_supplier", "indeg_part")))
-query("w15_hash_quality")(lambda spark, d: W.hash_quality(spark, d, seeds=3))
-query("w18_lookup_speed")(lambda spark, d: W.lookup_speed(spark, d, repeat=2))
+query("w9_c_sweep")(lambda spark, d: W.c_sweep(spark))
+query("w10_sparse_sweep")(lambda spark, d: W.sparse_sweep(spark, d))
+query("w11_bucketing")(lambda spark, d: W.bucketing(spark, d))
+query("w15_hash_quality")(lambda spark, d: W.hash_quality(spark, d))
+query("w18_lookup_speed")(lambda spark, d: W.lookup_speed(spark, d))
+query("growth")(lambda spark, d: W.growth(spark, d))
 query("space_table")(lambda spark, d: W.space(spark))
 
 

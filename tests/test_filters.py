@@ -306,3 +306,14 @@ def test_windows_samples_and_plans(spark, orders):
 def test_components_by_recursion(spark):
     spark.createDataFrame([(1, 2), (2, 3), (7, 8)], "u long, v long").createOrReplaceTempView("few_edges")
     assert {r["slot"]: r["component"] for r in spark.sql(sqlapi.components_sql("few_edges")).collect()} == {1: 1, 2: 1, 3: 1, 7: 7, 8: 7}
+
+
+def test_experiments_are_registered_whole(monkeypatch):
+    from keyloom import queries, workloads
+
+    seen = {}
+    for name in ("creation", "c_sweep", "sparse_sweep", "bucketing", "hash_quality", "lookup_speed", "growth"):
+        monkeypatch.setattr(workloads, name, lambda spark, *d, _name=name, **options: seen.update({_name: options}))
+    for name in ("w3_creation", "w9_c_sweep", "w10_sparse_sweep", "w11_bucketing", "w15_hash_quality", "w18_lookup_speed", "growth"):
+        queries.QUERIES[name](None, "")
+    assert len(seen) == 7 and not any(seen.values())
