@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from keyloom.llm.common import components, written
+from keyloom.llm.common import components, groups, written
 
 THRESHOLD = 0.9
 RECALL = 0.98
@@ -283,7 +283,7 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         meeting = _Meeting(code, threshold)
-        for group in _groups(batches, keys):
+        for group in groups(batches, keys):
             if group.num_rows > 1:
                 number = lambda c: group.column(c).to_numpy()
                 x = unit_vectors(np.frombuffer(b"".join(group.column("x").to_pylist()), kind).reshape(-1, dim))
@@ -307,24 +307,6 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
     return done.select("vec_id", F.coalesce("n_links", F.lit(0)).alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(True)).alias("kept"))
 
 
-def _groups(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.Table]:
-    """The rows of each key of sorted batches, one table each; of these only one is held at a time."""
-    held: list[pa.RecordBatch] = []
-    for batch in batches:
-        if not batch.num_rows:
-            continue
-        values = np.stack([batch.column(k).to_numpy(zero_copy_only=False) for k in keys])
-        cuts = [0, *(np.nonzero((values[:, 1:] != values[:, :-1]).any(axis=0))[0] + 1).tolist(), batch.num_rows]
-        for a, b in zip(cuts, cuts[1:]):
-            part = batch.slice(a, b - a)
-            if held and any(held[0].column(k)[0] != part.column(k)[0] for k in keys):
-                yield pa.Table.from_batches(held)
-                held = []
-            held.append(part)
-    if held:
-        yield pa.Table.from_batches(held)
-
-
 def digest(vectors: DataFrame) -> DataFrame:
     """The rows of query op3: vec_id, n_links, component_id, kept."""
     return near_duplicates(vectors)

@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
 from keyloom.operators.components import components
 from keyloom.plans.scratch import remove, shared_dir, written
 
-__all__ = ["SPACE", "components", "remove", "shared_dir", "table", "written"]
+__all__ = ["SPACE", "components", "groups", "remove", "shared_dir", "table", "written"]
 
 #: Words end at these bytes, as the contracts of the queries have them.
 SPACE = r"\x20\x09-\x0D"
@@ -16,3 +20,21 @@ SPACE = r"\x20\x09-\x0D"
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     """The table of that name below ``sf_dir``, by whatever file system Spark resolves it with."""
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def groups(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.Table]:
+    """The rows of each key of sorted batches, one table each; of these only one is held at a time."""
+    held: list[pa.RecordBatch] = []
+    for batch in batches:
+        if not batch.num_rows:
+            continue
+        values = np.stack([batch.column(k).to_numpy(zero_copy_only=False) for k in keys])
+        cuts = [0, *(np.nonzero((values[:, 1:] != values[:, :-1]).any(axis=0))[0] + 1).tolist(), batch.num_rows]
+        for a, b in zip(cuts, cuts[1:]):
+            part = batch.slice(a, b - a)
+            if held and any(held[0].column(k)[0] != part.column(k)[0] for k in keys):
+                yield pa.Table.from_batches(held)
+                held = []
+            held.append(part)
+    if held:
+        yield pa.Table.from_batches(held)

@@ -1,28 +1,33 @@
 """SimHash near duplicates by multi-index hashing.
 
-A text's fingerprint has bit i set if over half of its shingle hashes have. Fingerprints are cut into three segments;
-two of them within ``radius`` <= 5 bits agree in some segment up to one bit. So each distinct fingerprint goes into three
-tables by its exact segments, and looks up, in each, the small ball around its segment. As of two segments that
-differ in one bit only one has it set, a ball needs the segment itself and those with one set bit cleared: about
-12 lookups of 22 bits, and every near pair still meets. A pair is verified by its complete distance inside the join
+A text's fingerprint has bit i set if over half of its shingle hashes have. Fingerprints are cut into segments; if two of them
+differ in ``radius`` bits or fewer, some segment agrees up to its share of these (``Cut``). So each distinct fingerprint goes into a
+table for each segment, and looks up, in each, the small ball around its segment. Of two segments that differ, one is the greater number, so a ball
+needs only the segment itself and lesser numbers. How many segments there are follows from the number of fingerprints: few long ones with larger
+balls for many, so that look-ups and what they find stay in balance. A pair is verified by its complete distance inside the join
 and is given by the first segment that finds it, so that joins give links, once each, and no candidates.
 
-``similar_groups`` takes the same steps for a similarity of shingle sets, for which 64 bits are too few: WIDE words of 64 bits over the distinct shingles,
-three segments in each. A similarity is an expected share of differing bits, to which DEVIATIONS standard deviations are added. Bits only make
-candidates: at a similarity of 0.8 the segments find a pair with a chance of 0.98, the first word's and all words' limits lose well below 1 % each. A
-candidate is verified by its first word inside the join, then by all of them and the sets' sizes, and at last by the exact similarity of the two sets
-of shingle hashes, which are read for candidates only; so every link is as similar as asked. A group of thousands of near copies must not make
-all of its pairs, so every table's equal segments are first linked to two of their number only; lookups then meet what isn't in the same
-group yet. The groups that result are those of all links. Here a node is a distinct set of shingles.
+A group of thousands of near copies must not make all of its pairs. So every table's equal segments are first linked to a few leaders of their
+own only, and look-ups then meet only what isn't in the same group yet.
+
+``similar_groups`` takes these steps for a similarity of shingle sets, for which 64 bits are too few: several words of 64 bits over the distinct shingles.
+A similarity is an expected share of differing bits, to which DEVIATIONS standard deviations are added. Bits only make candidates, and
+candidates only make clusters: texts far less similar than asked are put together by leaders first (no pairs are made inside such a cluster), then
+look-ups add what lies in different clusters. At last the shingle sets of a cluster meet in one task (a large one's in blocks), which counts exactly what any two have in common and
+gives one row for each set, never pairs. So every link is as similar as asked, and two texts as similar as that lie in one cluster with a chance of FOUND
+by the segments alone. Blocks of a large cluster first meet its leaders, and then only sets that aren't in its largest group are compared with the rest. Here a node is a distinct set of shingles.
 
 Equal fingerprints are one node, so groups of copies never make pairs. Null and empty texts have fingerprint zero and
-are linked like any other. Rows with a null id get a component by their fingerprint's other rows (null if there are none).
+are linked like any other (``keep_one`` lets null texts pass). Rows with a null id get a component by their fingerprint's other rows (null if there are none).
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 from collections.abc import Iterator
+from dataclasses import dataclass
+from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -30,17 +35,90 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from keyloom.llm.common import components, written
+from keyloom.llm.common import components, groups, written
 
-#: First bit and width of each segment of a 64-bit fingerprint.
-SEGMENTS = ((0, 22), (22, 21), (43, 21))
 WORDS = 4
 RADIUS = 4
-#: Words of a wide fingerprint, and the differing bits that a pair may have in the first of them: far more than pairs of 0.8 have, far fewer than others.
-WIDE, FIRST_WORD, DEVIATIONS = 8, 18, 3
-#: Nodes whose sets are read by a broadcast of their numbers (8 bytes each); more of them by a shuffle.
-BROADCAST_NODES = 2_000_000
 SIMILAR_WORDS, SIMILARITY = 5, 0.8
+#: Chance that the segments find a pair of just the similarity asked; deviations that its differing bits may be off; sets a bucket of a segment may hold if they were spread evenly.
+FOUND, DEVIATIONS, PER_BUCKET = 0.98, 3, 64
+#: The part of the similarity asked that puts two sets into one cluster when one of them is a leader.
+SOFT = 0.5
+#: Sets, and shingles, of a part of a large cluster; two parts and the leaders meet in a task.
+PART_SETS, PART_SHINGLES = 1_000, 1_000_000
+#: Shingles in more sets of a block than this are counted by a matrix product, others by their pairs.
+COMMON = 16
+#: Tables of up to so many rows (16 bytes each) are broadcast, larger ones are joined by a shuffle.
+BROADCAST_NODES = 2_000_000
+
+
+@dataclass(frozen=True)
+class Cut:
+    """Segments of a fingerprint of 64 bits: (first bit, width, radius of the ball that is looked up)."""
+
+    segments: tuple[tuple[int, int, int], ...]
+
+    @classmethod
+    def planned(cls, n: int, radius: int) -> Cut:
+        """The cut with the least work for n fingerprints: look-ups, and what each finds if fingerprints were spread evenly.
+
+        Of s segments, if all were off by more than radius // s bits, or by that many for those after the first radius % s + 1, the sum would be above the radius.
+        """
+        if not 0 <= radius <= 12:
+            raise ValueError("a radius of 0 to 12")
+        best = None
+        for s in range(2, radius + 2):
+            share, first = radius // s, radius % s + 1
+            ends = [64 * i // s for i in range(s + 1)]
+            segments = tuple((a, b - a, share if i < first else share - 1) for i, (a, b) in enumerate(zip(ends, ends[1:])) if i < first or share > 0)
+            work = sum(sum(math.comb(w, i) for i in range(ball + 1)) * (1 + n / 2.0**w) for _, w, ball in segments)
+            if best is None or work < best[0]:
+                best = work, segments
+        return cls(best[1] if best else ((0, 64, 0),))
+
+    def segment(self, fp: Column, k: int) -> Column:
+        first, width, _ = self.segments[k]
+        return F.shiftrightunsigned(fp, first).bitwiseAND(F.lit((1 << width) - 1)) if width < 64 else fp
+
+    def masks(self, k: int) -> list[int]:
+        _, width, ball = self.segments[k]
+        return [sum(1 << i for i in bits) for r in range(ball + 1) for bits in combinations(range(width), r)]
+
+
+@dataclass(frozen=True)
+class Wide:
+    """``count`` segments of ``width`` bits, so many in each word of 64, for a similarity of sets."""
+
+    width: int
+    count: int
+    similarity: float
+
+    @classmethod
+    def planned(cls, n: int, similarity: float) -> Wide:
+        """Segments as wide as n sets need to leave PER_BUCKET in a bucket, and as many as find a pair of that similarity, up to a bit, with a chance of FOUND."""
+        width = min(32, max(21, math.ceil(math.log2(max(1, n) / PER_BUCKET))))
+        off = differing(similarity)
+        hit = (1 - off) ** width + width * off * (1 - off) ** (width - 1)
+        return cls(width, math.ceil(math.log(1 - FOUND) / math.log(1 - hit)) if hit < 1 else 1, similarity)
+
+    @property
+    def words(self) -> int:
+        return -(-self.count // (64 // self.width))
+
+    def allowed(self, similarity: float, words: int, deviations: float) -> int:
+        """Differing bits in so many words that sets of a similarity may have."""
+        off = differing(similarity)
+        return int(64 * words * off + deviations * math.sqrt(64 * words * off * (1 - off)))
+
+    def key(self, names: list[str], j: int) -> Column:
+        """The number of segment j, with j above it."""
+        per = 64 // self.width
+        return F.shiftrightunsigned(F.col(names[j // per]), self.width * (j % per)).bitwiseAND(F.lit((1 << self.width) - 1)) + F.lit(j << 40)
+
+
+def differing(similarity: float) -> float:
+    """The expected share of differing bits of two sets of like size with that Jaccard similarity."""
+    return math.acos(min(1.0, 2 * similarity / (1 + similarity))) / math.pi
 
 
 def fingerprint(text: str | None, words: int = WORDS) -> int:
@@ -71,13 +149,9 @@ def _majority(hashes: np.ndarray) -> np.ndarray:
     return np.packbits((2 * total > n).astype(np.uint8), bitorder="little").view("<u8")
 
 
-def wide_fingerprint(text: str | None, words: int = SIMILAR_WORDS) -> np.ndarray:
-    """WIDE words of 64 bits; each mixes the distinct shingles' hashes in its own way."""
-    return _wide(np.unique(_hashes(text, words)))
-
-
-def _wide(hashes: np.ndarray) -> np.ndarray:
-    h = hashes[:, None] + np.arange(1, WIDE + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
+def wide_fingerprint(hashes: np.ndarray, words: int) -> np.ndarray:
+    """So many words of 64 bits; each mixes the distinct shingles' hashes in its own way."""
+    h = hashes[:, None] + np.arange(1, words + 1, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15)
     h = (h ^ (h >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
     h = (h ^ (h >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
     return _majority(h ^ (h >> np.uint64(31)))
@@ -95,119 +169,259 @@ def with_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     return rows.mapInArrow(run, "doc_id long, fp long")
 
 
-def _segment(fp: Column, k: int) -> Column:
-    return F.shiftrightunsigned(fp, SEGMENTS[k][0]).bitwiseAND(F.lit((1 << SEGMENTS[k][1]) - 1))
+def _leaders(members: DataFrame, key: str, node: str, *carried: str) -> DataFrame:
+    """(of_key, leader, leader_*): up to four nodes of each key that has several, by two pseudo-random ranks."""
+    ranks = [F.struct(F.xxhash64(F.col(node), F.lit(i)).alias("r"), F.col(node).alias("leader"), *[F.col(c).alias(f"leader_{c}") for c in carried]) for i in range(2)]
+    picks = [agg(rank).alias(f"l{i}") for i, (agg, rank) in enumerate((a, r) for r in ranks for a in (F.min, F.max))]
+    found = members.groupBy(F.col(key).alias("of_key")).agg(*picks, F.count("*").alias("held")).where("held > 1")
+    return found.select("of_key", F.explode(F.array_distinct(F.array("l0", "l1", "l2", "l3"))).alias("x")).select("of_key", "x.leader", *[f"x.leader_{c}" for c in carried])
 
 
-def _key(k: int, segment: Column) -> Column:
-    return segment + F.lit(k << 24)
+def links(prints: DataFrame, radius: int = RADIUS, n: int | None = None) -> DataFrame:
+    """(a, b) of all pairs of distinct fingerprints (column ``fp``, distinct; ``grp``, if there, null or a group) at ``radius`` or fewer differing bits, and not of one group."""
+    cut = Cut.planned(prints.count() if n is None else n, radius)
+    if "grp" not in prints.columns:
+        prints = prints.withColumn("grp", F.lit(None).cast("long"))
+    tables = _tables(prints, cut).select("key", F.col("fp").alias("b"), F.col("grp").alias("gb"))
+    masks = F.lit([cut.masks(k) for k in range(len(cut.segments))]).cast("array<array<long>>")
+    lookups = _tables(prints, cut).select("fp", "grp", "k", "own", F.explode(F.get(masks, F.col("k"))).alias("mask")).withColumn("near", F.col("own").bitwiseXOR(F.col("mask")))
+    lookups = lookups.where("near <= own").select(_key(F.col("k"), F.col("near")).alias("key_a"), F.col("fp").alias("a"), F.col("grp").alias("ga"), "k", "mask")
 
+    x = F.col("a").bitwiseXOR(F.col("b"))
+    first = F.lit(None).cast("int")
+    for k in range(len(cut.segments) - 1, -1, -1):
+        first = F.when(F.bit_count(cut.segment(x, k)) <= cut.segments[k][2], k).otherwise(first)
+    meets = (F.bit_count(x) <= radius) & (F.col("k") == first) & ((F.col("mask") != 0) | (F.col("a") < F.col("b"))) & ~F.coalesce(F.col("ga") == F.col("gb"), F.lit(False))
+    return lookups.join(tables, (F.col("key_a") == F.col("key")) & meets).select("a", "b")
 
-def links(prints: DataFrame, radius: int = RADIUS) -> DataFrame:
-    """(a, b) of all pairs of distinct fingerprints (column ``fp``, distinct) at ``radius`` or fewer differing bits."""
-    if not 0 <= radius <= 5:
-        raise ValueError("three segments with balls of one bit find every pair only up to radius 5")
-    fp = F.col("fp")
-    tables = prints.select(F.explode(F.array(*[_key(k, _segment(fp, k)) for k in range(3)])).alias("key"), fp.alias("b"))
-    balls = []
-    for k, (_, width) in enumerate(SEGMENTS):
-        own = _segment(fp, k)
-        balls.append(_key(k, own))
-        balls += [F.when(own.bitwiseAND(F.lit(1 << i)) != 0, _key(k, own.bitwiseAND(F.lit(~(1 << i) & 0xFFFFFFFF)))) for i in range(width)]
-    lookups = prints.select(F.explode(F.array(*balls)).alias("key"), fp.alias("a")).where("key is not null")
 
-    x = F.col("a").bitwiseXOR(F.col("b"))
-    apart = [F.bit_count(_segment(x, k)) for k in range(3)]
-    found_by = F.shiftrightunsigned(F.col("key"), 24)
-    first = F.when(apart[0] <= 1, 0).when(apart[1] <= 1, 1).otherwise(2)
-    own = F.when(found_by == 0, apart[0]).when(found_by == 1, apart[1]).otherwise(apart[2])
-    meets = (F.bit_count(x) <= radius) & (found_by == first) & ((own == 1) | (F.col("a") < F.col("b")))
-    return lookups.join(tables.withColumnRenamed("key", "key_b"), (F.col("key") == F.col("key_b")) & meets).select("a", "b")
+def _key(k: Column, segment: Column) -> Column:
+    return segment.bitwiseXOR(F.shiftleft(k.cast("long"), 58))
+
+
+def _tables(prints: DataFrame, cut: Cut) -> DataFrame:
+    """(fp, grp, k, own, key): a row for each segment of each fingerprint."""
+    parts = F.array(*[F.struct(F.lit(k).alias("k"), cut.segment(F.col("fp"), k).alias("own")) for k in range(len(cut.segments))])
+    return prints.select("fp", "grp", F.explode(parts).alias("s")).select("fp", "grp", "s.k", "s.own", _key(F.col("s.k"), F.col("s.own")).alias("key"))
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = WORDS, radius: int = RADIUS) -> DataFrame:
     """(doc_id, fp, component_id): component_id is the smallest id reachable over links of fingerprints."""
     prints, _ = written(with_fingerprints(docs, id_col, text_col, words), "prints")
     nodes, _ = written(prints.groupBy("fp").agg(F.min("doc_id").alias("rep")), "fps")
-    roots = components(links(nodes.select("fp"), radius))
+    n = nodes.count()
+    members = _tables(nodes.withColumn("grp", F.lit(None).cast("long")), Cut.planned(n, radius))
+    leaders = _leaders(members, "key", "fp")
+    close = F.bit_count(F.col("fp").bitwiseXOR(F.col("leader"))) <= radius
+    led, _ = written(members.join(leaders, (F.col("key") == F.col("of_key")) & (F.col("fp") != F.col("leader")) & close).select(F.col("fp").alias("a"), F.col("leader").alias("b")), "led")
+    stars, _ = written(components(led).select(F.col("node").alias("of"), F.col("root").alias("grp")), "stars")
+    grouped = nodes.join(stars, F.col("fp") == F.col("of"), "left").select("fp", "grp")
+    roots = components(links(grouped, radius, n).unionByName(stars.select(F.col("of").alias("a"), F.col("grp").alias("b"))))
     placed = nodes.join(roots, F.col("fp") == F.col("node"), "left").select("fp", "rep", F.coalesce("root", "fp").alias("root"))
     least = placed.groupBy("root").agg(F.min("rep").alias("component_id")).withColumnRenamed("root", "of")
     classes, _ = written(placed.join(least, F.col("root") == F.col("of")).select(F.col("fp").alias("of_fp"), "component_id"), "classes")
     return prints.join(classes, F.col("fp") == F.col("of_fp")).select("doc_id", "fp", "component_id")
 
 
-def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SIMILAR_WORDS, similarity: float = SIMILARITY) -> DataFrame:
-    """(doc_id, component_id) of rows with an id: groups of texts whose sets of shingles are that similar; candidates come by wide fingerprints."""
-    names = [f"f{k}" for k in range(WIDE)]
+# --- similarity of shingle sets ----------------------------------------------------------------------------------------
+
+
+def _wide_prints(docs: DataFrame, id_col: str, text_col: str, words: int, plan: Wide) -> DataFrame:
+    """(doc_id, h, set_id, shingles, n, row, f0...) of the rows that have an id: the text's MD5, its set of shingle hashes and the set's fingerprint."""
+    names = [f"f{k}" for k in range(plan.words)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            sets = [np.unique(_hashes(t.as_py(), words)) for t in batch.column(1)]
-            prints = np.array([_wide(x) for x in sets], np.uint64).reshape(-1, WIDE).view(np.int64)
-            ids = pa.array([hashlib.md5(x.tobytes()).hexdigest() for x in sets], pa.string())
-            yield pa.RecordBatch.from_arrays([batch.column(0), ids, pa.array([x.view(np.int64) for x in sets], pa.list_(pa.int64())), *(pa.array(c) for c in prints.T)], names=["doc_id", "set_id", "shingles", *names])
-
-    rows = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    rows = rows.mapInArrow(run, "doc_id long, set_id string, shingles array<long>, " + ", ".join(f"{n} long" for n in names))
-    prints, _ = written(rows.withColumn("n", F.size("shingles")).withColumn("row", F.monotonically_increasing_id()), "wide")
-    nodes, _ = written(prints.groupBy("set_id", "n", *names).agg(F.min("row").alias("node"), F.min("doc_id").alias("least")), "nodes")
-    keys = F.array(*[_key(j, _segment(F.col(names[j // 3]), j % 3)) for j in range(3 * WIDE)])
-
-    def verified(candidates: DataFrame) -> DataFrame:
-        pairs = candidates.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-        side = lambda x: nodes.select(F.col("node").alias(f"n{x}"), F.col("n").alias(f"size{x}"), *[F.col(n).alias(f"{x}{n}") for n in names])
-        apart = sum((F.bit_count(F.col(f"x{n}").bitwiseXOR(F.col(f"y{n}"))) for n in names), F.lit(0))
-        alike = (apart <= allowed_bits(similarity)) & (F.least("sizex", "sizey") >= similarity * F.greatest("sizex", "sizey") - 1e-6)
-        near, _ = written(pairs.join(side("x"), F.col("a") == F.col("nx")).join(side("y"), (F.col("b") == F.col("ny")) & alike).select("a", "b"), "near")
-        needed, _ = written(near.select(F.explode(F.array("a", "b")).alias("of")).distinct(), "needed")
-        needed = F.broadcast(needed) if needed.count() <= BROADCAST_NODES else needed
-        sets, _ = written(prints.select("row", "shingles").join(needed, F.col("row") == F.col("of"), "left_semi"), "sets")
-        both = near.join(sets.select(F.col("row").alias("rx"), F.col("shingles").alias("x")), F.col("a") == F.col("rx")).join(sets.select(F.col("row").alias("ry"), F.col("shingles").alias("y")), F.col("b") == F.col("ry"))
-        common = F.size(F.array_intersect("x", "y"))
-        return both.where(common * (1 + similarity) >= similarity * (F.size("x") + F.size("y")) - 1e-6).select("a", "b")
-
-    close = F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= FIRST_WORD
-    group = F.when(F.col("root").isNotNull(), F.abs(F.xxhash64("root") % 2**31) + 1).otherwise(0)
-    apart = (F.col("ga") == 0) | (F.col("ga") != F.col("gb"))
-    members = nodes.select(F.col("node").alias("b"), F.col("f0").alias("fb"), F.explode(keys).alias("k"))
-    rank = F.struct(F.xxhash64("b").alias("r"), F.col("b").alias("a"), F.col("fb").alias("fa"))
-    leaders = members.groupBy(F.col("k").alias("key")).agg(F.min(rank).alias("low"), F.max(rank).alias("high"), F.count("*").alias("n")).where("n > 1")
-    leaders = leaders.select("key", F.explode(F.array("low", "high")).alias("x")).select("key", "x.a", "x.fa")
-    found = verified(members.join(leaders, (F.col("k") == F.col("key")) & (F.col("a") != F.col("b")) & close))
-    stars, _ = written(components(found).select(F.col("node").alias("of"), "root"), "stars")
-    tables, _ = written(nodes.select("node", "f0", keys.alias("keys")).join(stars, F.col("node") == F.col("of"), "left").select("node", "f0", group.alias("group"), F.explode("keys").alias("key")), "segments")
-
-    key = F.col("key")
-    cleared = [F.struct(F.when(key.bitwiseAND(F.lit(1 << i)) != 0, key.bitwiseAND(F.lit(~(1 << i)))).alias("key"), F.lit(False).alias("same")) for i in range(22)]
-    lookups = tables.select("node", "f0", "group", F.explode(F.array(F.struct(key.alias("key"), F.lit(True).alias("same")), *cleared)).alias("x"))
-    lookups = lookups.select(F.col("node").alias("a"), F.col("f0").alias("fa"), F.col("group").alias("ga"), "x.key", "x.same").where("key is not null")
-    others = tables.select(F.col("node").alias("b"), F.col("f0").alias("fb"), F.col("group").alias("gb"), key.alias("k"))
-    meets = close & apart & (~F.col("same") | (F.col("a") < F.col("b")))
-    across = verified(lookups.join(others, (F.col("key") == F.col("k")) & meets))
-    roots = components(across.unionByName(stars.select(F.col("of").alias("a"), F.col("root").alias("b")))).withColumnRenamed("node", "of_node")
-    placed = nodes.join(roots, F.col("node") == F.col("of_node"), "left").select("set_id", "least", F.coalesce("root", "node").alias("root"))
-    smallest = placed.groupBy("root").agg(F.min("least").alias("component_id")).withColumnRenamed("root", "of")
-    classes, _ = written(placed.join(smallest, F.col("root") == F.col("of")).select(F.col("set_id").alias("of_set"), "component_id"), "classes")
-    return prints.join(classes, F.col("set_id") == F.col("of_set")).select("doc_id", "component_id")
-
-
-def allowed_bits(similarity: float) -> int:
-    """Differing bits of wide fingerprints that a Jaccard similarity of sets of like size allows: the expected ones and DEVIATIONS standard deviations."""
-    share = np.arccos(2 * similarity / (1 + similarity)) / np.pi
-    return int(64 * WIDE * share + DEVIATIONS * np.sqrt(64 * WIDE * share * (1 - share)))
+            for at in range(0, batch.num_rows, 500):
+                part = batch.slice(at, 500)
+                sets = [np.unique(_hashes(t.as_py(), words)) for t in part.column(2)]
+                prints = np.array([wide_fingerprint(x, plan.words) for x in sets], np.uint64).reshape(-1, plan.words).view(np.int64)
+                ids = pa.array([hashlib.md5(x.tobytes()).hexdigest() for x in sets], pa.string())
+                shingles = pa.array([x.view(np.int64) for x in sets], pa.list_(pa.int64()))
+                yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), ids, shingles, *(pa.array(np.ascontiguousarray(c)) for c in prints.T)], names=["doc_id", "h", "set_id", "shingles", *names])
+
+    text = F.col(text_col).cast("string")
+    rows = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.md5(text.cast("binary")).alias("h"), text.alias("text"))
+    rows = rows.mapInArrow(run, "doc_id long, h string, set_id string, shingles array<long>, " + ", ".join(f"{n} long" for n in names))
+    return rows.withColumn("n", F.size("shingles")).withColumn("row", F.monotonically_increasing_id())
+
+
+def clusters(nodes: DataFrame, plan: Wide) -> DataFrame:
+    """(node, f0..., as many words as ``plan`` has) -> (node, cluster) of all nodes that may have a partner; partners are in one cluster."""
+    names = [f"f{k}" for k in range(plan.words)]
+    keys = F.array(*[plan.key(names, j) for j in range(plan.count)])
+    first = F.bit_count(F.col("fa").bitwiseXOR(F.col("fb")))
+
+    def near(pairs: DataFrame, allowed: int) -> DataFrame:
+        ends = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        side = lambda x: nodes.select(F.col("node").alias(f"n{x}"), *[F.col(n).alias(f"{x}{n}") for n in names])
+        off = sum((F.bit_count(F.col(f"x{n}").bitwiseXOR(F.col(f"y{n}"))) for n in names), F.lit(0))
+        return written(ends.join(side("x"), F.col("a") == F.col("nx")).join(side("y"), (F.col("b") == F.col("ny")) & (off <= allowed)).select("a", "b"), "near")[0]
+
+    soft = SOFT * plan.similarity
+    members = nodes.select("node", "f0", F.explode(keys).alias("key"))
+    leaders = _leaders(members, "key", "node", "f0").withColumnRenamed("leader_f0", "fb")
+    led = members.withColumnRenamed("f0", "fa").join(leaders, (F.col("key") == F.col("of_key")) & (F.col("node") != F.col("leader")) & (first <= plan.allowed(soft, 1, 1)))
+    stars, _ = written(components(near(led.select(F.col("node").alias("a"), F.col("leader").alias("b")), plan.allowed(soft, plan.words, 0))).select(F.col("node").alias("of"), "root"), "stars")
+
+    tables, _ = written(nodes.select("node", "f0", keys.alias("keys")).join(stars, F.col("node") == F.col("of"), "left").select("node", "f0", F.col("root").alias("star"), F.explode("keys").alias("key")), "segments")
+    masks = F.lit([0, *(1 << i for i in range(plan.width))]).cast("array<long>")
+    lookups = tables.select("node", "f0", "star", "key", F.explode(masks).alias("mask")).withColumn("near", F.col("key").bitwiseXOR(F.col("mask"))).where("near <= key")
+    lookups = lookups.select(F.col("node").alias("a"), F.col("f0").alias("fa"), F.col("star").alias("sa"), F.col("near").alias("key_a"), (F.col("mask") == 0).alias("same"))
+    others = tables.select(F.col("node").alias("b"), F.col("f0").alias("fb"), F.col("star").alias("sb"), "key")
+    apart = ~F.coalesce(F.col("sa") == F.col("sb"), F.lit(False)) & (~F.col("same") | (F.col("a") < F.col("b")))
+    met = lookups.join(others, (F.col("key_a") == F.col("key")) & apart & (first <= plan.allowed(plan.similarity, 1, DEVIATIONS)))
+    across = near(met.select("a", "b"), plan.allowed(plan.similarity, plan.words, DEVIATIONS))
+    return components(across.unionByName(stars.select(F.col("of").alias("a"), F.col("root").alias("b")))).select("node", F.col("root").alias("cluster"))
+
+
+def common_shingles(sets: list[np.ndarray]) -> np.ndarray:
+    """How many numbers any two of the sets (sorted, distinct) have in common, as a matrix; the diagonal is 0."""
+    m = len(sets)
+    owner = np.repeat(np.arange(m), [len(s) for s in sets])
+    flat = np.concatenate(sets) if m else np.empty(0, np.int64)
+    by = np.argsort(flat, kind="stable")
+    flat, owner = flat[by], owner[by]
+    starts = np.flatnonzero(np.concatenate(([True], flat[1:] != flat[:-1]))) if len(flat) else np.empty(0, np.int64)
+    held = np.diff(np.append(starts, len(flat)))
+    out = np.zeros((m, m), np.float32)
+    entry = np.repeat(held, held)
+    few = owner[(entry > 1) & (entry <= COMMON)]
+    left = np.repeat(held[(held > 1) & (held <= COMMON)], held[(held > 1) & (held <= COMMON)])
+    nth = np.arange(len(left)) - np.repeat(np.cumsum(held[(held > 1) & (held <= COMMON)]) - held[(held > 1) & (held <= COMMON)], held[(held > 1) & (held <= COMMON)])
+    for d in range(1, COMMON):
+        at = np.flatnonzero(nth + d < left)
+        if not len(at):
+            break
+        np.add.at(out, (few[at], few[at + d]), 1)
+    many = held > COMMON
+    column = np.repeat(np.cumsum(many) - 1, held)[entry > COMMON]
+    rows = owner[entry > COMMON]
+    for a in range(0, int(many.sum()), 2048):
+        here = (column >= a) & (column < a + 2048)
+        has = np.zeros((m, 2048), np.float32)
+        has[rows[here], column[here] - a] = 1
+        out += np.triu(has @ has.T, 1)
+    return out + out.T
+
+
+def _roots(n: int, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+    """The least of all that are connected with each of n, by the given links."""
+    root = np.arange(n)
+    while True:
+        after = root.copy()
+        least = np.minimum(root[a], root[b])
+        np.minimum.at(after, a, least)
+        np.minimum.at(after, b, least)
+        after = after[after]
+        if (after == root).all():
+            return root
+        root = after
+
+
+def _met(rows: DataFrame, keys: list[str], similarity: float) -> DataFrame:
+    """(node, root) of the nodes that a group of rows (by ``keys``, each as large as two parts) links: node, query, label, shingles.
+
+    Only pairs count of which one is a query and whose labels differ.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for group in groups(batches, keys):
+            node, at = np.unique(group.column("node").to_numpy(), return_index=True)
+            if len(node) < 2:
+                continue
+            asked = np.zeros(len(node), bool)
+            np.logical_or.at(asked, np.searchsorted(node, group.column("node").to_numpy()), group.column("query").to_numpy())
+            label = group.column("label").to_numpy()[at]
+            shingles = group.column("shingles").combine_chunks()
+            shingles = shingles.chunk(0) if isinstance(shingles, pa.ChunkedArray) else shingles
+            ends, flat = shingles.offsets.to_numpy(), shingles.values.to_numpy()
+            sets = [flat[ends[i] : ends[i + 1]] for i in at.tolist()]
+            size = np.array([len(s) for s in sets], np.float64)
+            alike = common_shingles(sets).astype(np.float64) * (1 + similarity) >= similarity * (size[:, None] + size[None, :]) - 1e-6
+            a, b = np.nonzero(np.triu(alike & (asked[:, None] | asked[None, :]) & (label[:, None] != label[None, :]), 1))
+            if len(a):
+                root = _roots(len(node), a, b)
+                linked = np.unique(np.concatenate((a, b)))
+                yield pa.RecordBatch.from_pydict({"node": node[linked], "root": node[root[linked]]})
+
+    columns = [*keys, "node", "query", "label", "shingles"]
+    return rows.select(*columns).repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, "node long, root long")
+
+
+def _small(df: DataFrame) -> DataFrame:
+    return F.broadcast(df) if df.count() <= BROADCAST_NODES else df
+
+
+def verified(prints: DataFrame, placed: DataFrame, similarity: float) -> DataFrame:
+    """(a, b): links by which all sets of a cluster that are as similar as asked are connected. ``prints``: (row, n, shingles); ``placed``: (node, cluster)."""
+    sizes = prints.select("row", "n").join(_small(placed), F.col("row") == F.col("node")).groupBy("cluster").agg(F.count("*").alias("held"), F.sum("n").alias("total"))
+    parts = F.greatest(F.ceil(F.col("held") / PART_SETS), F.ceil(F.col("total") / PART_SHINGLES)).cast("int")
+    large, _ = written(sizes.withColumn("parts", parts).where("parts > 1").select(F.col("cluster").alias("of"), "parts"), "large")
+    which, _ = written(placed.join(_small(large), F.col("cluster") == F.col("of"), "left").select("node", "cluster", F.coalesce("parts", F.lit(1)).alias("parts")), "which")
+    sets = prints.select("row", "n", "shingles").join(_small(which), F.col("row") == F.col("node")).select("cluster", "parts", F.pmod(F.xxhash64("node"), F.col("parts")).cast("int").alias("part"), "node", "n", "shingles")
+    sets, _ = written(sets, "sets")
+    rank = F.struct(F.xxhash64("node", F.lit(1)).alias("r"), F.col("node").alias("l"))
+    chosen = which.where("parts > 1").groupBy("cluster").agg(F.min(rank)["l"].alias("low"), F.max(rank)["l"].alias("high")).select(F.explode(F.array("low", "high")).alias("l"))
+    chosen, _ = written(chosen, "leaders")
+    sets_led = sets.join(_small(chosen), F.col("node") == F.col("l"), "left")
+    everywhere = F.when(F.col("l").isNotNull(), F.sequence(F.lit(0), F.col("parts") - 1)).otherwise(F.array("part"))
+    rows = sets_led.select("cluster", F.explode(everywhere).alias("at"), "node", F.lit(True).alias("query"), F.col("node").alias("label"), "shingles")
+    inside, _ = written(_met(rows, ["cluster", "at"], similarity), "inside")
+    found = inside.select(F.col("node").alias("a"), F.col("root").alias("b"))
+    if large.isEmpty():
+        return found
+
+    # what a large cluster's parts have left: sets that are not of its largest group meet the sets of all parts
+    of_large = which.where("parts > 1")
+    roots = components(found.join(of_large.select("node"), F.col("a") == F.col("node"), "left_semi")).withColumnRenamed("node", "of_node")
+    labelled, _ = written(of_large.join(roots, F.col("node") == F.col("of_node"), "left").select("node", "cluster", F.coalesce("root", "node").alias("label")), "labelled")
+    most = labelled.groupBy("cluster", "label").agg(F.count("*").alias("k")).groupBy("cluster").agg(F.max(F.struct("k", "label"))["label"].alias("most"))
+    marked = labelled.join(_small(most.withColumnRenamed("cluster", "of")), F.col("cluster") == F.col("of")).select("node", "label", (F.col("label") != F.col("most")).alias("query"), F.col("cluster").alias("c"))
+    marked, _ = written(marked.withColumnRenamed("node", "m"), "marked")
+    whole = sets.where("parts > 1").join(_small(marked.drop("c")), F.col("node") == F.col("m"))
+    whole, _ = written(whole.select("cluster", "parts", "part", "node", "n", "label", "query", "shingles"), "whole")
+    left = whole.where("query").groupBy(F.col("cluster").alias("of")).agg(F.greatest(F.ceil(F.count("*") / PART_SETS), F.ceil(F.sum("n") / PART_SHINGLES)).cast("int").alias("asking"))
+    whole = whole.join(_small(written(left, "asking")[0]), F.col("cluster") == F.col("of"))
+    queries = whole.where("query").select("cluster", F.pmod(F.xxhash64("node", F.lit(2)), F.col("asking")).cast("int").alias("ask"), F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("at"), "node", "query", "label", "shingles")
+    targets = whole.select("cluster", F.explode(F.sequence(F.lit(0), F.col("asking") - 1)).alias("ask"), F.col("part").alias("at"), "node", F.lit(False).alias("query"), "label", "shingles")
+    across, _ = written(_met(queries.unionByName(targets), ["cluster", "ask", "at"], similarity), "across")
+    return found.unionByName(across.select(F.col("node").alias("a"), F.col("root").alias("b")))
+
+
+def _classes(docs: DataFrame, id_col: str, text_col: str, words: int, similarity: float) -> DataFrame:
+    """(doc_id, h, first_id, first_h): each row with an id, and the least (id, MD5 of the text) of its group."""
+    plan = Wide.planned(docs.count(), similarity)
+    names = [f"f{k}" for k in range(plan.words)]
+    prints, _ = written(_wide_prints(docs, id_col, text_col, words, plan), "wide")
+    least = F.struct("doc_id", F.coalesce("h", F.lit("")).alias("h"))
+    nodes, _ = written(prints.groupBy("set_id", *names).agg(F.min("row").alias("node"), F.min(least).alias("least")), "nodes")
+    placed, _ = written(clusters(nodes.select("node", *names), plan), "clusters")
+    roots = components(verified(prints, placed, similarity)).withColumnRenamed("node", "of_node")
+    rooted = nodes.join(roots, F.col("node") == F.col("of_node"), "left").select("set_id", "least", F.coalesce("root", "node").alias("root"))
+    smallest = rooted.groupBy("root").agg(F.min("least").alias("first")).withColumnRenamed("root", "of")
+    found, _ = written(rooted.join(smallest, F.col("root") == F.col("of")).select(F.col("set_id").alias("of_set"), F.col("first.doc_id").alias("first_id"), F.col("first.h").alias("first_h")), "classes")
+    return prints.select("doc_id", "h", "set_id").join(found, F.col("set_id") == F.col("of_set")).select("doc_id", "h", "first_id", "first_h")
+
+
+def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SIMILAR_WORDS, similarity: float = SIMILARITY) -> DataFrame:
+    """(doc_id, component_id) of rows with an id: groups of texts whose sets of shingles are that similar; candidates come by wide fingerprints."""
+    return _classes(docs, id_col, text_col, words, similarity).select("doc_id", F.col("first_id").alias("component_id"))
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SIMILAR_WORDS, similarity: float = SIMILARITY) -> DataFrame:
-    """The rows of ``docs``, all columns, one of each group of similar texts: that of the smallest id.
+    """The rows of ``docs``, all columns, one of each group of similar texts: that of the smallest id, and of the smallest MD5 of the text among rows of that id.
 
-    Of rows that share that id, the first by the text's MD5 stays. Rows with a null id stay as they are.
+    Of rows with one id and one text, the first by their columns as JSON stays. Rows with a null id or a null text stay as they are.
     """
-    groups = similar_groups(docs, id_col, text_col, words, similarity)
-    kept = groups.where("doc_id = component_id").select(F.col("doc_id").alias("kept_id")).distinct()
-    rows = docs.select(F.col(id_col).cast("long").alias("id"), F.md5(F.col(text_col).cast("string").cast("binary")).alias("h"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
-    first = F.row_number().over(Window.partitionBy("kept_id").orderBy(F.asc_nulls_first("h")))
-    stay = rows.join(kept, F.col("id") == F.col("kept_id")).withColumn("nth", first).where("nth = 1")
-    return stay.select("row.*").unionByName(docs.where(F.col(id_col).isNull()))
+    null = F.col(id_col).isNull() | F.col(text_col).isNull()
+    texts = docs.where(~null)
+    kept = _classes(texts, id_col, text_col, words, similarity).where("doc_id = first_id and h = first_h").select(F.col("doc_id").alias("kept_id"), F.col("h").alias("kept_h")).distinct()
+    others = [F.col(f"`{c}`") for c in docs.columns if c != text_col]
+    rows = texts.select(F.col(id_col).cast("long").alias("id"), F.md5(F.col(text_col).cast("string").cast("binary")).alias("h"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.to_json(F.struct(*others)).alias("as_json"))
+    first = F.row_number().over(Window.partitionBy("kept_id", "kept_h").orderBy("as_json"))
+    stay = rows.join(kept, (F.col("id") == F.col("kept_id")) & (F.col("h") == F.col("kept_h"))).withColumn("nth", first).where("nth = 1")
+    return stay.select("row.*").unionByName(docs.where(null))
 
 
 def digest(docs: DataFrame) -> DataFrame:
