@@ -28,6 +28,8 @@ import tiktoken
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from keyloom.llm.common import released
+
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
 #: Pieces that a worker remembers, and the length up to which it does.
 REMEMBERED, REMEMBERED_CHARS = 400_000, 48
@@ -215,7 +217,7 @@ def _mapped(docs: DataFrame, schema: str, row, id_col: str, value_col: str, kind
 
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(value_col).cast(kind).alias("value"))
     names = ["doc_id", *(x.split()[0] for x in schema.split(", "))]
-    return rows.mapInArrow(run, f"doc_id {rows.schema[0].dataType.simpleString()}, {schema}")
+    return rows.mapInArrow(released(run), f"doc_id {rows.schema[0].dataType.simpleString()}, {schema}")
 
 
 def encode(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", vocabulary: str | None = None, pattern: str = public_tokenizers.PATTERN) -> DataFrame:

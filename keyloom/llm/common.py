@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import ctypes
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -11,7 +12,7 @@ from pyspark.sql import DataFrame, SparkSession
 from keyloom.operators.components import components
 from keyloom.plans.scratch import remove, shared_dir, written
 
-__all__ = ["SPACE", "components", "groups", "remove", "shared_dir", "table", "written"]
+__all__ = ["SPACE", "components", "groups", "released", "remove", "shared_dir", "table", "written"]
 
 #: Words end at these bytes, as the contracts of the queries have them.
 SPACE = r"\x20\x09-\x0D"
@@ -38,3 +39,17 @@ def groups(batches: Iterator[pa.RecordBatch], keys: list[str]) -> Iterator[pa.Ta
             held.append(part)
     if held:
         yield pa.Table.from_batches(held)
+
+
+def released(run: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """``run``, after which a task's memory goes back to the system: Python workers are used again, and their allocators would keep it."""
+
+    def wrapped(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        try:
+            yield from run(batches)
+        finally:
+            pa.default_memory_pool().release_unused()
+            if hasattr(libc := ctypes.CDLL(None), "malloc_trim"):
+                libc.malloc_trim(0)
+
+    return wrapped

@@ -20,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from keyloom.llm.common import released
+
 PROFILE = 400
 UNKNOWN = "und"
 #: A code point takes so many bits of an n-gram's number; no letter is 1, which stands for a boundary.
@@ -116,7 +118,7 @@ def learn(docs: DataFrame, allowed: Column, text_col: str = "text", lang_col: st
                 yield pa.RecordBatch.from_arrays([pa.array([lang] * len(keys), pa.string()), pa.array(keys), pa.array(total.counts[at : at + 100_000])], names=["lang", "g", "n"])
 
     rows = docs.where(allowed).select(F.col(text_col).cast("string").alias("text"), F.col(lang_col).cast("string").alias("lang")).where("text is not null and lang is not null")
-    counts = rows.mapInArrow(count, "lang string, g long, n long").groupBy("lang", "g").agg(F.sum("n").alias("n"))
+    counts = rows.mapInArrow(released(count), "lang string, g long, n long").groupBy("lang", "g").agg(F.sum("n").alias("n"))
     order = Window.partitionBy("lang").orderBy(F.desc("n"), "g")
     found = counts.withColumn("place", F.row_number().over(order)).where(F.col("place") <= size).select("lang", "place", "g").collect()
     by_language: dict[str, list[int]] = {}
@@ -136,7 +138,7 @@ def predict(docs: DataFrame, profiles: Profiles, id_col: str = "doc_id", text_co
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([f[0] for f in found], pa.string()), pa.array([f[1] for f in found], pa.float64())], names=["doc_id", "lang_pred", "score"])
 
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(run, f"doc_id {rows.schema[0].dataType.simpleString()}, lang_pred string, score double")
+    return rows.mapInArrow(released(run), f"doc_id {rows.schema[0].dataType.simpleString()}, lang_pred string, score double")
 
 
 def held_out(id_col: str = "doc_id") -> Column:

@@ -35,21 +35,25 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from keyloom.llm.common import components, groups, written
+from keyloom.llm.common import components, groups, released, written
 
 WORDS = 4
 RADIUS = 4
 SIMILAR_WORDS, SIMILARITY = 5, 0.8
 #: Chance that the segments find a pair of just the similarity asked; deviations that its differing bits may be off; sets a bucket of a segment may hold if they were spread evenly.
 FOUND, DEVIATIONS, PER_BUCKET = 0.98, 3, 64
+#: Bits of the shortest segments, and words of the shortest wide fingerprints.
+LEAST_WIDTH, LEAST_WORDS = 16, 8
+#: Words of a wide fingerprint that go with its segments and are compared inside the join; a pair of unlike sets has 64 differing bits of them, give or take 6.
+HEAD_WORDS = 2
 #: The part of the similarity asked that puts two sets into one cluster when one of them is a leader.
 SOFT = 0.5
 #: Sets, and shingles, of a part of a large cluster; two parts and the leaders meet in a task.
 PART_SETS, PART_SHINGLES = 1_000, 1_000_000
 #: Shingles in more sets of a block than this are counted by a matrix product, others by their pairs.
 COMMON = 16
-#: Tables of up to so many rows (16 bytes each) are broadcast, larger ones are joined by a shuffle.
-BROADCAST_NODES = 2_000_000
+#: Tables of up to so many rows (16 bytes each, some 50 in memory) are broadcast, larger ones are joined by a shuffle.
+BROADCAST_NODES = 1_000_000
 
 
 @dataclass(frozen=True)
@@ -87,7 +91,7 @@ class Cut:
 
 @dataclass(frozen=True)
 class Wide:
-    """``count`` segments of ``width`` bits, so many in each word of 64, for a similarity of sets."""
+    """``count`` segments of ``width`` bits, as many in each word of 64 as fit, for a similarity of sets."""
 
     width: int
     count: int
@@ -96,14 +100,14 @@ class Wide:
     @classmethod
     def planned(cls, n: int, similarity: float) -> Wide:
         """Segments as wide as n sets need to leave PER_BUCKET in a bucket, and as many as find a pair of that similarity, up to a bit, with a chance of FOUND."""
-        width = min(32, max(21, math.ceil(math.log2(max(1, n) / PER_BUCKET))))
+        width = min(32, max(LEAST_WIDTH, math.ceil(math.log2(max(1, n) / PER_BUCKET))))
         off = differing(similarity)
         hit = (1 - off) ** width + width * off * (1 - off) ** (width - 1)
         return cls(width, math.ceil(math.log(1 - FOUND) / math.log(1 - hit)) if hit < 1 else 1, similarity)
 
     @property
     def words(self) -> int:
-        return -(-self.count // (64 // self.width))
+        return max(LEAST_WORDS, -(-self.count // (64 // self.width)))
 
     def allowed(self, similarity: float, words: int, deviations: float) -> int:
         """Differing bits in so many words that sets of a similarity may have."""
@@ -166,7 +170,7 @@ def with_fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(prints.view(np.int64))], names=["doc_id", "fp"])
 
     rows = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, fp long")
+    return rows.mapInArrow(released(run), "doc_id long, fp long")
 
 
 def _leaders(members: DataFrame, key: str, node: str, *carried: str) -> DataFrame:
@@ -227,7 +231,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
 
 def _wide_prints(docs: DataFrame, id_col: str, text_col: str, words: int, plan: Wide) -> DataFrame:
-    """(doc_id, h, set_id, shingles, n, row, f0...) of the rows that have an id: the text's MD5, its set of shingle hashes and the set's fingerprint."""
+    """(doc_id, h, set_id, shingles, n, row, f0...) of the rows that have an id: the text's XXH64, its set of shingle hashes and the set's fingerprint."""
     names = [f"f{k}" for k in range(plan.words)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -241,8 +245,8 @@ def _wide_prints(docs: DataFrame, id_col: str, text_col: str, words: int, plan:
                 yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), ids, shingles, *(pa.array(np.ascontiguousarray(c)) for c in prints.T)], names=["doc_id", "h", "set_id", "shingles", *names])
 
     text = F.col(text_col).cast("string")
-    rows = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.md5(text.cast("binary")).alias("h"), text.alias("text"))
-    rows = rows.mapInArrow(run, "doc_id long, h string, set_id string, shingles array<long>, " + ", ".join(f"{n} long" for n in names))
+    rows = docs.where(F.col(id_col).isNotNull()).select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(text).alias("h"), text.alias("text"))
+    rows = rows.mapInArrow(released(run), "doc_id long, h long, set_id string, shingles array<long>, " + ", ".join(f"{n} long" for n in names))
     return rows.withColumn("n", F.size("shingles")).withColumn("row", F.monotonically_increasing_id())
 
 
@@ -250,27 +254,28 @@ def clusters(nodes: DataFrame, plan: Wide) -> DataFrame:
     """(node, f0..., as many words as ``plan`` has) -> (node, cluster) of all nodes that may have a partner; partners are in one cluster."""
     names = [f"f{k}" for k in range(plan.words)]
     keys = F.array(*[plan.key(names, j) for j in range(plan.count)])
-    first = F.bit_count(F.col("fa").bitwiseXOR(F.col("fb")))
+    head = names[:HEAD_WORDS]
+    called = lambda x: [F.col(n).alias(f"{x}_{n}") for n in head]
+    bits = lambda x, y, of: sum((F.bit_count(F.col(f"{x}_{n}").bitwiseXOR(F.col(f"{y}_{n}"))) for n in of), F.lit(0))
 
     def near(pairs: DataFrame, allowed: int) -> DataFrame:
         ends = pairs.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-        side = lambda x: nodes.select(F.col("node").alias(f"n{x}"), *[F.col(n).alias(f"{x}{n}") for n in names])
-        off = sum((F.bit_count(F.col(f"x{n}").bitwiseXOR(F.col(f"y{n}"))) for n in names), F.lit(0))
-        return written(ends.join(side("x"), F.col("a") == F.col("nx")).join(side("y"), (F.col("b") == F.col("ny")) & (off <= allowed)).select("a", "b"), "near")[0]
+        side = lambda x: nodes.select(F.col("node").alias(f"n{x}"), *[F.col(n).alias(f"{x}_{n}") for n in names])
+        return written(ends.join(side("x"), F.col("a") == F.col("nx")).join(side("y"), (F.col("b") == F.col("ny")) & (bits("x", "y", names) <= allowed)).select("a", "b"), "near")[0]
 
     soft = SOFT * plan.similarity
-    members = nodes.select("node", "f0", F.explode(keys).alias("key"))
-    leaders = _leaders(members, "key", "node", "f0").withColumnRenamed("leader_f0", "fb")
-    led = members.withColumnRenamed("f0", "fa").join(leaders, (F.col("key") == F.col("of_key")) & (F.col("node") != F.col("leader")) & (first <= plan.allowed(soft, 1, 1)))
-    stars, _ = written(components(near(led.select(F.col("node").alias("a"), F.col("leader").alias("b")), plan.allowed(soft, plan.words, 0))).select(F.col("node").alias("of"), "root"), "stars")
+    members = nodes.select("node", *head, F.explode(keys).alias("key"))
+    leaders = _leaders(members, "key", "node", *head)
+    led = members.select("key", F.col("node").alias("a"), *called("a")).join(leaders, (F.col("key") == F.col("of_key")) & (F.col("a") != F.col("leader")) & (bits("a", "leader", head) <= plan.allowed(soft, HEAD_WORDS, 1)))
+    stars, _ = written(components(near(led.select("a", F.col("leader").alias("b")), plan.allowed(soft, plan.words, 0))).select(F.col("node").alias("of"), "root"), "stars")
 
-    tables, _ = written(nodes.select("node", "f0", keys.alias("keys")).join(stars, F.col("node") == F.col("of"), "left").select("node", "f0", F.col("root").alias("star"), F.explode("keys").alias("key")), "segments")
+    tables, _ = written(nodes.select("node", *head, keys.alias("keys")).join(stars, F.col("node") == F.col("of"), "left").select("node", *head, F.col("root").alias("star"), F.explode("keys").alias("key")), "segments")
     masks = F.lit([0, *(1 << i for i in range(plan.width))]).cast("array<long>")
-    lookups = tables.select("node", "f0", "star", "key", F.explode(masks).alias("mask")).withColumn("near", F.col("key").bitwiseXOR(F.col("mask"))).where("near <= key")
-    lookups = lookups.select(F.col("node").alias("a"), F.col("f0").alias("fa"), F.col("star").alias("sa"), F.col("near").alias("key_a"), (F.col("mask") == 0).alias("same"))
-    others = tables.select(F.col("node").alias("b"), F.col("f0").alias("fb"), F.col("star").alias("sb"), "key")
+    lookups = tables.select("node", *head, "star", "key", F.explode(masks).alias("mask")).withColumn("near", F.col("key").bitwiseXOR(F.col("mask"))).where("near <= key")
+    lookups = lookups.select(F.col("node").alias("a"), *called("a"), F.col("star").alias("sa"), F.col("near").alias("key_a"), (F.col("mask") == 0).alias("same"))
+    others = tables.select(F.col("node").alias("b"), *called("b"), F.col("star").alias("sb"), "key")
     apart = ~F.coalesce(F.col("sa") == F.col("sb"), F.lit(False)) & (~F.col("same") | (F.col("a") < F.col("b")))
-    met = lookups.join(others, (F.col("key_a") == F.col("key")) & apart & (first <= plan.allowed(plan.similarity, 1, DEVIATIONS)))
+    met = lookups.join(others, (F.col("key_a") == F.col("key")) & apart & (bits("a", "b", head) <= plan.allowed(plan.similarity, HEAD_WORDS, DEVIATIONS)))
     across = near(met.select("a", "b"), plan.allowed(plan.similarity, plan.words, DEVIATIONS))
     return components(across.unionByName(stars.select(F.col("of").alias("a"), F.col("root").alias("b")))).select("node", F.col("root").alias("cluster"))
 
@@ -346,7 +351,7 @@ def _met(rows: DataFrame, keys: list[str], similarity: float) -> DataFrame:
                 yield pa.RecordBatch.from_pydict({"node": node[linked], "root": node[root[linked]]})
 
     columns = [*keys, "node", "query", "label", "shingles"]
-    return rows.select(*columns).repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, "node long, root long")
+    return rows.select(*columns).repartition(*keys).sortWithinPartitions(*keys).mapInArrow(released(run), "node long, root long")
 
 
 def _small(df: DataFrame) -> DataFrame:
@@ -390,11 +395,11 @@ def verified(prints: DataFrame, placed: DataFrame, similarity: float) -> DataFra
 
 
 def _classes(docs: DataFrame, id_col: str, text_col: str, words: int, similarity: float) -> DataFrame:
-    """(doc_id, h, first_id, first_h): each row with an id, and the least (id, MD5 of the text) of its group."""
+    """(doc_id, h, first_id, first_h): each row with an id, and the least (id, XXH64 of the text) of its group."""
     plan = Wide.planned(docs.count(), similarity)
     names = [f"f{k}" for k in range(plan.words)]
     prints, _ = written(_wide_prints(docs, id_col, text_col, words, plan), "wide")
-    least = F.struct("doc_id", F.coalesce("h", F.lit("")).alias("h"))
+    least = F.struct("doc_id", "h")
     nodes, _ = written(prints.groupBy("set_id", *names).agg(F.min("row").alias("node"), F.min(least).alias("least")), "nodes")
     placed, _ = written(clusters(nodes.select("node", *names), plan), "clusters")
     roots = components(verified(prints, placed, similarity)).withColumnRenamed("node", "of_node")
@@ -410,18 +415,24 @@ def similar_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
 
 
 def keep_one(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", words: int = SIMILAR_WORDS, similarity: float = SIMILARITY) -> DataFrame:
-    """The rows of ``docs``, all columns, one of each group of similar texts: that of the smallest id, and of the smallest MD5 of the text among rows of that id.
+    """The rows of ``docs``, all columns, one of each group of similar texts: that of the smallest id, and of the smallest XXH64 of the text among rows of that id.
 
     Of rows with one id and one text, the first by their columns as JSON stays. Rows with a null id or a null text stay as they are.
+    Texts are shuffled only if more rows go than can be broadcast.
     """
     null = F.col(id_col).isNull() | F.col(text_col).isNull()
     texts = docs.where(~null)
-    kept = _classes(texts, id_col, text_col, words, similarity).where("doc_id = first_id and h = first_h").select(F.col("doc_id").alias("kept_id"), F.col("h").alias("kept_h")).distinct()
+    classes, _ = written(_classes(texts, id_col, text_col, words, similarity).groupBy("doc_id", "h").agg(F.max((F.col("doc_id") == F.col("first_id")) & (F.col("h") == F.col("first_h"))).alias("first"), F.count("*").alias("held")), "kept")
+    names = [F.col(f"`{c}`") for c in docs.columns]
     others = [F.col(f"`{c}`") for c in docs.columns if c != text_col]
-    rows = texts.select(F.col(id_col).cast("long").alias("id"), F.md5(F.col(text_col).cast("string").cast("binary")).alias("h"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), F.to_json(F.struct(*others)).alias("as_json"))
-    first = F.row_number().over(Window.partitionBy("kept_id", "kept_h").orderBy("as_json"))
-    stay = rows.join(kept, (F.col("id") == F.col("kept_id")) & (F.col("h") == F.col("kept_h"))).withColumn("nth", first).where("nth = 1")
-    return stay.select("row.*").unionByName(docs.where(null))
+    rows = texts.select(F.col(id_col).cast("long").alias("id"), F.xxhash64(F.col(text_col).cast("string")).alias("hash"), F.struct(*names).alias("row"), F.to_json(F.struct(*others)).alias("as_json"))
+    same = (F.col("id") == F.col("doc_id")) & (F.col("hash") == F.col("h"))
+    going, _ = written(classes.where("not first or held > 1").select("doc_id", "h"), "going")
+    repeated, _ = written(classes.where("first and held > 1").select("doc_id", "h"), "repeated")
+    nth = F.row_number().over(Window.partitionBy("id", "hash").orderBy("as_json"))
+    stay = rows.join(_small(going), same, "left_anti").select("row.*")
+    one = rows.join(_small(repeated), same, "left_semi").withColumn("nth", nth).where("nth = 1").select("row.*")
+    return stay.unionByName(one).unionByName(docs.where(null))
 
 
 def digest(docs: DataFrame) -> DataFrame:
