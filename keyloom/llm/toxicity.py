@@ -6,8 +6,8 @@ words and stems is tested (CHANCE); in samples too small for the test, a least s
 is a hit of the stem, and has features of its own.
 Its trie and the automaton for the allowed edits (one, two for long terms) are walked together, and their product is made
 deterministic as words ask for it, so that a word costs one look-up a character and most end after a few. A word near a term is a hit;
-near misses that are as frequent in clean labelled texts are not. Each hit is scored by its window: inside
-quotation marks or after a word of reporting it is a quotation, next to a second person or an intensifier it is abuse. A logistic regression
+near misses that are as frequent in clean labelled texts are not. Each hit is scored by its window, the words before and after it: inside
+quotation marks of its line or near a word of reporting it is a quotation, near a second person or an intensifier it is abuse. A logistic regression
 on these counts gives the score.
 
 What is learnt comes from a bounded sample of labelled rows (SAMPLE_ROWS, by hash of the id; a classifier's fit); every text is
@@ -16,7 +16,9 @@ scored, whole. Without any labels, or without a toxic one, scores are the prior
 
 from __future__ import annotations
 
+import math
 import re
+from bisect import bisect_left
 from collections import defaultdict
 from collections.abc import Iterator
 from dataclasses import dataclass, field
@@ -26,6 +28,8 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from keyloom.llm.common import released, written
+
 SAMPLE_ROWS = 20_000
 #: A term stands in so many distinct toxic texts at least, so many times as often in them as in clean ones, and either by a chance of CHANCE at most
 #: (over all words and stems together) or in the share TERM_SHARE of the toxic texts.
@@ -36,9 +40,10 @@ WINDOW = 5
 REMEMBERED = 300_000
 
 #: Words of reporting, of the second person and of intensity.
-REPORTING = frozenset("said says say wrote writes called calls quoted quote quotes word term insult slur dit aécrit mot sagte schrieb wort nannte dijo escribió palabra llamó".split())
+REPORTING = frozenset("said says say wrote writes called calls quoted quote quotes word term insult slur dit écrit mot sagte schrieb wort nannte dijo escribió palabra llamó".split())
 ADDRESSING = frozenset("you your yours youre u such what absolute total complete fucking damn du dein deine ihr tu ton ta vous votre tú tus usted".split())
-QUOTES = "\"“”„«»"
+QUOTED = re.compile("[\"“”„«»]")
+LINE_END = re.compile("\n")
 WORD = re.compile(r"\w+")
 
 
@@ -156,6 +161,15 @@ class _Known(dict):
         return found
 
 
+def _in_quotes(start: int, end: int, quotes: list[int], ends: list[int]) -> bool:
+    """Whether an odd number of quotation marks stands before the place in its line, and one after it; both lists are sorted."""
+    line = bisect_left(ends, start)
+    first, last = ends[line - 1] if line else -1, ends[line] if line < len(ends) else math.inf
+    before = bisect_left(quotes, start)
+    after = bisect_left(quotes, end)
+    return (before - bisect_left(quotes, first)) % 2 == 1 and after < len(quotes) and quotes[after] < last
+
+
 def features(text: str | None, known: _Known) -> list[float]:
     """The counts of FEATURES, all but shares as logarithms; those of stems apart from those of terms."""
     out = [0.0] * len(FEATURES)
@@ -165,12 +179,11 @@ def features(text: str | None, known: _Known) -> list[float]:
     if not hits:
         return out
     at = [(m.start(), m.end()) for m in WORD.finditer(low)]
+    quotes, ends = [m.start() for m in QUOTED.finditer(low)], [m.start() for m in LINE_END.finditer(low)]
     terms = set()
     for i, (edits, term) in hits:
-        near = words[max(0, i - WINDOW) : i]
-        line = low.rfind("\n", 0, at[i][0]) + 1
-        opened = sum(low.count(q, line, at[i][0]) for q in QUOTES) % 2 == 1 and any(q in low[at[i][1] : at[i][1] + 80] for q in QUOTES)
-        if opened or not REPORTING.isdisjoint(near):
+        near = words[max(0, i - WINDOW) : i] + words[i + 1 : i + 1 + WINDOW]
+        if _in_quotes(*at[i], quotes, ends) or not REPORTING.isdisjoint(near):
             out[2] += not term.endswith(STEM)
             continue
         if term.endswith(STEM):
@@ -211,9 +224,7 @@ def learn(docs: DataFrame, labels: DataFrame, allowed: Column, id_col: str = "do
                     total[w][toxic > 0] += 1
         yield pa.RecordBatch.from_arrays([pa.array(list(total)), pa.array([v[0] for v in total.values()], pa.int64()), pa.array([v[1] for v in total.values()], pa.int64())], names=["w", "clean", "toxic"])
 
-    counts = distinct.select("text", "toxic").mapInArrow(count, "w string, clean long, toxic long").groupBy("w").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic"))
-    from keyloom.llm.common import written
-
+    counts = distinct.select("text", "toxic").mapInArrow(released(count), "w string, clean long, toxic long").groupBy("w").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic"))
     counts, _ = written(counts, "words")
     total = counts.where("w = ''").first()
     n_clean, n_toxic = (total["clean"], total["toxic"]) if total else (0, 0)
@@ -238,7 +249,7 @@ def learn(docs: DataFrame, labels: DataFrame, allowed: Column, id_col: str = "do
             yield batch.filter(pa.array([(f := lexicon.find(w)) is not None and f[0] > 0 for w in batch.column(0).to_pylist()], pa.bool_()))
 
     kind = counts.schema
-    plain = counts.where(~stem & (ratio < 3)).mapInArrow(near, kind) if terms else counts.limit(0)
+    plain = counts.where(~stem & (ratio < 3)).mapInArrow(released(near), kind) if terms else counts.limit(0)
     innocent = frozenset(r["w"] for r in plain.select("w").collect())  # words within the edits of MAX_TERMS terms, in SAMPLE_ROWS texts
 
     def measure(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -248,7 +259,7 @@ def learn(docs: DataFrame, labels: DataFrame, allowed: Column, id_col: str = "do
             yield pa.RecordBatch.from_arrays([*(pa.array(c) for c in x.T), batch.column(1)], names=[*names, "toxic"])
 
     names = [f"f{i}" for i in range(len(FEATURES))]
-    grid = sample.mapInArrow(measure, ", ".join(f"{n} double" for n in names) + ", toxic int").groupBy(*names, "toxic").count().toPandas()
+    grid = sample.mapInArrow(released(measure), ", ".join(f"{n} double" for n in names) + ", toxic int").groupBy(*names, "toxic").count().toPandas()
     weights, bias = _logistic(grid[names].to_numpy(), grid["toxic"].to_numpy(float), grid["count"].to_numpy(float))
     return Model(terms, stems, innocent, weights, bias)
 
@@ -299,7 +310,7 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(model.score(x))], names=["doc_id", "score"])
 
     rows = _texts(docs, id_col, text_col)
-    return rows.mapInArrow(run, f"doc_id {rows.schema[0].dataType.simpleString()}, score double")
+    return rows.mapInArrow(released(run), f"doc_id {rows.schema[0].dataType.simpleString()}, score double")
 
 
 def reject(docs: DataFrame, model: Model, text_col: str = "text", threshold: float = 0.5) -> DataFrame:
@@ -314,7 +325,7 @@ def reject(docs: DataFrame, model: Model, text_col: str = "text", threshold: flo
             x = np.array([features(t.as_py(), known) for t in batch.column(place)], float).reshape(-1, len(FEATURES))
             yield batch.filter(pa.array(model.score(x) < threshold))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(released(run), docs.schema)
 
 
 def held_out(id_col: str = "doc_id") -> Column:
