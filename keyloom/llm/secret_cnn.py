@@ -2,18 +2,21 @@
 
 Candidates are all runs of token characters of 16 or more that have a letter and a digit. The network sees a candidate's
 characters between those before and after it, each with a flag of whether it is inside; two convolutions' maxima and means over
-the inside and over all feed a logistic unit. It is trained on labelled findings that a seeded generator
-makes: secrets of many kinds among words and assignments, and look-alikes (commit ids, checksums, UUIDs, paths, names,
-numbers). A part of them is held out: on it a Platt curve calibrates the scores, and the threshold is the largest that still
-finds the wanted share of the held-out secrets. The generator's size is a parameter; the scan covers every text whole.
+the inside and over all feed a logistic unit. It is trained on labelled findings: those that a seeded generator
+makes (secrets of many kinds among words and assignments, and look-alikes: commit ids, checksums, UUIDs, paths, names,
+numbers), and candidates inside base findings of documents that it may learn from, as secrets, FINDINGS at most by a hash of id and place
+(a classifier's fit). A part of all is held out: on it a Platt curve calibrates the scores, and the threshold is the largest that still
+finds the wanted share of the held-out secrets, and SLACK standard errors more. The generator's size is a parameter; the scan covers every text whole.
 
 A candidate longer than INSIDE is seen in overlapping windows of that length, each between what is before and after the whole, and scores as the highest of them. Base findings always
-stay; of a candidate that they touch, the network judges the parts of LEAST_PART or more characters that they leave. Null and empty texts have no findings.
+stay, and the network judges every candidate, those that base findings touch, too; of such a one that it takes for no secret as a whole it also judges the parts of LEAST_PART or more
+characters that base findings leave. Null and empty texts have no findings.
 """
 
 from __future__ import annotations
 
 import hashlib
+import math
 import random
 import re
 from collections.abc import Iterator
@@ -22,9 +25,11 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from keyloom.llm.common import released
+
 #: The kinds of findings, in their order, and the base patterns of the query's contract.
 KINDS = ("assign", "access", "hex", "cnn")
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.IGNORECASE | re.ASCII)
@@ -35,7 +40,7 @@ CANDIDATE = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{16,}")
 #: What the network sees: characters before the candidate, of it, and after it; windows of longer ones begin STRIDE characters apart.
 BEFORE, INSIDE, AFTER, STRIDE = 28, 48, 8, 12
 LEAST_PART = 16
-EXAMPLES, HELD_OUT, RECALL = 6_000, 0.25, 0.98
+EXAMPLES, FINDINGS, HELD_OUT, RECALL, SLACK = 16_000, 2_000, 0.25, 0.98, 3.0
 
 _TOKEN_BYTES = bytes(c if chr(c) in "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-" else 32 for c in range(256))
 _ASSIGN_WORDS = (b"passw", b"secret", b"token", b"api")
@@ -101,7 +106,9 @@ def labelled_findings(n: int = EXAMPLES, seed: int = 7) -> tuple[list[tuple[str,
     for i in range(n):
         before, value, after = (_secret if i % 2 else _look_alike)(r)
         before = filler() + r.choice((" ", ". ", "\n", "")) + before
-        texts.append((before + value + after + " " + filler(), len(before), len(before) + len(value)))
+        text, start = before + value + after + " " + filler(), len(before)
+        whole = (m.span() for m in CANDIDATE.finditer(text) if m.start() <= start < m.end())  # what the scan would take, with a name joined by a sign
+        texts.append((text, *next(whole, (start, start + len(value)))))
         labels.append(i % 2)
     return texts, np.array(labels, np.float64)
 
@@ -144,7 +151,7 @@ class Network:
     threshold: float = 0.5
 
     @classmethod
-    def fresh(cls, seed: int = 3, embed: int = 12, filters: int = 24) -> Network:
+    def fresh(cls, seed: int = 3, embed: int = 12, filters: int = 48) -> Network:
         g = np.random.default_rng(seed)
         return cls({"e": g.normal(0, 0.3, (_SYMBOLS, embed)), "k": g.normal(0, 0.15, (5 * (embed + 1), filters)), "b": np.zeros(filters), "o": g.normal(0, 0.1, 4 * filters), "c": np.zeros(1)})
 
@@ -202,10 +209,11 @@ class Network:
         return out
 
 
-@lru_cache(maxsize=2)
-def trained(examples: int = EXAMPLES, recall: float = RECALL, seed: int = 7, epochs: int = 5) -> Network:
-    """Trains, calibrates and sets the threshold; the same for the same parameters."""
+@lru_cache(maxsize=4)
+def trained(examples: int = EXAMPLES, recall: float = RECALL, seed: int = 7, epochs: int = 6, more: tuple[tuple[str, int, int], ...] = ()) -> Network:
+    """Trains, calibrates and sets the threshold; the same for the same parameters. ``more``: secrets beside the generated ones."""
     found, y = labelled_findings(examples, seed)
+    found, y = [*found, *more], np.concatenate((y, np.ones(len(more))))
     symbols, inside, owner = windows(found)
     order = np.random.default_rng(seed).permutation(len(y))
     held, fit = np.split(order, [int(len(y) * HELD_OUT)])
@@ -225,10 +233,44 @@ def trained(examples: int = EXAMPLES, recall: float = RECALL, seed: int = 7, epo
     net.curve = (float(a), float(b))
     scores = 1 / (1 + np.exp(-(a * logit + b)))
     of_secrets = np.sort(scores[y[held] == 1])
-    net.threshold = float(of_secrets[int(len(of_secrets) * (1 - recall))])
+    net.threshold = float(of_secrets[may_miss(len(of_secrets), recall)])
     return net
 
 
+def may_miss(n: int, recall: float) -> int:
+    """How many of n held-out secrets a threshold may miss, so that the recall among all is as wanted, SLACK standard errors of n aside."""
+    return max(0, math.floor(n * (1 - recall) - SLACK * math.sqrt(n * recall * (1 - recall))))
+
+
+def document_findings(docs: DataFrame, allowed: Column, id_col: str = "doc_id", text_col: str = "text", limit: int = FINDINGS) -> tuple[tuple[str, int, int], ...]:
+    """(text, start, end) of candidates inside base findings of the rows that satisfy ``allowed``, with what the network sees around them; the first ``limit`` by a hash of the id and the place."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            rows = []
+            for name, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                base = base_findings(text) if text else ()
+                for a, b in candidates(text) if base else ():
+                    if any(s <= a and b <= e + 1 for s, _, e in base):
+                        low = max(0, a - BEFORE)
+                        rows.append((hashlib.md5(f"{name}:{a}".encode()).hexdigest(), text[low : b + AFTER], a - low, b - low))
+            yield pa.RecordBatch.from_pylist([dict(zip(("h", "text", "a", "b"), r)) for r in rows], schema=pa.schema([("h", pa.string()), ("text", pa.string()), ("a", pa.int64()), ("b", pa.int64())]))
+
+    rows = docs.where(allowed).select(F.col(id_col).cast("string").alias("name"), F.col(text_col).cast("string").alias("text")).where("text is not null")
+    found = rows.mapInArrow(released(run), "h string, text string, a long, b long").orderBy("h", "text", "a").limit(limit).collect()
+    return tuple((r["text"], r["a"], r["b"]) for r in found)
+
+
+def held_out(id_col: str = "doc_id") -> Column:
+    """Documents that the network doesn't learn from: a fifth, by the id."""
+    return F.coalesce(F.pmod(F.crc32(F.col(id_col).cast("string").cast("binary")), F.lit(5)) == 0, F.lit(False))
+
+
+def learnt(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> Network:
+    """The network for these documents."""
+    return trained(more=document_findings(docs, ~held_out(id_col), id_col, text_col))
+
+
 # --- the scan ----------------------------------------------------------------------------------------------------------
 
 
@@ -280,17 +322,20 @@ def findings(texts: list[str | None], net: Network) -> list[list[tuple[int, int,
         base = base_findings(text) if text else []
         out.append([(*f, 1.0) for f in base])
         for start, end in candidates(text) if text else ():
-            for a, b in _uncovered(text, start, end, base):
-                owner.append((i, a, b))
+            parts = [p for p in _uncovered(text, start, end, base) if p != (start, end)]
+            for a, b in [(start, end), *parts]:
+                owner.append((i, a, b, (start, end)))
                 asked.append((text, a, b))
-    for (i, start, end), score in zip(owner, net.scores(asked) if asked else ()):
-        if score >= net.threshold:
-            out[i].append((start, 3, end, float(score)))
+    taken = None  # a candidate that is a finding as a whole: its parts come after it
+    for (i, a, b, of), score in zip(owner, net.scores(asked) if asked else ()):
+        if score >= net.threshold and taken != (i, of):
+            out[i].append((a, 3, b, float(score)))
+            taken = (i, of) if (a, b) == of else taken
     return [sorted(f) for f in out]
 
 
 def _scanned(docs: DataFrame, schema: str, columns, id_col: str, text_col: str, net: Network | None) -> DataFrame:
-    shared = docs.sparkSession.sparkContext.broadcast(net or trained())
+    shared = docs.sparkSession.sparkContext.broadcast(net or learnt(docs, id_col, text_col))
     names = ["doc_id", *(x.split()[0] for x in re.split(r", (?![^<]*>)", schema))]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -301,7 +346,7 @@ def _scanned(docs: DataFrame, schema: str, columns, id_col: str, text_col: str,
                 yield pa.RecordBatch.from_arrays([part.column(0), *columns(found)], names=names)
 
     rows = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    return rows.mapInArrow(run, f"doc_id {rows.schema[0].dataType.simpleString()}, {schema}")
+    return rows.mapInArrow(released(run), f"doc_id {rows.schema[0].dataType.simpleString()}, {schema}")
 
 
 def scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", net: Network | None = None) -> DataFrame:
@@ -323,9 +368,10 @@ def digest(docs: DataFrame) -> DataFrame:
     return _scanned(docs, "n_assign long, n_access long, n_hex long, base_sha256 string, spans string", columns, "doc_id", "text", None)
 
 
-def redact(docs: DataFrame, text_col: str = "text", mark: str = "[SECRET]", net: Network | None = None) -> DataFrame:
+def redact(docs: DataFrame, text_col: str = "text", mark: str = "[SECRET]", net: Network | None = None, id_col: str = "doc_id") -> DataFrame:
     """The rows of ``docs``, all columns, with every finding in the text replaced by ``mark``; overlapping findings by one. Null texts stay null."""
-    shared = docs.sparkSession.sparkContext.broadcast(net or trained())
+    net = net or (learnt(docs, id_col, text_col) if id_col in docs.columns else trained())
+    shared = docs.sparkSession.sparkContext.broadcast(net)
     place = docs.columns.index(text_col)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -336,7 +382,7 @@ def redact(docs: DataFrame, text_col: str = "text", mark: str = "[SECRET]", net:
                 clean = [_without(t, f, mark) if f else t for t, f in zip(texts, findings(texts, shared.value))]
                 yield part.set_column(place, part.schema.field(place), pa.array(clean, part.schema.field(place).type))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(released(run), docs.schema)
 
 
 def _without(text: str, found: list[tuple[int, int, int, float]], mark: str) -> str:
