@@ -102,7 +102,12 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def with_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(part, nth, doc_id, text, next): each text with that of the next id; after the last comes the first. Equal ids go by the text's MD5.
+    """(part, nth, doc_id, text, next): each text with that of the next id; after the last comes the first. Equal ids go by the text's MD5."""
+    return _in_ranges(docs, id_col, text_col).where("ghost = 0").select("part", "nth", "doc_id", "text", "next")
+
+
+def _in_ranges(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(part, ghost, nth, doc_id, text, next): the rows of each range of ids in order, and at its end (ghost 1) the first of the next range.
 
     Ids are cut into ranges of about RANGE_ROWS rows at quantiles; the first row of a range also goes, as a ghost, to the
     end of the range before. So texts are shuffled once, into windows over one range each. What the driver gets is the ends of the
@@ -132,20 +137,25 @@ def with_next(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -
     is_first = F.get(low, F.col("at")).eqNullSafe(F.col("doc_id"))
     rows = rows.select("doc_id", "text", F.explode(F.when(is_first, F.array(own, ghost)).otherwise(F.array(own))).alias("to")).select("to.*", "doc_id", "text")
     order = Window.partitionBy("part").orderBy("ghost", F.col("doc_id").asc_nulls_first(), F.md5(F.col("text").cast("binary")))
-    rows = rows.select("*", F.lead("text").over(order).alias("next"), F.row_number().over(order).alias("nth"))
-    return rows.where("ghost = 0").select("part", "nth", "doc_id", "text", "next")
+    return rows.select("part", "ghost", F.row_number().over(order).alias("nth"), "doc_id", "text", F.lead("text").over(order).alias("next"))
 
 
 def digest(docs: DataFrame) -> DataFrame:
-    """The rows of query op9: each text, its edited form and the next text, by their fingerprints."""
-    rows = with_next(docs)
+    """The rows of query op9: each text, its edited form and the next text, by their fingerprints.
+
+    A text and its edited form are hashed once each; the next text's vector is that of the next row, of which the last row of a range has a ghost.
+    """
+    rows = _in_ranges(docs, "doc_id", "text")
     n = F.length("text")
     half = F.floor(n / 2).cast("int")
     edited = F.concat(F.substring(F.col("text"), F.lit(1), n - half), F.substring(F.col("next"), F.lit(1), half))
-    rows = rows.select("part", "nth", "doc_id", n.cast("long").alias("n_chars"), F.sha2(edited.cast("binary"), 256).alias("edited_sha256"), F.posexplode(F.array(F.col("text"), edited, F.col("next"))).alias("which", "t"))
-    keys = ["part", "nth", "doc_id", "n_chars", "edited_sha256", "which"]
+    real = F.col("ghost") == 0
+    texts = F.when(real, F.array(F.col("text"), edited)).otherwise(F.array("text"))
+    rows = rows.select("part", "nth", "ghost", "doc_id", n.cast("long").alias("n_chars"), F.when(real, F.sha2(edited.cast("binary"), 256)).alias("edited_sha256"), F.posexplode(texts).alias("which", "t"))
+    keys = ["part", "nth", "ghost", "doc_id", "n_chars", "edited_sha256", "which"]
     each = _vectors(rows, keys, "t")
     of = lambda k: F.first(F.when(F.col("which") == k, F.col("vector")), ignorenulls=True)
-    both = each.groupBy(*keys[:-1]).agg(of(0).alias("a"), of(1).alias("b"), of(2).alias("c"))
+    both = each.groupBy(*keys[:-1]).agg(of(0).alias("a"), of(1).alias("b"))
+    both = both.withColumn("c", F.lead("a").over(Window.partitionBy("part").orderBy("nth"))).where(real)
     a, b, c = map(F.col, "abc")
     return both.select("doc_id", "n_chars", "edited_sha256", as_text(a).alias("fingerprint"), as_text(b).alias("edited_fingerprint"), likeness(a, b).alias("near_edited"), likeness(a, c).alias("near_next"))
