@@ -13,7 +13,8 @@ Equal vectors are one node with a count. A filter with more than BUCKET nodes is
 meet in a task of their own; no task holds more than two parts. A pair counts only in the least of the filters that both have, so it counts
 once, and tasks give a row for each node (its links there, and a node it is connected with), never the pairs.
 
-Vectors that are null, empty, zero, of another length than most, or hold null or non-finite components link with nothing and are kept. So are rows with a null id, whose component is null.
+Only vectors of one length are compared; each length that several have gets a code of its own. Vectors that are null, empty, zero, or hold null or non-finite components link with nothing and are kept.
+So are rows with a null id, whose component is null.
 """
 
 from __future__ import annotations
@@ -21,7 +22,7 @@ from __future__ import annotations
 import math
 from collections.abc import Iterator
 from dataclasses import dataclass
-from functools import lru_cache
+from functools import lru_cache, reduce
 from statistics import NormalDist
 
 import numpy as np
@@ -29,7 +30,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from keyloom.llm.common import components, groups, written
+from keyloom.llm.common import components, groups, released, written
 
 THRESHOLD = 0.9
 RECALL = 0.98
@@ -252,11 +253,28 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
     v = F.col(vector_col) if vectors.schema[vector_col].dataType.simpleString() == "array<float>" else F.col(vector_col).cast("array<double>")
     rows, _ = written(vectors.select(F.col(id_col).cast("long").alias("vec_id"), v.alias("v")), "vectors")
     copies, _ = written(rows.where("vec_id is not null").groupBy("v").agg(F.min("vec_id").alias("node"), F.count("*").alias("copies")), "copies")
-    sizes = copies.where("size(v) > 0").groupBy(F.size("v").alias("dim")).count().orderBy(F.desc("count"), "dim").first()
-    if sizes is None:
+    several = F.sum("copies") > 1  # a length that only one vector has gives no links; a length is a pass of its own
+    sizes = copies.where("size(v) > 0").groupBy(F.size("v").alias("dim")).agg(F.count("*").alias("n"), several.alias("several")).where("several").orderBy("dim").collect()
+    if not sizes:
         return rows.select("vec_id", F.lit(0).cast("long").alias("n_links"), F.col("vec_id").alias("component_id"), F.lit(True).alias("kept"))
-    dim = sizes["dim"]
-    code = Code.planned(sizes["count"], dim, threshold, recall)
+    lengths = [_links_of_length(copies.where(F.size("v") == row["dim"]), row["dim"], row["n"], threshold, recall, per_filter_rows) for row in sizes]
+    nodes, met = (reduce(DataFrame.unionByName, tables) for tables in zip(*lengths))
+    links = met.groupBy("node").agg(F.sum("links").alias("links"))
+    roots = components(met.select(F.col("node").alias("a"), F.col("other").alias("b"))).withColumnRenamed("node", "r_node")
+    placed = nodes.select("node", "copies").join(links.withColumnRenamed("node", "l_node"), F.col("node") == F.col("l_node"), "left").join(roots, F.col("node") == F.col("r_node"), "left")
+    placed = placed.select("node", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"), F.coalesce("root", "node").alias("root"))
+    least = placed.groupBy("root").agg(F.min("node").alias("component_id")).withColumnRenamed("root", "of")
+    classes = placed.join(least, F.col("root") == F.col("of")).select("node", "n_links", "component_id")
+    of_vector = copies.select(F.col("v").alias("c_v"), F.col("node").alias("c_node")).join(classes, F.col("c_node") == F.col("node"), "left")
+    of_vector, _ = written(of_vector.select("c_v", "n_links", "component_id"), "classes")
+    done = rows.join(of_vector, F.col("v").eqNullSafe(F.col("c_v")) & F.col("vec_id").isNotNull(), "left")
+    component = F.when(F.col("vec_id").isNotNull(), F.coalesce("component_id", "vec_id"))
+    return done.select("vec_id", F.coalesce("n_links", F.lit(0)).alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(True)).alias("kept"))
+
+
+def _links_of_length(copies: DataFrame, dim: int, n: int, threshold: float, recall: float, per_filter_rows: int) -> tuple[DataFrame, DataFrame]:
+    """(node, copies) of the usable vectors of that length, and (node, links, other) of those that have links."""
+    code = Code.planned(n, dim, threshold, recall)
 
     def decoded(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         books = code.books()
@@ -270,7 +288,7 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
                 taken = part.take(pa.array(places, pa.int64()))
                 yield pa.RecordBatch.from_arrays([taken.column(1), taken.column(2), pa.array([v.tobytes() for v in raw], pa.binary()), lists], names=["node", "copies", "x", "filters"])
 
-    nodes, _ = written(copies.select("v", "node", "copies").mapInArrow(decoded, "node long, copies long, x binary, filters array<long>"), "nodes")
+    nodes, _ = written(copies.select("v", "node", "copies").mapInArrow(released(decoded), "node long, copies long, x binary, filters array<long>"), "nodes")
     members = nodes.select("node", "copies", "x", F.explode("filters").alias("filter"))
     held = nodes.select(F.explode("filters").alias("f")).groupBy("f").agg(F.count("*").alias("held")).where("held > 1")
     parts = F.ceil(F.col("held") / per_filter_rows).cast("int")
@@ -279,7 +297,7 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
     members = members.select("filter", "part", "node", "copies", "x", F.explode(meets).alias("m")).select("filter", "m.low", "m.high", "part", "node", "copies", "x")
     keys = ["filter", "low", "high"]
 
-    kind = np.float32 if rows.schema["v"].dataType.simpleString() == "array<float>" else np.float64
+    kind = np.float32 if copies.schema["v"].dataType.simpleString() == "array<float>" else np.float64
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         meeting = _Meeting(code, threshold)
@@ -292,19 +310,9 @@ def near_duplicates(vectors: DataFrame, id_col: str = "vec_id", vector_col: str
                     yield from meeting.counted()
         yield from meeting.counted()
 
-    met = members.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(meet, "node long, links long, other long")
+    met = members.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(released(meet), "node long, links long, other long")
     met, _ = written(met, "met")
-    links = met.groupBy("node").agg(F.sum("links").alias("links"))
-    roots = components(met.select(F.col("node").alias("a"), F.col("other").alias("b"))).withColumnRenamed("node", "r_node")
-    placed = nodes.select("node", "copies").join(links.withColumnRenamed("node", "l_node"), F.col("node") == F.col("l_node"), "left").join(roots, F.col("node") == F.col("r_node"), "left")
-    placed = placed.select("node", (F.coalesce("links", F.lit(0)) + F.col("copies") - 1).alias("n_links"), F.coalesce("root", "node").alias("root"))
-    least = placed.groupBy("root").agg(F.min("node").alias("component_id")).withColumnRenamed("root", "of")
-    classes = placed.join(least, F.col("root") == F.col("of")).select("node", "n_links", "component_id")
-    of_vector = copies.select(F.col("v").alias("c_v"), F.col("node").alias("c_node")).join(classes, F.col("c_node") == F.col("node"), "left")
-    of_vector, _ = written(of_vector.select("c_v", "n_links", "component_id"), "classes")
-    done = rows.join(of_vector, F.col("v").eqNullSafe(F.col("c_v")) & F.col("vec_id").isNotNull(), "left")
-    component = F.when(F.col("vec_id").isNotNull(), F.coalesce("component_id", "vec_id"))
-    return done.select("vec_id", F.coalesce("n_links", F.lit(0)).alias("n_links"), component.alias("component_id"), F.coalesce(F.col("vec_id") == component, F.lit(True)).alias("kept"))
+    return nodes.select("node", "copies"), met
 
 
 def digest(vectors: DataFrame) -> DataFrame:
