@@ -6,12 +6,12 @@ sources ordered by cap over weight this end point is the first row at which the
 its own cap, so one pass over prefix sums gives it.
 
 Within a source every document is repeated floor(target / size) times. What is left of the target goes to a pseudo-random
-prefix of its documents, ordered by a seeded MD5 of the id: a document is in if the middle of its words is. So a source
+prefix of its documents, ordered by a seeded MD5 of id and text: a document is in if the middle of its words is. So a source
 misses its target by half a document at most, and the whole decision is one cut value for each source.
 
 Cuts are found from word counts of 4096 hash bins for each source, then from the one bin that holds the cut; so a source with
 a third of all rows is spread over as many groups. Null texts have no words. Documents of no words follow the cut, too.
-Repeated rows share one hash and are taken or left together. An empty table gives an empty result.
+Rows with one id and one text share a hash and are taken or left together. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -32,8 +32,10 @@ def n_words(text: Column) -> Column:
     return F.coalesce(F.regexp_count(text, F.lit(rf"[^{SPACE}]+")), F.lit(0)).cast("long")
 
 
-def order_hash(id_col: Column, seed: str) -> Column:
-    return F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(id_col.cast("string"), F.lit(""))).cast("binary"))
+def order_hash(id_col: Column, text: Column, seed: str) -> Column:
+    """Of the id and the text, so that rows which share an id (all those without one) don't go together."""
+    own = F.md5(F.coalesce(text.cast("string"), F.lit("")).cast("binary"))
+    return F.md5(F.concat(F.lit(f"{seed}:"), F.coalesce(id_col.cast("string"), F.lit("")), F.lit(":"), own).cast("binary"))
 
 
 def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, max_epochs: float = MAX_EPOCHS) -> DataFrame:
@@ -88,7 +90,7 @@ def copies() -> Column:
 
 def taken(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS, max_epochs: float = MAX_EPOCHS, seed: str = SEED) -> DataFrame:
     """The rows of query op5: doc_id, size, source_size, target, taken; one row per document."""
-    sized, _ = written(docs.select(F.col(id_col).alias("doc_id"), n_words(F.col(text_col)).alias("size"), F.col(source_col).alias("source"), order_hash(F.col(id_col), seed).alias("h")), "sized")
+    sized, _ = written(docs.select(F.col(id_col).alias("doc_id"), n_words(F.col(text_col)).alias("size"), F.col(source_col).alias("source"), order_hash(F.col(id_col), F.col(text_col), seed).alias("h")), "sized")
     sources = plan(sized, weights, max_epochs).withColumnRenamed("source", "s")
     mixed = sized.join(_small(sources), F.col("source").eqNullSafe(F.col("s")))
     return mixed.select("doc_id", "size", "source_size", "target", (F.col("size") * copies()).alias("taken"))
@@ -96,7 +98,7 @@ def taken(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sourc
 
 def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weights: tuple[int, ...] = WEIGHTS, max_epochs: float = MAX_EPOCHS, seed: str = SEED) -> DataFrame:
     """The mix itself: the rows of ``docs``, each as many times as it is taken, all columns."""
-    own = docs.select(F.col(source_col).alias("source"), n_words(F.col(text_col)).alias("size"), order_hash(F.col(id_col), seed).alias("h"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
+    own = docs.select(F.col(source_col).alias("source"), n_words(F.col(text_col)).alias("size"), order_hash(F.col(id_col), F.col(text_col), seed).alias("h"), F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"))
     sized, _ = written(own.select("source", "size", "h"), "sized")
     sources = plan(sized, weights, max_epochs).select(F.col("source").alias("s"), "whole", "cut")
     rows = own.join(_small(sources), F.col("source").eqNullSafe(F.col("s"))).select("row", copies().alias("times")).where("times > 0")
@@ -107,7 +109,7 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
 ORACLE = r"""
 WITH sized AS (
   SELECT doc_id, source, CAST(coalesce(len(regexp_extract_all(text, '[^\x20\x09-\x0D]+')), 0) AS BIGINT) AS size,
-         md5('mix-1:' || coalesce(CAST(doc_id AS VARCHAR), '')) AS h
+         md5('mix-1:' || coalesce(CAST(doc_id AS VARCHAR), '') || ':' || md5(coalesce(text, ''))) AS h
   FROM documents),
 per_source AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size FROM sized GROUP BY source),
 weighed AS (
