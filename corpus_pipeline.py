@@ -1,7 +1,7 @@
 """The corpus pipeline: toxic documents go, one of each near-duplicate group stays, secrets are masked, sources are mixed, texts are encoded.
 
-Each stage takes (spark, docs, sf_dir) and returns the columns of ``documents``, the last one token ids. Null texts pass every stage and
-get no tokens. An empty table gives an empty result.
+Each stage takes (spark, docs, sf_dir) and returns the columns of ``documents``, the last one token ids. Null texts are neither toxic nor duplicates and hold no secrets;
+the mix takes them, as texts without words, by their place in its order, and they get no tokens. Empty and blank texts are one group of duplicates. An empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -23,7 +23,7 @@ def toxicity_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def near_dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each near-duplicate group stays: that of the smallest id."""
+    """One document of each near-duplicate group stays: that of the smallest id. Documents without a text stay, too."""
     return simhash_mih.keep_one(docs)
 
 
