@@ -11,22 +11,22 @@ from pyspark.sql import functions as F
 from keyloom.operators.lookup import Filter
 from keyloom.plans.params import Spec
 
-VERSION = 1
+VERSION = 2
 
 
 def save(filter: Filter, path: str, groups: int = 64) -> None:
     """Writes shards in ``groups`` partitions, so that a point lookup reads one, and the manifest last."""
     filter.tables.withColumn("shard_group", F.col("shard") % groups).write.mode("overwrite").partitionBy("shard_group").parquet(f"{path}/tables")
     spark = filter.tables.sparkSession
-    row = (VERSION, json.dumps(asdict(filter.spec)), filter.key_types, filter.n, filter.version, groups)
-    spark.createDataFrame([row], "format int, spec string, key_types array<string>, n long, version int, groups int").write.mode("overwrite").parquet(f"{path}/manifest")
+    row = (VERSION, json.dumps(asdict(filter.spec)), filter.key_types, filter.n, filter.version, filter.batch, groups)
+    spark.createDataFrame([row], "format int, spec string, key_types array<string>, n long, version int, batch long, groups int").write.mode("overwrite").parquet(f"{path}/manifest")
 
 
 def load(spark: SparkSession, path: str) -> Filter:
     head = spark.read.parquet(f"{path}/manifest").first()
     if head["format"] != VERSION:
         raise ValueError(f"format {head['format']}")
-    return Filter(Spec(**json.loads(head["spec"])), list(head["key_types"]), spark.read.parquet(f"{path}/tables").drop("shard_group"), head["n"], head["version"])
+    return Filter(Spec(**json.loads(head["spec"])), list(head["key_types"]), spark.read.parquet(f"{path}/tables").drop("shard_group"), head["n"], head["version"], head["batch"])
 
 
 def checksum(tables: DataFrame) -> int:

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable, Iterator
+from dataclasses import replace
 
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -10,6 +11,7 @@ from pyspark.sql import functions as F
 
 from keyloom.operators.lookup import Filter, lookup
 from keyloom.operators.mutable import update_values
+from keyloom.plans import store
 
 
 def events_stream(spark: SparkSession, path: str, schema=None, per_trigger: int | None = None) -> DataFrame:
@@ -23,7 +25,7 @@ def events_stream(spark: SparkSession, path: str, schema=None, per_trigger: int
 
 
 def enrich(stream: DataFrame, filter: Filter, key, out: str = "value") -> DataFrame:
-    """Stateless: each row of the stream with its key's value."""
+    """Stateless: each row of the stream with its key's value. The filter is broadcast, which a look-up refuses above its limit."""
     return lookup(stream, filter, key, out, strategy="broadcast")
 
 
@@ -52,16 +54,37 @@ def run_once(stream: DataFrame, name: str, checkpoint: str, mode: str = "complet
 
 
 class UpdateFeed:
-    """Micro-batches of (key, value, order) applied to a mutable filter. A batch that comes again changes nothing."""
+    """Micro-batches of (key, value, order) applied to a mutable filter. A batch that comes again changes nothing: the filter carries the number of the last one.
 
-    def __init__(self, filter: Filter, graph: DataFrame, key, value: str = "value", order: str | None = None, mode: str = "recompute"):
-        self.filter, self.graph, self.key, self.value, self.order, self.mode = filter, graph, key, value, order, mode
-        self.last_batch = -1
+    With ``path`` each state is saved there, filter and edges, before the batch counts as done; ``resume`` goes on from the last complete one.
+    """
+
+    def __init__(self, filter: Filter, graph: DataFrame, key, value: str = "value", order: str | None = None, mode: str = "recompute", path: str | None = None):
+        self.filter, self.graph, self.key, self.value, self.order, self.mode, self.path = filter, graph, key, value, order, mode, path
+
+    @property
+    def last_batch(self) -> int:
+        return self.filter.batch
 
     def __call__(self, batch: DataFrame, batch_id: int) -> None:
-        if batch_id > self.last_batch:
-            self.filter, self.graph, _ = update_values(self.filter, self.graph, batch, self.key, self.value, mode=self.mode, order=self.order)
-            self.last_batch = batch_id
+        if batch_id <= self.filter.batch:
+            return
+        changed, graph, _ = update_values(self.filter, self.graph, batch, self.key, self.value, mode=self.mode, order=self.order)
+        changed = replace(changed, batch=batch_id)
+        if self.path:
+            where = f"{self.path}/batch={batch_id}"
+            graph.write.mode("overwrite").parquet(f"{where}/edges")
+            store.save(changed, where)  # its manifest, written last, makes the state complete
+            spark = graph.sparkSession
+            changed, graph = store.load(spark, where), spark.read.parquet(f"{where}/edges")
+        self.filter, self.graph = changed, graph
+
+    @classmethod
+    def resume(cls, spark: SparkSession, path: str, key, value: str = "value", order: str | None = None, mode: str = "recompute") -> UpdateFeed:
+        """The feed after the last batch that was saved whole."""
+        states = sorted((r["batch"] for r in spark.read.parquet(f"{path}/batch=*/manifest").select("batch").distinct().collect()), reverse=True)  # a number for each saved batch
+        where = f"{path}/batch={states[0]}"
+        return cls(store.load(spark, where), spark.read.parquet(f"{where}/edges"), key, value, order, mode, path)
 
 
 def apply_updates(stream: DataFrame, feed: Callable[[DataFrame, int], None], checkpoint: str) -> None:
