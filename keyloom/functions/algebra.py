@@ -7,7 +7,7 @@ from math import comb
 
 from keyloom.functions.numtheory import is_prime, is_primitive_root
 
-__all__ = ["circulant_det", "circulant_rank", "count_sparse", "full_rank_lower_bound", "gl_order", "is_primitive_root", "nonzero_sum_bound", "nonzero_sum_count", "orbit_size", "rank", "spans_everything"]
+__all__ = ["circulant_det", "circulant_rank", "count_sparse", "full_rank_lower_bound", "full_rank_share_bound", "gl_order", "is_primitive_root", "nonzero_sum_bound", "nonzero_sum_count", "orbit_size", "rank", "spans_everything"]
 
 
 def orbit_size(w: tuple[int, ...]) -> int:
@@ -87,6 +87,16 @@ def full_rank_lower_bound(q: int, s: int, r: int, p: int) -> float:
     return value
 
 
+def full_rank_share_bound(q: int, s: int, r: int, p: int) -> float:
+    """The same as a share of all s-sparse matrices of that shape."""
+    if not is_prime(q):
+        raise ValueError("q must be a prime")
+    value = 1.0
+    for i in range(r):
+        value *= (1 - 1 / (p - 1)) * (q - i) / q
+    return value if s > 1 else 0.0
+
+
 def gl_order(n: int, p: int) -> int:
     """Invertible n by n matrices over the field of p elements."""
     value = 1

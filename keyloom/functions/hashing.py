@@ -53,13 +53,13 @@ def with_digest(df: DataFrame, key: str | list[str], kinds: list[str] | None = N
     return df.withColumns({"d0": d0, "d1": d1})
 
 
-def derived(seed: Column, role: int, family: str = "xx64", d0: str = "d0", d1: str = "d1") -> Column:
+def derived(seed: Column, role: int | Column, family: str = "xx64", d0: str = "d0", d1: str = "d1") -> Column:
     """A hash of the digests (signed long); for the 2-universal family a residue of its prime."""
     if family == "two_universal":
         a = F.pmod(F.xxhash64(seed, F.lit(2 * role).cast("long")), F.lit(UNIVERSAL_PRIME - 1)) + 1
         b = F.pmod(F.xxhash64(seed, F.lit(2 * role + 1).cast("long")), F.lit(UNIVERSAL_PRIME))
         return F.pmod(a * F.col(d0) + b, F.lit(UNIVERSAL_PRIME))
-    return F.xxhash64(seed, F.lit(role).cast("long"), F.col(d0), F.col(d1))
+    return F.xxhash64(seed, role if isinstance(role, Column) else F.lit(role).cast("long"), F.col(d0), F.col(d1))
 
 
 def shard_of(n_shards: int | Column, seed: int = 42, family: str = "xx64") -> Column:
@@ -89,7 +89,8 @@ def np_xxhash64(*columns) -> np.ndarray:
     return h.view(np.int64)
 
 
-def np_derived(seed: int, role: int, d0: np.ndarray, d1: np.ndarray, family: str = "xx64") -> np.ndarray:
+def np_derived(seed, role: int, d0: np.ndarray, d1: np.ndarray, family: str = "xx64") -> np.ndarray:
+    """``seed``: a number, or for the xx64 family an array."""
     if family == "two_universal":
         a = int(np_xxhash64(seed, 2 * role)[0]) % (UNIVERSAL_PRIME - 1) + 1
         b = int(np_xxhash64(seed, 2 * role + 1)[0]) % UNIVERSAL_PRIME

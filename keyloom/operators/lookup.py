@@ -13,9 +13,11 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from keyloom.functions.hashing import CHOICE, FIRST, MASK, SECOND, derived, digests, key_columns, np_derived, shard_of
+from keyloom.functions.hashing import CHOICE, FIRST, MASK, SECOND, SHARD, derived, digests, key_columns, np_derived, shard_of
 from keyloom.functions.packing import gather, pack, to_rows, width_of
-from keyloom.plans.params import Spec
+from keyloom.operators.kernels import mul_mod
+from keyloom.plans.params import DIRECTORY, Spec
+from keyloom.plans.scratch import written
 
 #: Tables up to so many bytes are broadcast; larger ones are joined by shard.
 BROADCAST_BYTES = 256 << 20
@@ -30,6 +32,8 @@ class Filter:
     tables: DataFrame
     n: int
     version: int = 0
+    #: The last micro-batch of a feed that is in it.
+    batch: int = -1
 
     def bytes(self) -> int:
         """Bytes of the arrays as rows hold them."""
@@ -41,38 +45,84 @@ class Filter:
         return self.tables.agg(F.max("n_blocks")).first()[0] or 1 if self.spec.kind == "sparse" else 1
 
     def get(self, *key) -> int | None:
-        """The value of one key: reads one row of the table."""
+        """The value of one key: reads the table's row of the key's shard."""
         spark = self.tables.sparkSession
-        schema = ", ".join(f"k{i} {t}" for i, t in enumerate(self.key_types))
-        probe = spark.createDataFrame([tuple(key)], schema)
-        return lookup(probe, self, [f"k{i}" for i in range(len(key))], strategy="broadcast").first()["value"]
+        names = [f"k{i}" for i in range(len(key))]
+        probe = spark.createDataFrame([tuple(key)], ", ".join(f"{n} {t}" for n, t in zip(names, self.key_types)))
+        d0, d1 = digests(names, self.key_types, self.spec.family)
+        shard = probe.select(d0.alias("d0"), d1.alias("d1")).select(shard_of(self.spec.shards, self.spec.seed, self.spec.family)).first()[0]
+        return lookup(probe, replace(self, tables=self.tables.where(F.col("shard") == shard)), names, strategy="broadcast").first()["value"]
 
     def with_tables(self, tables: DataFrame) -> Filter:
         return replace(self, tables=tables, version=self.version + 1)
 
 
-def lookup(df: DataFrame, filter: Filter, key, out: str = "value", strategy: str = "auto") -> DataFrame:
-    """``df`` with the looked-up value as a nullable column ``out``. strategy: auto, broadcast, shuffle_hash or merge."""
-    if strategy == "auto":
-        strategy = "broadcast" if filter.bytes() <= BROADCAST_BYTES else "shuffle_hash"
-    if strategy not in ("broadcast", "shuffle_hash", "merge"):
-        raise ValueError(strategy)
+#: Blocks of a sparse filter whose look-up is written out; the others are tried in a loop.
+INLINE_BLOCKS = 2
+#: Columns of the table's side of a lookup, and names that a lookup gives to its own.
+SIDE = ("shard", "n_slots", "seed", "n_blocks", "extra", "p", "g", "h", "b")
+#: Rows with a NULL key are spread over so many keys that no shard has.
+NULL_SALTS = 4096
+
+
+def _apart(df: DataFrame) -> tuple[DataFrame, list[Column]]:
+    """``df`` under names that no lookup uses, and the columns that give its own back. Changes nothing unless names clash."""
+    own = {"d0", "d1", *(f"_{c}" for c in ("shard", "known", "salt")), *(f"_t_{c}" for c in SIDE), *(f"_b_{c}" for c in DIRECTORY)}
+    if not own & set(df.columns):
+        return df, [F.col(f"`{c}`") for c in df.columns]
+    names = [f"_own_{i}" for i in range(len(df.columns))]
+    return df.toDF(*names), [F.col(n).alias(c) for n, c in zip(names, df.columns)]
+
+
+def _probe(df: DataFrame, filter: Filter, key) -> DataFrame:
+    """``df`` with d0, d1, whether its key is _known (not NULL), and its _shard; NULL keys get negative numbers, so that they are spread and meet nothing."""
     spec = filter.spec
     d0, d1 = digests(key, filter.key_types, spec.family)
     known = F.lit(True)
-    for c in key_columns(key):
-        known = known & F.col(c).isNotNull()
-    probe = df.withColumns({"_d0": d0, "_d1": d1, "_known": known})
-    shard = shard_of(spec.shards, spec.seed, spec.family)
-    probe = probe.withColumnsRenamed({"_d0": "d0", "_d1": "d1"}) if not {"d0", "d1"} & set(df.columns) else None
-    if probe is None:
-        raise ValueError("columns d0 and d1 are taken")
-    probe = probe.withColumn("_shard", F.when(F.col("_known"), shard))
-    side = filter.tables.select(*[F.col(c).alias(f"_t_{c}") for c in ("shard", "n_slots", "seed", "n_blocks", "extra", "p", "g", "h", "b")])
+    for c, kind in zip(key_columns(key), filter.key_types):
+        known = known & F.col(c).cast(kind).isNotNull()
+    probe = df.withColumns({"d0": d0, "d1": d1, "_known": known})
+    spread = F.lit(-1) if df.isStreaming else -1 - F.pmod(F.monotonically_increasing_id(), F.lit(NULL_SALTS)).cast("int")  # streams only meet broadcast tables
+    return probe.withColumn("_shard", F.when(F.col("_known"), shard_of(spec.shards, spec.seed, spec.family)).otherwise(spread))
+
+
+def _renamed(df: DataFrame, key) -> tuple[DataFrame, list[Column], list[str]]:
+    apart, back = _apart(df)
+    names = key_columns(key)
+    return apart, back, names if apart is df else [apart.columns[df.columns.index(c)] for c in names]
+
+
+def lookup(df: DataFrame, filter: Filter, key, out: str = "value", strategy: str = "auto") -> DataFrame:
+    """``df`` with the looked-up value as a nullable column ``out``. strategy: auto, broadcast (refused above BROADCAST_BYTES), shuffle_hash or merge."""
+    if strategy in ("auto", "broadcast"):
+        small = filter.bytes() <= BROADCAST_BYTES
+        if strategy == "broadcast" and not small:
+            raise ValueError(f"the filter has more than {BROADCAST_BYTES} bytes; shuffle_hash or merge join it by shard")
+        strategy = "broadcast" if small else "shuffle_hash"
+    if strategy not in ("broadcast", "shuffle_hash", "merge"):
+        raise ValueError(strategy)
+    rows, back, names = _renamed(df, key)
+    probe = _probe(rows, filter, names)
+    side = filter.tables.select(*[F.col(c).alias(f"_t_{c}") for c in SIDE])
     side = F.broadcast(side) if strategy == "broadcast" else side.hint(strategy)
     joined = probe.join(side, F.col("_shard") == F.col("_t_shard"), "left")
-    value = evaluate(spec, filter.blocks())
-    return joined.select(*df.columns, F.when(F.col("_known"), value).alias(out))
+    if filter.spec.buckets:
+        joined = joined.withColumns(_directory(filter.spec))
+    value = evaluate(filter.spec, filter.blocks())
+    return joined.select(*back, F.when(F.col("_known"), value).alias(out))
+
+
+def _directory(spec: Spec) -> dict[str, Column]:
+    """What a shard's directory says of the key's bucket: where its slots are, its own prime, blocks and seed."""
+    bucket = F.pmod(derived(F.lit(spec.seed).cast("long"), SHARD, spec.family), F.lit(spec.shards * spec.buckets).cast("long"))
+    at = F.floor(bucket / F.lit(spec.shards)).cast("long") if spec.shards > 1 else bucket
+    entry = F.slice("_t_h", (at * len(DIRECTORY) + 1).cast("int"), F.lit(len(DIRECTORY)))
+    return {f"_b_{c}": F.get(entry, i) for i, c in enumerate(DIRECTORY)}
+
+
+def bucket_of(spec: Spec, d0: np.ndarray, d1: np.ndarray) -> np.ndarray:
+    """The bucket of each key; bucket // shards is its place in its shard, bucket % shards."""
+    return np_derived(spec.seed, SHARD, d0, d1) % (spec.shards * spec.buckets)
 
 
 def evaluate(spec: Spec, blocks: int = 1) -> Column:
@@ -107,19 +157,29 @@ def evaluate(spec: Spec, blocks: int = 1) -> Column:
             value = F.when(which == j, h(a)).otherwise(value)
         return value
     if spec.kind == "sparse":
-        mask = F.pmod(hash_of(MASK), p)
-        tries = []
-        for j in range(blocks):
+        first, held = F.lit(0).cast("long"), F.col("_t_n_blocks").cast("long")
+        if spec.buckets:
+            first, n, p, held, seed = (F.col(f"_b_{c}") for c in DIRECTORY)
+        mask = F.pmod(derived(seed, MASK, spec.family), p)
+
+        def block(j: Column) -> Column:
             total = mask
             for t in range(spec.s):
-                role = CHOICE + 2 * (j * spec.s + t)
-                total = total + F.pmod((1 + F.pmod(hash_of(role + 1), p - 1)) * g(F.pmod(hash_of(role), n)), p)
-            tries.append(F.when(F.lit(j) < F.col("_t_n_blocks"), in_range(F.pmod(total, p))))
+                role = (j * (2 * spec.s) + (CHOICE + 2 * t)).cast("long")
+                cell = F.get("_t_g", (first + F.pmod(derived(seed, role, spec.family), n)).cast("int"))
+                total = F.pmod(total + _product(1 + F.pmod(derived(seed, role + 1, spec.family), p - 1), cell, p, spec.p_bits), p)
+            return F.when(j < held, in_range(total))
+
+        tries = [block(F.lit(j)) for j in range(min(blocks, INLINE_BLOCKS))]
+        if blocks > INLINE_BLOCKS:  # few keys come so far; written out, these would be too much code
+            rest = F.sequence(F.lit(INLINE_BLOCKS), F.lit(blocks - 1))
+            tries.append(F.aggregate(rest, F.lit(None).cast("long"), lambda found, j: F.coalesce(found, block(j))))
         return F.coalesce(*tries)
     if spec.kind == "xor":
-        x = F.pmod(hash_of(MASK), F.lit(spec.modulus))
+        first, n, seed = (F.col(f"_b_{c}") for c in ("first", "slots", "seed"))
+        x = F.pmod(derived(seed, MASK, spec.family), F.lit(spec.modulus))
         for t in range(spec.s):
-            x = x.bitwiseXOR(g(F.pmod(hash_of(CHOICE + t), n)))
+            x = x.bitwiseXOR(g(first + F.pmod(derived(seed, CHOICE + t, spec.family), n)))
         return in_range(x)
     if spec.kind == "membership":
         return F.when(_might_contain(spec, n), F.lit(1).cast("long"))
@@ -132,6 +192,14 @@ def evaluate(spec: Spec, blocks: int = 1) -> Column:
     return found
 
 
+def _product(a: Column, b: Column, p: Column, p_bits: int) -> Column:
+    """A product of residues; of those above 31 bits in decimals, which hold the 122 bits of a product."""
+    if p_bits <= 31:
+        return F.pmod(a * b, p)
+    wide = lambda x: x.cast("decimal(19,0)")
+    return (wide(a) * wide(b) % wide(p)).cast("long")
+
+
 def _might_contain(spec: Spec, n_bits: Column) -> Column:
     seed = F.xxhash64(F.lit(spec.seed).cast("long"), F.col("_t_shard").cast("long"), F.lit(0).cast("long"))
     n_bits = n_bits.cast("long")
@@ -143,48 +211,74 @@ def _might_contain(spec: Spec, n_bits: Column) -> Column:
     return held
 
 
-def np_evaluate(spec: Spec, row: dict, d0: np.ndarray, d1: np.ndarray) -> np.ndarray:
-    """The same lookup in NumPy over one shard's row; -1 is NULL. Kernels verify their members with it."""
-    seed, n = row["seed"], row["n_slots"]
-    g = np.asarray(row["g"], np.int64) if row.get("g") is not None else None
-    of = lambda role: np_derived(seed, role, d0, d1, spec.family)
+def np_evaluate(spec: Spec, row: dict, d0: np.ndarray, d1: np.ndarray, tally: dict[str, int] | None = None) -> np.ndarray:
+    """The same lookup in NumPy over one shard's row; -1 is NULL. Kernels verify their members with it. ``tally`` counts the hashes and reads that it takes."""
+    seed, n = row.get("seed"), row.get("n_slots")
+    array = lambda name: np.asarray(row[name], np.int64) if row.get(name) is not None else None
+    g, h = array("g"), array("h")
+    keys = np.arange(len(d0))
+
+    def counted(what: str, k: int) -> None:
+        if tally is not None:
+            tally[what] = tally.get(what, 0) + k
+
+    def of(role: int, some: np.ndarray = keys, seed=seed) -> np.ndarray:
+        counted("hashes", len(some))
+        return np_derived(seed if np.ndim(seed) == 0 else seed[some], role, d0[some], d1[some], spec.family)
+
+    def read(cells: np.ndarray, at: np.ndarray) -> np.ndarray:
+        counted("reads", at.size)
+        return cells[at]
+
     limit = 1 << spec.k
+    if spec.shards > 1 or spec.buckets:
+        counted("hashes", len(d0))  # that which tells the shard or bucket
     if spec.kind in ("acyclic", "mutable", "af_raw"):
         u = of(FIRST) % n
         v = (u + 1 + of(SECOND) % (n - 1)) % n if spec.distinct else of(SECOND) % n
-        x = (g[u] + g[v] + (0 if spec.kind == "af_raw" else of(MASK) % spec.modulus)) % spec.modulus
+        x = (read(g, u) + read(g, v) + (0 if spec.kind == "af_raw" else of(MASK) % spec.modulus)) % spec.modulus
         return np.where(x < limit, x, -1)
     if spec.kind == "peeled":
         ends = [n * j // spec.r for j in range(spec.r + 1)]
         x = of(MASK) % spec.modulus
         for j in range(spec.r):
-            x = (x + g[ends[j] + of(CHOICE + j) % (ends[j + 1] - ends[j])]) % spec.modulus
+            x = (x + read(g, ends[j] + of(CHOICE + j) % (ends[j + 1] - ends[j]))) % spec.modulus
         return np.where(x < limit, x, -1)
     if spec.kind == "matched":
         ends = [n * j // spec.r for j in range(spec.r + 1)]
         at = np.stack([ends[j] + of(CHOICE + j) % (ends[j + 1] - ends[j]) for j in range(spec.r)])
-        which = np.bitwise_xor.reduce(g[at], axis=0) ^ (of(MASK) % (1 << spec.q_bits))
-        h, ok = np.asarray(row["h"], np.int64), which < spec.r
-        return np.where(ok, h[at[np.where(ok, which, 0), np.arange(len(d0))]], -1)
+        which = np.bitwise_xor.reduce(read(g, at), axis=0) ^ (of(MASK) % (1 << spec.q_bits))
+        ok = np.flatnonzero(which < spec.r)
+        out = np.full(len(d0), -1)
+        out[ok] = read(h, at[which[ok], ok])
+        return out
     if spec.kind == "sparse":
-        p, out = row["p"], np.full(len(d0), -1)
-        for j in range(row["n_blocks"]):
-            x = of(MASK) % p
+        if spec.buckets:
+            first, width, p, held, seeds = h.reshape(-1, len(DIRECTORY))[bucket_of(spec, d0, d1) // spec.shards].T
+        else:
+            first, width, p, held = (np.full(len(d0), x) for x in (0, n, row["p"], row["n_blocks"]))
+            seeds = np.full(len(d0), seed)
+        out, mask = np.full(len(d0), -1), of(MASK, seed=seeds) % p
+        for j in range(int(held.max(initial=0))):
+            left = np.flatnonzero((out < 0) & (j < held))
+            x, prime = mask[left], p[left]
             for t in range(spec.s):
                 role = CHOICE + 2 * (j * spec.s + t)
-                x = x + (1 + of(role + 1) % (p - 1)) * g[of(role) % n] % p
-            x %= p
-            out = np.where((out < 0) & (x < limit), x, out)
+                at = first[left] + of(role, left, seeds) % width[left]
+                x = (x + mul_mod(1 + of(role + 1, left, seeds) % (prime - 1), read(g, at), prime)) % prime if len(left) else x
+            out[left] = np.where(x < limit, x, -1)
         return out
     if spec.kind == "xor":
-        x = of(MASK) % spec.modulus
+        first, width, _, _, seeds = h.reshape(-1, len(DIRECTORY))[bucket_of(spec, d0, d1) // spec.shards].T
+        x = of(MASK, seed=seeds) % spec.modulus
         for t in range(spec.s):
-            x = x ^ g[of(CHOICE + t) % n]
+            x = x ^ read(g, first + of(CHOICE + t, seed=seeds) % width)
         return np.where(x < limit, x, -1)
-    home, out, h = of(1) % n, np.full(len(d0), -1), np.asarray(row["h"], np.int64)
+    home, out = of(1) % n, np.full(len(d0), -1)
     for step in range(row["extra"]):
-        at = np.minimum(home + step, len(g) - 1)
-        out = np.where((out < 0) & (g[at] == d0) & (h[at] >= 0), h[at], out)
+        left = np.flatnonzero(out < 0)
+        at = np.minimum(home[left] + step, len(g) - 1)
+        out[left] = np.where((read(g, at) == d0[left]) & (h[at] >= 0), h[at], -1)
     return out
 
 
@@ -222,26 +316,53 @@ def packed(filter: Filter) -> DataFrame:
     return filter.tables.select("shard", "n_slots", "seed", "g").mapInArrow(run, "shard int, n_slots long, seed long, g binary")
 
 
-def lookup_packed(df: DataFrame, filter: Filter, key: str, out: str = "value") -> DataFrame:
-    """(key, out) by shard against packed slots: each task reads a shard's bytes and the probes that belong to it."""
+#: Probes of one shard in a task of a packed lookup.
+PACKED_PROBES = 4_000_000
+
+
+def lookup_packed(df: DataFrame, filter: Filter, key, out: str = "value") -> DataFrame:
+    """``df`` with the value as column ``out``, by shard against packed slots.
+
+    Shards and probes meet in sorted rows, a shard's bytes before its probes, so that a task holds one shard and one batch. A shard with more than
+    PACKED_PROBES probes is dealt over several tasks, each of which gets its bytes.
+    """
     spec = filter.spec
     if spec.kind not in ("acyclic", "mutable"):
         raise ValueError(f"{spec.kind} has no packed form")
-    width, kind = width_of(spec.modulus), filter.key_types[0]
-    d0, d1 = digests(key, filter.key_types, spec.family)
-    probe = df.select(F.col(key).cast(kind).alias("key"), d0.alias("d0"), d1.alias("d1")).withColumn("shard", shard_of(spec.shards, spec.seed, spec.family))
-
-    def run(table: pa.Table, cells: pa.Table) -> pa.Table:
-        n = table.num_rows
-        if not n or not cells.num_rows:
-            return pa.table({"key": table.column("key"), "value": pa.nulls(n, pa.int64())})
-        a, b = table.column("d0").to_numpy(), table.column("d1").to_numpy()
-        slots, seed, data = (cells.column(c)[0].as_py() for c in ("n_slots", "seed", "g"))
-        u = np_derived(seed, FIRST, a, b, spec.family) % slots
-        second = np_derived(seed, SECOND, a, b, spec.family)
-        v = (u + 1 + second % (slots - 1)) % slots if spec.distinct else second % slots
-        x = (gather(data, width, u) + gather(data, width, v) + np_derived(seed, MASK, a, b, spec.family) % spec.modulus) % spec.modulus
-        missing = (x >= 1 << spec.k) | table.column("key").is_null().to_numpy()
-        return pa.table({"key": table.column("key"), "value": pa.array(x, pa.int64(), mask=missing)})
-
-    return probe.groupBy("shard").cogroup(packed(filter).groupBy("shard")).applyInArrow(run, f"key {kind}, value long").select(F.col("key").alias(key), F.col("value").alias(out))
+    width = width_of(spec.modulus)
+    rows, back, names = _renamed(df, key)
+    probe = _probe(rows, filter, names)
+    held = probe.where("_known").groupBy("_shard").count().where(F.col("count") > PACKED_PROBES)
+    parts = held.select(F.col("_shard").alias("_hot"), F.ceil(F.col("count") / PACKED_PROBES).cast("int").alias("_parts"))
+    parts = F.broadcast(written(parts, "parts")[0])  # at most a row for each shard of more than PACKED_PROBES probes
+    n_parts = F.coalesce("_parts", F.lit(1))
+    probe = probe.join(parts, F.col("_shard") == F.col("_hot"), "left").withColumn("_salt", F.pmod(F.monotonically_increasing_id(), n_parts).cast("int"))
+    sides = packed(filter).join(parts, F.col("shard") == F.col("_hot"), "left").select(F.col("shard").alias("_shard"), F.explode(F.sequence(F.lit(0), n_parts - 1)).alias("_salt"), F.lit(0).alias("_kind"), "n_slots", "seed", "g")
+    own = F.struct(*[F.col(f"`{c}`") for c in rows.columns])
+    asked = probe.select("_shard", "_salt", F.lit(1).alias("_kind"), "d0", "d1", "_known", own.alias("_row"))
+    both = sides.unionByName(asked, allowMissingColumns=True).select("_shard", "_salt", "_kind", "n_slots", "seed", "g", "d0", "d1", "_known", "_row")
+
+    def run(batches):
+        have = slots = seed = data = None
+        for batch in batches:
+            shards, kinds = (batch.column(i).to_numpy(zero_copy_only=False) for i in (0, 2))
+            cuts = np.flatnonzero(np.concatenate(([True], (shards[1:] != shards[:-1]) | (kinds[1:] != kinds[:-1]) | (kinds[1:] == 0), [True])))
+            for a, b in zip(cuts[:-1].tolist(), cuts[1:].tolist()):
+                if kinds[a] == 0:
+                    have, slots, seed, data = int(shards[a]), *(batch.column(i)[a].as_py() for i in (3, 4, 5))
+                    continue
+                part = batch.slice(a, b - a)
+                if int(shards[a]) != have:
+                    value = pa.nulls(b - a, pa.int64())
+                else:
+                    x, y = (part.column(i).to_numpy(zero_copy_only=False) for i in (6, 7))
+                    u = np_derived(seed, FIRST, x, y, spec.family) % slots
+                    second = np_derived(seed, SECOND, x, y, spec.family)
+                    v = (u + 1 + second % (slots - 1)) % slots if spec.distinct else second % slots
+                    found = (gather(data, width, u) + gather(data, width, v) + np_derived(seed, MASK, x, y, spec.family) % spec.modulus) % spec.modulus
+                    value = pa.array(found, pa.int64(), mask=found >= 1 << spec.k)
+                yield pa.RecordBatch.from_arrays([part.column(9), value], names=["_row", "_value"])
+
+    meet = both.repartition("_shard", "_salt").sortWithinPartitions("_shard", "_salt", "_kind")
+    found = meet.mapInArrow(run, f"_row {both.schema['_row'].dataType.simpleString()}, _value long")
+    return found.select("_row.*", F.col("_value").alias("_value")).select(*back, F.col("_value").alias(out))

@@ -31,6 +31,8 @@ class Spec:
     s: int = 3
     p_bits: int = 31
     max_blocks: int = 64
+    #: Buckets of each shard; 0: a shard is one system.
+    buckets: int = 0
     field: str = "primitive"
     load: float = 0.5
     tries: int = 1
@@ -51,6 +53,10 @@ class Spec:
         return 2.0**-64 if self.kind == "dict" else 1.0
 
 
+#: Longs of each bucket in a shard's directory: where its slots begin, how many there are, its prime, its blocks, its seed.
+DIRECTORY = ("first", "slots", "p", "blocks", "seed")
+
+
 def check_k(k: int) -> None:
     if not 1 <= k <= 60:
         raise ValueError(f"k = {k}: values have 1 to 60 bits")

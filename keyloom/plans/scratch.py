@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import tempfile
 import uuid
 
@@ -10,10 +11,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share: ``spark.checkpoint.dir``; where that is unset (tests), one of our own."""
+    """The folder all executors share: ``spark.checkpoint.dir``; where that is unset and all executors are threads of one machine (tests), one of our own."""
     if not (found := spark.conf.get("spark.checkpoint.dir", None)):
         context = spark.sparkContext
         if not (found := context.getCheckpointDir()):
+            if not re.fullmatch(r"local(\[.*\])?", context.master):
+                raise RuntimeError(f"set spark.checkpoint.dir to a folder that all executors of {context.master} share")
             context.setCheckpointDir(tempfile.mkdtemp(prefix="keyloom-"))
             found = context.getCheckpointDir()
     return found.rstrip("/")

@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import glob
 
+import numpy as np
+import pyarrow as pa
 import pyarrow.parquet as pq
 from pyspark.sql.datasource import DataSource, DataSourceReader, InputPartition
 
@@ -30,6 +32,10 @@ class _Reader(DataSourceReader):
         return [InputPartition(f) for f in sorted(glob.glob(f"{self.path}/tables/**/*.parquet", recursive=True))]
 
     def read(self, partition):
-        for row in pq.ParquetFile(partition.value).read(columns=["shard", "g"]).to_pylist():
-            for slot, g in enumerate(row["g"] or ()):
-                yield row["shard"], slot, g
+        """Arrow batches, one for each shard."""
+        for batch in pq.ParquetFile(partition.value).iter_batches(batch_size=1, columns=["shard", "g"]):
+            cells = batch.column("g")[0].values
+            if cells is not None and len(cells):
+                n = len(cells)
+                columns = [pa.array(np.full(n, batch.column("shard")[0].as_py()), pa.int32()), pa.array(np.arange(n), pa.int64()), cells.cast(pa.int64())]
+                yield pa.RecordBatch.from_arrays(columns, names=["shard", "slot", "g"])
