@@ -16,15 +16,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from keyloom.functions.hashing import CHOICE, FAMILIES, check_key_types, digests, key_columns, next_seed, np_derived, shard_of
+from keyloom.functions.hashing import CHOICE, FAMILIES, MASK, check_key_types, digests, key_columns, next_seed, np_derived, shard_of
 from keyloom.functions.numtheory import choose_primes
 from keyloom.operators import kernels as K
-from keyloom.operators.lookup import Filter, np_evaluate
+from keyloom.operators.lookup import Filter, bucket_of, np_evaluate
 from keyloom.plans.params import Spec, acyclic_probability, bucket_tail, check_c, check_k, component_bound, modulus_for, shards_for
 from keyloom.plans.scratch import written
 
-TABLES = pa.schema([("shard", pa.int32()), ("n_keys", pa.int64()), ("n_slots", pa.int64()), ("seed", pa.int64()), ("attempts", pa.int32()), ("n_blocks", pa.int32()), ("tries", pa.int64()), ("max_component", pa.int32()), ("extra", pa.int64()), ("p", pa.int64()), ("seconds", pa.float64()), ("g", pa.list_(pa.int64())), ("h", pa.list_(pa.int64())), ("b", pa.list_(pa.int64()))])
-TABLES_SQL = "shard int, n_keys long, n_slots long, seed long, attempts int, n_blocks int, tries long, max_component int, extra long, p long, seconds double, g array<long>, h array<long>, b array<long>"
+TABLES = pa.schema([("shard", pa.int32()), ("n_keys", pa.int64()), ("n_slots", pa.int64()), ("seed", pa.int64()), ("attempts", pa.int32()), ("n_blocks", pa.int32()), ("tries", pa.int64()), ("max_component", pa.int32()), ("extra", pa.int64()), ("first_block", pa.int64()), ("p", pa.int64()), ("seconds", pa.float64()), ("g", pa.list_(pa.int64())), ("h", pa.list_(pa.int64())), ("b", pa.list_(pa.int64()))])
+TABLES_SQL = "shard int, n_keys long, n_slots long, seed long, attempts int, n_blocks int, tries long, max_component int, extra long, first_block long, p long, seconds double, g array<long>, h array<long>, b array<long>"
 
 
 def _digested(df: DataFrame, key, value: str | None, kinds: list[str], spec: Spec) -> DataFrame:
@@ -65,7 +65,7 @@ def build_table(spec: Spec, table: pa.Table) -> pa.Table:
     K.check_distinct(d0, d1, value)
     start = time.thread_time()
     row = KERNELS[spec.kind](spec, shard, d0, d1, value)
-    row = {"shard": shard, "n_keys": len(d0), "n_blocks": 1, "tries": len(d0), "max_component": 0, "extra": 0, "p": 0, "h": None, "b": None} | row | {"seconds": time.thread_time() - start}
+    row = {"shard": shard, "n_keys": len(d0), "n_blocks": 1, "tries": len(d0), "max_component": 0, "extra": 0, "first_block": 0, "p": 0, "h": None, "b": None} | row | {"seconds": time.thread_time() - start}
     if spec.kind not in ("membership", "af_raw") and not (np_evaluate(spec, row, d0, d1) == value).all():
         raise AssertionError("a member is not looked up as it was stored")
     return pa.table({f.name: pa.array([row[f.name]], f.type) for f in TABLES}, schema=TABLES)
@@ -122,9 +122,13 @@ def sparse_row(d0, d1, seed: int, block: int, s: int, q: int, p: int) -> tuple[n
 
 
 def _sparse(spec: Spec, shard: int, d0, d1, value) -> dict:
+    """One system, or the buckets of a shard. ``extra`` counts the members that an earlier block answered wrongly in systems that were then rebuilt."""
+    if spec.buckets:
+        return _sparse_buckets(spec, shard, d0, d1, value)
     n = len(d0)
     primes = choose_primes(n, spec.eps, spec.p_bits, spec.seed, "direct", spec.field)
     q, p = primes.q, primes.p
+    wrong_before = 0
     for attempt, seed in _attempts(spec, shard, n, q):
         mask = K.masks(d0, d1, seed, p)
         rows = K.Echelon(q, p)
@@ -136,24 +140,105 @@ def _sparse(spec: Spec, shard: int, d0, d1, value) -> dict:
                     blocks.append(sparse_row(d0, d1, seed, j, spec.s, q, p))
                 at, by = blocks[j]
                 row = np.zeros(q + 1, np.int64)
-                np.add.at(row, at[:, i], by[:, i])  # positions may coincide: their coefficients add up
-                row[-1] = value[i] - mask[i]
-                if rows.try_add(row % p):
+                for t in range(spec.s):  # positions may coincide: their coefficients add up
+                    row[at[t, i]] = (row[at[t, i]] + by[t, i]) % p
+                row[-1] = (value[i] - mask[i]) % p
+                if rows.try_add(row):
                     used[i] = j
                     break
             else:
                 break
         else:
-            out = {"n_slots": q, "seed": seed, "attempts": attempt, "n_blocks": int(used.max(initial=0)) + 1, "tries": int((used + 1).sum()), "extra": 0, "p": p, "g": rows.solution()}
-            wrong = int((np_evaluate(spec, out, d0, d1) != value).sum())  # an earlier block may have answered
+            out = {"n_slots": q, "seed": seed, "attempts": attempt, "n_blocks": int(used.max(initial=0)) + 1, "tries": int((used + 1).sum()), "first_block": int((used == 0).sum()), "p": p, "g": rows.solution()}
+            wrong = int((np_evaluate(spec, out, d0, d1) != value).sum())
             if not wrong:
-                return out | {"extra": attempt - 1}
+                return out | {"extra": wrong_before}
+            wrong_before += wrong
+
+
+def _sparse_buckets(spec: Spec, shard: int, d0, d1, value) -> dict:
+    """The systems of all buckets of a shard, eliminated side by side: their slots one after the other in ``g``, their directory in ``h``."""
+    local = bucket_of(spec, d0, d1) // spec.shards
+    sizes = np.bincount(local, minlength=spec.buckets)
+    primes = [choose_primes(max(1, int(n)), spec.eps, spec.p_bits, spec.seed, "direct", spec.field) for n in sizes]
+    q, p = np.array([x.q for x in primes], np.int64), np.array([x.p for x in primes], np.int64)
+    order = np.argsort(local, kind="stable")
+    starts = np.cumsum(sizes) - sizes
+    solved: list[np.ndarray | None] = [None] * spec.buckets
+    seeds, blocks, tries = np.zeros(spec.buckets, np.int64), np.ones(spec.buckets, np.int64), np.zeros(spec.buckets, np.int64)
+    first_block = wrong_before = attempts = 0
+    left = np.arange(spec.buckets)
+    for attempt in range(1, spec.max_attempts + 1):
+        attempts = attempt
+        for b in left.tolist():
+            seeds[b] = next_seed(spec.seed, shard, b, attempt)
+        keys = order[np.isin(local[order], left)]
+        of = np.searchsorted(left, local[keys])
+        mine = {"seed": seeds[local[keys]], "q": q[local[keys]], "p": p[local[keys]]}
+        rhs = (value[keys] - np_derived(mine["seed"], MASK, d0[keys], d1[keys]) % mine["p"]) % mine["p"]
+        system = K.Echelons(q[left], p[left], max(1, int(sizes[left].max(initial=1))))
+        nth = np.arange(len(keys)) - np.repeat(np.cumsum(sizes[left]) - sizes[left], sizes[left])
+        used = np.full(len(keys), -1)
+        for i in range(int(sizes[left].max(initial=0))):
+            now = np.flatnonzero(nth == i)
+            for j in range(spec.max_blocks):
+                rows = np.zeros((len(now), system.width + 1), np.int64)
+                seed, width, prime = mine["seed"][now], mine["q"][now], mine["p"][now]
+                for t in range(spec.s):
+                    role = CHOICE + 2 * (j * spec.s + t)
+                    at = np_derived(seed, role, d0[keys[now]], d1[keys[now]]) % width
+                    by = 1 + np_derived(seed, role + 1, d0[keys[now]], d1[keys[now]]) % (prime - 1)
+                    rows[np.arange(len(now)), at] = (rows[np.arange(len(now)), at] + by) % prime
+                rows[:, -1] = rhs[now]
+                good = system.try_add(of[now], rows)
+                used[now[good]] = j
+                now = now[~good]
+                if not len(now):
+                    break
+        failed = np.zeros(len(left), bool)
+        failed[of[used < 0]] = True
+        most = np.zeros(len(left), np.int64)
+        np.maximum.at(most, of, used + 1)
+        for i, (b, g) in enumerate(zip(left.tolist(), system.solutions())):
+            solved[b], blocks[b] = g, max(1, most[i])
+        firsts = np.cumsum([0, *(len(g) for g in solved)])
+        row = {"g": np.concatenate(solved), "h": np.column_stack((firsts[:-1], q, p, blocks, seeds)).ravel()}
+        off = np.zeros(len(left), bool)
+        wrong = (np_evaluate(spec, row, d0[keys], d1[keys]) != value[keys]) & ~failed[of]
+        wrong_before += int(wrong.sum())
+        off[of[wrong]] = True
+        done = ~(failed | off)
+        tries[left[done]] = np.bincount(of, used + 1, len(left))[done].astype(np.int64)
+        first_block += int((used == 0)[done[of]].sum())
+        left = left[~done]
+        if not len(left):
+            break
+    else:
+        raise K.BuildError(f"shard {shard}: {spec.max_attempts} seeds were not enough for buckets {left[:5].tolist()}")
+    return {"n_slots": len(row["g"]), "seed": 0, "attempts": attempts, "n_blocks": int(blocks.max()), "tries": int(tries.sum()), "first_block": first_block, "extra": wrong_before, "p": int(p.max()), "g": row["g"], "h": row["h"]}
 
 
 def _xor(spec: Spec, shard: int, d0, d1, value) -> dict:
+    """The buckets of a shard, each by itself; laid out as those of sparse filters."""
+    local = bucket_of(spec, d0, d1) // spec.shards
+    order = np.argsort(local, kind="stable")
+    ends = np.searchsorted(local[order], np.arange(spec.buckets + 1))
+    cells, directory, most, first = [], [], 1, 0
+    for b in range(spec.buckets):
+        keys = order[ends[b] : ends[b + 1]]
+        g, seed, attempt = _xor_system(spec, shard, b, d0[keys], d1[keys], value[keys])
+        cells.append(g)
+        directory += [first, len(g), 0, 1, seed]
+        first += len(g)
+        most = max(most, attempt)
+    return {"n_slots": first, "seed": 0, "attempts": most, "g": np.concatenate(cells), "h": directory}
+
+
+def _xor_system(spec: Spec, shard: int, bucket: int, d0, d1, value) -> tuple[np.ndarray, int, int]:
     n = len(d0)
     slots = max(spec.s, math.ceil(n * (1 + spec.eps)))
-    for attempt, seed in _attempts(spec, shard, n, slots):
+    for attempt in range(1, spec.max_attempts + 1):
+        seed = next_seed(spec.seed, shard, bucket, attempt)
         at = np.stack([np_derived(seed, CHOICE + t, d0, d1) % slots for t in range(spec.s)])
         rhs = value ^ K.masks(d0, d1, seed, spec.modulus)
         rows = K.XorRows(slots)
@@ -164,7 +249,8 @@ def _xor(spec: Spec, shard: int, d0, d1, value) -> dict:
             if not rows.try_add(bits, int(rhs[i])):
                 break
         else:
-            return {"n_slots": slots, "seed": seed, "attempts": attempt, "g": rows.solution()}
+            return rows.solution(), seed, attempt
+    raise K.BuildError(f"shard {shard}: {spec.max_attempts} seeds were not enough for {n} keys in {slots} slots")
 
 
 def _dict(spec: Spec, shard: int, d0, d1, value) -> dict:
@@ -274,8 +360,8 @@ def _check_sparse(k: int, eps: float, s: int, p_bits: int, allow_s1: bool) -> No
     check_k(k)
     if p_bits <= k:
         raise ValueError("p_bits must be above k")
-    if p_bits > 31:
-        raise ValueError("native products need p_bits <= 31")
+    if p_bits > 61:
+        raise ValueError("residues have 61 bits at most")
     if s < 1 or s == 1 and not allow_s1:
         raise ValueError("s = 1 needs very many blocks; allow_s1 makes it possible")
     if eps <= 0:
@@ -313,27 +399,32 @@ def bucket_count(n: int, bucket_c: float = 2.0) -> int:
 
 
 def build_bucketed_sparse(df: DataFrame, key, value: str, *, k: int, eps: float = 0.1, s: int = 3, p_bits: int = 31, bucket_c: float = 2.0, delta: float = 4.5, seed: int = 42, max_blocks: int = 64, field: str = "primitive") -> Filter:
-    """A sparse-linear filter for each of n/(c log n) buckets: building becomes almost linear, memory stays near n."""
+    """A sparse-linear filter for each of n/(c log n) buckets, many of them in a shard: building becomes almost linear, memory stays near n."""
     _check_sparse(k, eps, s, p_bits, False)
     if bucket_c <= 1:
         raise ValueError("bucket_c must be above 1")
     n = df.count()
-    buckets = bucket_count(n, bucket_c)
-    chosen, _, _ = choose_bucket_seed(df, key, buckets, delta, seed)
-    return _build(df, key, value, Spec("sparse", k=k, eps=eps, s=s, p_bits=p_bits, shards=buckets, seed=chosen, max_blocks=max_blocks, field=field), n)
+    shards = shards_for(n, "auto")
+    per_shard = -(-bucket_count(n, bucket_c) // shards)
+    chosen, _, _ = choose_bucket_seed(df, key, shards * per_shard, delta, seed)
+    return _build(df, key, value, Spec("sparse", k=k, eps=eps, s=s, p_bits=p_bits, shards=shards, buckets=per_shard, seed=chosen, max_blocks=max_blocks, field=field), n)
 
 
 def bucketed(builder: Callable, df: DataFrame, key, value: str, *, bucket_c: float = 2.0, **options) -> Filter:
     """Any builder over n/(c log n) buckets: each is built by itself, and a lookup evaluates one more hash."""
     if builder is build_sparse_linear:
         return build_bucketed_sparse(df, key, value, bucket_c=bucket_c, **options)
+    if builder is build_xor_sparse:
+        return builder(df, key, value, per_bucket=max(1, round(bucket_c * math.log(max(df.count(), 3)))), **options)
     return builder(df, key, value, shards=bucket_count(df.count(), bucket_c), **options)
 
 
 def build_xor_sparse(df: DataFrame, key, value: str, *, k: int, error: float = 2.0**-20, eps: float = 0.25, s: int = 3, seed: int = 42, per_bucket: int = 256) -> Filter:
     """s positions over GF(2), combined by exclusive or: the later, simpler relative."""
     n = df.count()
-    return _build(df, key, value, Spec("xor", k=k, modulus=modulus_for(k, None, error), eps=eps, s=s, shards=shards_for(n, "auto", per_bucket), seed=seed, max_attempts=512), n)
+    shards = shards_for(n, "auto")
+    buckets = -(-shards_for(n, "auto", per_bucket) // shards)
+    return _build(df, key, value, Spec("xor", k=k, modulus=modulus_for(k, None, error), eps=eps, s=s, shards=shards, buckets=buckets, seed=seed, max_attempts=512), n)
 
 
 def build_hash_dict(df: DataFrame, key, value: str, *, k: int = 60, load: float = 0.5, seed: int = 42, shards: int | str = "auto") -> Filter:

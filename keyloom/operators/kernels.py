@@ -177,8 +177,29 @@ def solve_peeled(peeled: Peeling, slots: np.ndarray, rhs: np.ndarray, n_slots: i
     return g
 
 
+def mul_mod(a: np.ndarray, b: np.ndarray, p) -> np.ndarray:
+    """Products of residues modulo p (below 2^61; a number or an array). Above 2^31 the quotient comes from extended precision, and the rest wraps to what is left."""
+    if int(np.max(p, initial=0)) < 1 << 31:
+        return a * b % p
+    if np.finfo(np.longdouble).nmant < 63:  # no extended precision on this machine
+        return (a.astype(object) * b % np.asarray(p, object)).astype(np.int64)
+    quotient = (a.astype(np.longdouble) * b / np.asarray(p, np.longdouble)).astype(np.int64)
+    with np.errstate(over="ignore"):
+        rest = a * b - quotient * p
+    rest = np.where(rest < 0, rest + p, rest)
+    return np.where(rest >= p, rest - p, rest)
+
+
+def sum_mod(x: np.ndarray, axis: int, p) -> np.ndarray:
+    """Sums of residues modulo p, in two halves so that none overflows."""
+    if int(np.max(p, initial=0)) < 1 << 31:
+        return x.sum(axis=axis) % p
+    low, high = (x & ((1 << 30) - 1)).sum(axis=axis), (x >> 30).sum(axis=axis)
+    return (mul_mod(high % p, np.int64(1 << 30) % p, p) + low % p) % p
+
+
 class Echelon:
-    """Reduced rows over a prime field below 2^31, with a right-hand side as the last column; rows are added one by one."""
+    """Reduced rows over a prime field below 2^61, with a right-hand side as the last column; rows are added one by one."""
 
     def __init__(self, width: int, p: int):
         self.width, self.p = width, p
@@ -189,14 +210,14 @@ class Echelon:
         """Adds a row (width + 1 residues) if it is independent of those there."""
         p = self.p
         if self.pivots:
-            row = (row - (row[self.pivots][:, None] * self.rows % p).sum(axis=0)) % p
+            row = (row - sum_mod(mul_mod(row[self.pivots][:, None], self.rows, p), 0, p)) % p
         filled = np.nonzero(row[:-1])[0]
         if not len(filled):
             return False
         pivot = int(filled[0])
-        row = row * pow(int(row[pivot]), -1, p) % p
+        row = mul_mod(row, np.int64(pow(int(row[pivot]), -1, p)), p)
         if self.pivots:
-            self.rows = (self.rows - self.rows[:, pivot][:, None] * row % p) % p
+            self.rows = (self.rows - mul_mod(self.rows[:, pivot][:, None], row, p)) % p
         self.rows = np.vstack((self.rows, row))
         self.pivots.append(pivot)
         return True
@@ -208,6 +229,51 @@ class Echelon:
         return g
 
 
+class Echelons:
+    """Many small systems at once, each over its own prime: the same steps as ``Echelon``, on arrays (system, row, column) padded to the widest."""
+
+    def __init__(self, widths: np.ndarray, p: np.ndarray, most_rows: int):
+        self.widths, self.p, self.width = widths, p, int(widths.max(initial=1))
+        self.rows = np.zeros((len(widths), most_rows, self.width + 1), np.int64)
+        self.pivots = np.full((len(widths), most_rows), -1, np.int64)
+        self.held = np.zeros(len(widths), np.int64)
+
+    def try_add(self, at: np.ndarray, rows: np.ndarray) -> np.ndarray:
+        """Adds one row to each of the systems ``at``; which of them were independent."""
+        most = int(self.held[at].max(initial=0))
+        p = self.p[at][:, None]
+        if most:
+            have, pivots = self.rows[at, :most], self.pivots[at, :most]
+            factor = np.where(pivots >= 0, np.take_along_axis(rows, np.maximum(pivots, 0), axis=1), 0)
+            rows = (rows - sum_mod(mul_mod(factor[:, :, None], have, p[:, :, None]), 1, p)) % p
+        filled = rows[:, :-1] != 0
+        good = filled.any(axis=1)
+        if not good.any():
+            return good
+        at, rows, p = at[good], rows[good], p[good]
+        pivot = filled[good].argmax(axis=1)
+        lead = rows[np.arange(len(at)), pivot]
+        inverse = np.array([pow(x, -1, q) for x, q in zip(lead.tolist(), p[:, 0].tolist())], np.int64)
+        rows = mul_mod(rows, inverse[:, None], p)
+        if most:
+            have = self.rows[at, :most]
+            factor = np.take_along_axis(have, pivot[:, None, None], axis=2)
+            self.rows[at, :most] = (have - mul_mod(factor, rows[:, None, :], p[:, :, None])) % p[:, :, None]
+        nth = self.held[at]
+        self.rows[at, nth], self.pivots[at, nth] = rows, pivot
+        self.held[at] = nth + 1
+        return good
+
+    def solutions(self) -> list[np.ndarray]:
+        """One solution of each system."""
+        out = []
+        for width, rows, pivots, held in zip(self.widths.tolist(), self.rows, self.pivots, self.held.tolist()):
+            g = np.zeros(width, np.int64)
+            g[pivots[:held]] = rows[:held, -1]
+            out.append(g)
+        return out
+
+
 class XorRows:
     """The same over GF(2): rows are whole numbers of bits, right-hand sides are words."""
 

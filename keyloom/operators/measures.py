@@ -5,15 +5,17 @@ from __future__ import annotations
 import math
 import time
 from collections.abc import Callable
+from dataclasses import replace
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from keyloom.functions.hashing import check_key_types, digests, shard_of
 from keyloom.functions.packing import width_of
 from keyloom.operators import kernels as K
-from keyloom.operators.lookup import Filter, lookup
+from keyloom.operators.lookup import Filter, lookup, np_evaluate
 from keyloom.plans.params import Spec, acyclic_probability, bucket_tail
 
 
@@ -33,8 +35,8 @@ def slot_bits(spec: Spec) -> int:
 def size_bits(filter: Filter) -> dict[str, float]:
     """Bits of the table at exact width, of the sides (seeds, primes, directory), of what only updates need, and of all that a lookup needs for each key."""
     row = filter.tables.agg(F.sum("n_slots").alias("slots"), F.count("*").alias("shards"), F.sum(F.coalesce(F.size("b"), F.lit(0))).alias("words")).first()
-    slots, shards = row["slots"] or 0, row["shards"]
     spec = filter.spec
+    slots, shards = row["slots"] or 0, row["shards"] * max(1, spec.buckets)
     table = slots * slot_bits(spec) + (64 * max(0, row["words"] or 0) if spec.kind == "dict_membership" else 0)
     side = shards * (64 + 32 + (spec.p_bits if spec.kind == "sparse" else 0))
     graph = filter.n * 2 * max(1, math.ceil(math.log2(max(2, slots)))) if spec.kind == "mutable" else 0
@@ -48,7 +50,7 @@ def predicted_bits(spec: Spec, n: int) -> float:
     if spec.kind == "matched":
         return spec.c * n * (spec.q_bits + spec.k)
     if spec.kind == "sparse":
-        return n * (1 + spec.eps) * spec.p_bits + (spec.shards * spec.p_bits if spec.shards > 1 else 0)
+        return n * (1 + spec.eps) * spec.p_bits + (spec.shards * max(1, spec.buckets) * spec.p_bits if spec.shards * max(1, spec.buckets) > 1 else 0)
     if spec.kind == "xor":
         return math.ceil(n * (1 + spec.eps)) * width_of(spec.modulus)
     if spec.kind == "membership":
@@ -59,7 +61,27 @@ def predicted_bits(spec: Spec, n: int) -> float:
 def lookup_cost(spec: Spec) -> dict[str, int]:
     """Hash evaluations and table reads of one lookup (of one tried block for sparse filters); one more hash if the set is sharded."""
     hashes, reads = {"acyclic": (3, 2), "mutable": (3, 2), "af_raw": (2, 2), "matched": (spec.r + 1, spec.r + 1), "peeled": (spec.r + 1, spec.r), "sparse": (1 + 2 * spec.s, spec.s), "xor": (spec.s + 1, spec.s), "dict": (1, 1), "membership": (spec.hashes, spec.hashes), "dict_membership": (spec.hashes + 1, spec.hashes + 1)}[spec.kind]
-    return {"hashes": hashes + (spec.shards > 1), "reads": reads}
+    return {"hashes": hashes + (spec.shards > 1 or spec.buckets > 0), "reads": reads}
+
+
+def counted_cost(df: DataFrame, filter: Filter, key) -> dict[str, float]:
+    """Hash evaluations and table reads that looking these keys up takes, counted while the kernels' lookup runs over them: (keys, hashes, reads)."""
+    if filter.spec.kind in ("membership", "dict_membership"):
+        raise ValueError("only filters that look up one table are counted")
+    spec, names = filter.spec, [f.name for f in filter.tables.schema]
+    d0, d1 = digests(key, filter.key_types, spec.family)
+    keys = df.select(d0.alias("d0"), d1.alias("d1")).select(shard_of(spec.shards, spec.seed, spec.family).alias("shard"), "d0", "d1")
+
+    def run(asked: pa.Table, rows: pa.Table) -> pa.Table:
+        tally: dict[str, int] = {"hashes": 0, "reads": 0}
+        if asked.num_rows and rows.num_rows:
+            row = {n: rows.column(n)[0].as_py() for n in names}
+            np_evaluate(spec, row, asked.column("d0").to_numpy(), asked.column("d1").to_numpy(), tally)
+        return pa.table({"n": [asked.num_rows], "hashes": [tally["hashes"]], "reads": [tally["reads"]]})
+
+    counted = keys.groupBy("shard").cogroup(filter.tables.groupBy("shard")).applyInArrow(run, "n long, hashes long, reads long")
+    row = counted.agg(F.sum("n").alias("keys"), F.sum("hashes").alias("hashes"), F.sum("reads").alias("reads")).first()
+    return {k: float(v or 0) for k, v in row.asDict().items()}
 
 
 def member_mismatches(df: DataFrame, filter: Filter, key, value: str) -> int:
@@ -77,12 +99,12 @@ def false_value_rate(filter: Filter, absent: DataFrame, key) -> dict[str, float]
 
 def build_stats(filter: Filter) -> dict[str, float]:
     """Seconds in kernels, draws, tree sizes, blocks and tries, from the shards' rows."""
-    row = filter.tables.agg(F.sum("seconds").alias("kernel_seconds"), F.avg("attempts").alias("mean_attempts"), F.max("attempts").alias("max_attempts"), F.max("max_component").alias("max_component"), F.sum("extra").alias("extra"), F.max("n_blocks").alias("max_blocks"), (F.sum("tries") / F.sum("n_keys")).alias("mean_tries"), F.sum("n_keys").alias("n"), F.max("n_keys").alias("max_shard")).first()
+    row = filter.tables.agg(F.sum("seconds").alias("kernel_seconds"), F.avg("attempts").alias("mean_attempts"), F.max("attempts").alias("max_attempts"), F.max("max_component").alias("max_component"), F.sum("extra").alias("extra"), F.max("n_blocks").alias("max_blocks"), (F.sum("tries") / F.sum("n_keys")).alias("mean_tries"), (F.sum("first_block") / F.sum("n_keys")).alias("at_first_block"), F.sum("n_keys").alias("n"), F.max("n_keys").alias("max_shard")).first()
     return {k: float(v) if v is not None else 0.0 for k, v in row.asDict().items()}
 
 
 def measure_build(builder: Callable[[int], Filter], trials: int = 45, warm_up: int = 1) -> dict[str, float]:
-    """Mean wall and kernel seconds, and draws, over builds with seeds 1 to ``trials``."""
+    """Mean wall and kernel seconds, and draws, over builds with seeds 1 to ``trials``, each a job of its own."""
     wall, kernel, draws = [], [], []
     for seed in range(1 - warm_up, trials + 1):
         start = time.perf_counter()
@@ -94,6 +116,25 @@ def measure_build(builder: Callable[[int], Filter], trials: int = 45, warm_up: i
     return {"trials": trials, "wall_seconds": float(np.mean(wall)), "kernel_seconds": float(np.mean(kernel)), "draws": float(np.mean(draws))}
 
 
+def measure_kernels(df: DataFrame, key, value: str, spec: Spec, trials: int = 45) -> dict[str, float]:
+    """Mean kernel seconds (all shards together) and draws over the seeds 1 to ``trials``: keys are dealt to shards once, and each shard's task builds it under every seed."""
+    from keyloom.operators.build import _digested, build_table
+
+    kinds = check_key_types(df, key)
+
+    def run(table: pa.Table) -> pa.Table:
+        shard = table.column("shard")[0].as_py()
+        build_table(replace(spec, seed=0), table)  # the first build of a process pays for its imports
+        rows = [build_table(replace(spec, seed=s), table) for s in range(1, trials + 1)]
+        cells = {c: [r.column(c)[0].as_py() for r in rows] for c in ("seconds", "attempts", "n_slots")}
+        return pa.table({"shard": pa.array([shard] * trials, pa.int32()), "trial": pa.array(range(1, trials + 1), pa.int32()), **{k: pa.array(v) for k, v in cells.items()}}).cast(pa.schema([("shard", pa.int32()), ("trial", pa.int32()), ("seconds", pa.float64()), ("attempts", pa.int64()), ("n_slots", pa.int64())]))
+
+    made = _digested(df, key, value, kinds, spec).groupBy("shard").applyInArrow(run, "shard int, trial int, seconds double, attempts long, n_slots long")
+    each = made.groupBy("trial").agg(F.sum("seconds").alias("seconds"), F.avg("attempts").alias("draws"), F.sum("n_slots").alias("slots"))
+    row = each.agg(F.count("*").alias("trials"), F.avg("seconds").alias("kernel_seconds"), F.stddev_samp("seconds").alias("kernel_seconds_sd"), F.avg("draws").alias("draws"), F.max("slots").alias("slots")).first()
+    return {k: float(v or 0.0) for k, v in row.asDict().items()}
+
+
 def speedup(slow: dict[str, float], fast: dict[str, float], what: str = "kernel_seconds") -> float:
     return slow[what] / fast[what]
 
@@ -146,7 +187,7 @@ def full_rank_rate(r: int, q: int, s: int, p: int, trials: int, seed: int = 1) -
 
 
 def pre_repair_errors(filter: Filter) -> int:
-    """Builds that were thrown away because an earlier block answered for a member."""
+    """Members that an earlier block answered wrongly, in systems that were rebuilt for that; all builds count."""
     return filter.tables.agg(F.sum("extra")).first()[0] or 0 if filter.spec.kind == "sparse" else 0
 
 

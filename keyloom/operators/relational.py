@@ -9,6 +9,10 @@ from keyloom.functions.hashing import key_columns
 from keyloom.operators.lookup import Filter, lookup
 
 
+#: Values of a column that gets codes.
+MAX_CODES = 100_000
+
+
 def members(df: DataFrame, filter: Filter, key) -> DataFrame:
     """Rows whose key the filter knows (and, but for its error, no others)."""
     return lookup(df, filter, key, "_v").where("_v is not null").drop("_v")
@@ -80,8 +84,10 @@ def key_difference(a: DataFrame, b: DataFrame, all_rows: bool = False) -> tuple[
 
 
 def dictionary(df: DataFrame, column: str, code: str = "code") -> DataFrame:
-    """(column, code): each distinct value and its place in sorted order. The domain of a coded column is small."""
+    """(column, code): each distinct value and its place in sorted order. Refused for a domain of more than MAX_CODES values: these are ranked in one task."""
     domain = df.select(column).where(F.col(column).isNotNull()).distinct()
+    if domain.limit(MAX_CODES + 1).count() > MAX_CODES:
+        raise ValueError(f"{column} has more than {MAX_CODES} values")
     return domain.withColumn(code, (F.dense_rank().over(Window.orderBy(column)) - 1).cast("long"))
 
 
