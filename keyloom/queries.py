@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import uuid
 from collections.abc import Callable
+from functools import reduce
 from itertools import product
 
 from pyspark.sql import DataFrame, SparkSession
@@ -47,6 +48,11 @@ def once(spark: SparkSession, d: str, what: str, make: Callable[[], object]) ->
     return _made[key]
 
 
+def forget() -> None:
+    """Fixtures and filters are made anew by the next query."""
+    _made.clear()
+
+
 def pairs_of(spark: SparkSession, d: str, name: str) -> DataFrame:
     return once(spark, d, f"pairs {name}", lambda: written(getattr(W, name)(spark, d), name)[0])
 
@@ -135,6 +141,7 @@ _variant("af_two_universal", "build_acyclic", k=5, family="two_universal")
 _variant("af_c209", "build_acyclic", k=5, c=2.09, shards=8)
 _variant("baf", "build_acyclic", k=5, shards=16)
 _variant("bslf", "build_bucketed_sparse", k=5)
+_variant("bslf_p61", "build_bucketed_sparse", k=5, p_bits=61)
 _variant("mtf_r2", "build_matched", k=5)
 _variant("mtf_peel", "build_matched", k=5, matching="peel")
 _variant("mtf_r3", "build_matched", k=5, r=3, slots_factor=2.5)
@@ -175,6 +182,19 @@ def _sparse(name: str, **options) -> None:
 for _s in (2, 3, 4):
     _sparse(f"slf_s{_s}", s=_s)
 _sparse("slf_any_prime", field="any_prime")
+_sparse("slf_p61", p_bits=61)  # an error of 2^-32 and less needs primes above 31 bits
+
+
+def _sparse_of(name: str, fixture: str, key: str, probe: str, probe_key: str, k: int, sql: str) -> None:
+    @query(name, sql)
+    def _(spark, d):
+        some = once(spark, d, f"{fixture} of a table", lambda: written(pairs_of(spark, d, fixture).orderBy(key).limit(200), "some")[0]) if fixture == "indeg_part" else pairs_of(spark, d, fixture)
+        f = once(spark, d, name, lambda: B.build_sparse_linear(some, key, "value", k=k))
+        return lookup(table(spark, d, probe).select(probe_key), f, probe_key)
+
+
+_sparse_of("slf_parts", "indeg_part", "l_partkey", "part", "p_partkey", 10, "SELECT p_partkey, CAST(v AS BIGINT) AS value FROM part LEFT JOIN (SELECT l_partkey, count(*) AS v FROM lineitem GROUP BY 1 ORDER BY 1 LIMIT 200) ON p_partkey = l_partkey")
+_sparse_of("slf_nations", "nation_region", "n_nationkey", "nation", "n_nationkey", 8, "SELECT n_nationkey, CAST(n_regionkey AS BIGINT) AS value FROM nation")
 
 
 # --- updates -----------------------------------------------------------------------------------------------------------
@@ -223,6 +243,26 @@ def _(spark, d):
     return latest(table(spark, d, "events").select("user_id", "event_id", "event_type", "value"), "user_id", "event_id").drop("event_id")
 
 
+@query("update_feed", _CHANGED.format("(v + 2) % 17 + 1"))
+def _(spark, d):
+    """A stream of changes in three files, one micro-batch each; the last value of each key holds."""
+    f, graph = _mutable(spark, d)
+    where = f"{shared_dir(spark)}/keyloom_feed_{uuid.uuid4().hex}"
+    pairs = pairs_of(spark, d, "indeg_order").where("l_orderkey % 10 = 0")
+    for at in range(3):
+        pairs.select("l_orderkey", ((F.col("value") + at) % 17 + 1).alias("value")).coalesce(1).write.mode("append").parquet(f"{where}/in")
+    feed = S.UpdateFeed(f, graph, "l_orderkey", path=f"{where}/states")
+    stream = spark.readStream.schema("l_orderkey long, value long").option("maxFilesPerTrigger", 1).parquet(f"{where}/in")
+    S.apply_updates(stream, feed, f"{where}/check")
+    return lookup(table(spark, d, "orders").select("o_orderkey"), S.UpdateFeed.resume(spark, f"{where}/states", "l_orderkey").filter, "o_orderkey")
+
+
+@query("packed_composite", "SELECT l_orderkey, l_partkey, l_suppkey, l_linenumber, l_returnflag, CAST(max(l_quantity) OVER (PARTITION BY l_orderkey, l_partkey, l_suppkey, l_linenumber) AS BIGINT) AS value FROM lineitem")
+def _(spark, d):
+    f = once(spark, d, "line_qty", lambda: B.build_acyclic(pairs_of(spark, d, "line_qty"), W.LINE_KEYS, "value", k=6))
+    return lookup_packed(table(spark, d, "lineitem").select(*W.LINE_KEYS, "l_returnflag"), f, W.LINE_KEYS)
+
+
 # --- coded values ------------------------------------------------------------------------------------------------------
 
 
@@ -300,11 +340,11 @@ def _(spark, d):
     return roots.join(least, F.col("root") == F.col("of")).select(F.col("node").alias("slot"), "component")
 
 
-@query("md5_equation_check", "SELECT CAST(0 AS BIGINT) AS wrong")
+@query("md5_equation_check", "SELECT l_suppkey, count(*) AS value FROM lineitem GROUP BY 1")
 def _(spark, d):
+    """The value that each key's equation gives over the one graph's slots."""
     f = once(spark, d, "md5", lambda: G.build_acyclic_global(pairs_of(spark, d, "indeg_supplier"), "l_suppkey", "value", k=16, family="md5"))
-    looked = G.lookup_global(pairs_of(spark, d, "indeg_supplier"), f, "l_suppkey", "stored")
-    return looked.agg(F.sum(F.when(F.col("stored").eqNullSafe(F.col("value")), 0).otherwise(1)).alias("wrong"))
+    return G.lookup_global(pairs_of(spark, d, "indeg_supplier").select("l_suppkey"), f, "l_suppkey", "value")
 
 
 # --- relational --------------------------------------------------------------------------------------------------------
@@ -334,24 +374,33 @@ def _(spark, d):
 
 @query("topk_indegree", "SELECT l_partkey, count(*) AS value FROM lineitem GROUP BY 1 ORDER BY value DESC, l_partkey LIMIT 20")
 def _(spark, d):
-    return R.top_k(pairs_of(spark, d, "indeg_part"), "value", 20, "l_partkey")
+    f = filter_of(spark, d, "indeg_part", "build_acyclic", "l_partkey", k=12)
+    return R.top_k(R.members(table(spark, d, "part").select(F.col("p_partkey").alias("l_partkey")), f, "l_partkey").transform(lambda df: lookup(df, f, "l_partkey")), "value", 20, "l_partkey")
 
 
-@query("ranked_indegree", "SELECT l_suppkey, value, row_number() OVER w AS nth, rank() OVER w AS rank, ntile(4) OVER w AS tile FROM (SELECT l_suppkey, count(*) * 100000 + l_suppkey AS value FROM lineitem GROUP BY 1) WINDOW w AS (ORDER BY value DESC)")
+@query("ranked_indegree", "SELECT s_nationkey, l_suppkey, value, row_number() OVER w AS nth, rank() OVER w AS rank, ntile(4) OVER w AS tile FROM (SELECT s_nationkey, l_suppkey, count(*) * 100000 + l_suppkey AS value FROM lineitem JOIN supplier ON l_suppkey = s_suppkey GROUP BY 1, 2) WINDOW w AS (PARTITION BY s_nationkey ORDER BY value DESC)")
 def _(spark, d):
-    rows = pairs_of(spark, d, "indeg_supplier").select("l_suppkey", (F.col("value") * 100_000 + F.col("l_suppkey")).alias("value"), F.lit(0).alias("all"))
-    return R.ranked(rows, "value", "all").select("l_suppkey", "value", "nth", "rank", "tile")
+    f = filter_of(spark, d, "indeg_supplier", "build_acyclic", "l_suppkey", k=16)
+    looked = lookup(table(spark, d, "supplier").select(F.col("s_suppkey").alias("l_suppkey"), "s_nationkey"), f, "l_suppkey").where("value is not null")
+    rows = looked.withColumn("value", F.col("value") * 100_000 + F.col("l_suppkey"))
+    return R.ranked(rows, "value", "s_nationkey").select("s_nationkey", "l_suppkey", "value", "nth", "rank", "tile")
 
 
 @query("setops_absent", "SELECT o_orderkey FROM orders EXCEPT SELECT l_orderkey FROM lineitem")
 def _(spark, d):
-    return R.key_difference(table(spark, d, "orders").select("o_orderkey"), table(spark, d, "lineitem").select("l_orderkey"))[0]
+    """The filter tells most of what is absent; what it takes for members is checked by the set difference."""
+    keys = table(spark, d, "orders").select("o_orderkey")
+    f = filter_of(spark, d, "indeg_order", "build_acyclic", "l_orderkey", k=10)
+    rest = R.key_difference(R.members(keys, f, "o_orderkey"), table(spark, d, "lineitem").select("l_orderkey"))[0]
+    return R.absents(keys, f, "o_orderkey").distinct().unionByName(rest)
 
 
 @query("band_join", "SELECT CAST(low AS BIGINT) AS low, count(*) AS n FROM (SELECT count(*) AS v FROM lineitem GROUP BY l_orderkey) JOIN (SELECT range AS low, range + 4 AS high FROM range(0, 40, 4)) ON v >= low AND v < high GROUP BY 1")
 def _(spark, d):
     bands = spark.range(0, 40, 4).select(F.col("id").alias("low"), (F.col("id") + 4).alias("high"))
-    return R.band_join(pairs_of(spark, d, "indeg_order"), bands, "value").groupBy("low").agg(F.count("*").alias("n"))
+    f = filter_of(spark, d, "indeg_order", "build_acyclic", "l_orderkey", k=10)
+    looked = lookup(table(spark, d, "orders").select(F.col("o_orderkey").alias("l_orderkey")), f, "l_orderkey").where("value is not null")
+    return R.band_join(looked, bands, "value").groupBy("low").agg(F.count("*").alias("n"))
 
 
 @query("asof_value", "SELECT e.event_id, v.value AS value_asof FROM events e ASOF LEFT JOIN (SELECT user_id, ts, max(value) AS value FROM events WHERE event_type = 'click' GROUP BY ALL) v ON e.user_id = v.user_id AND e.ts >= v.ts")
@@ -361,9 +410,12 @@ def _(spark, d):
     return R.asof_value(events, versions, "user_id").select("event_id", "value_asof")
 
 
-@query("cube_metrics", "SELECT o_orderpriority, o_orderstatus, count(*) AS n FROM orders GROUP BY CUBE (o_orderpriority, o_orderstatus)")
+@query("cube_metrics", "SELECT o_orderpriority, o_orderstatus, avg(value) AS value, count(*) AS rows FROM (SELECT o_orderpriority, o_orderstatus, CAST(v AS DOUBLE) AS value FROM orders JOIN (SELECT l_orderkey, count(*) AS v FROM lineitem GROUP BY 1) ON o_orderkey = l_orderkey) GROUP BY CUBE (o_orderpriority, o_orderstatus)")
 def _(spark, d):
-    return table(spark, d, "orders").cube("o_orderpriority", "o_orderstatus").agg(F.count("*").alias("n"))
+    """Means of looked-up values over a cube."""
+    f = filter_of(spark, d, "indeg_order", "build_acyclic", "l_orderkey", k=10)
+    looked = lookup(table(spark, d, "orders").select("o_orderkey", "o_orderpriority", "o_orderstatus"), f, "o_orderkey").where("value is not null")
+    return M.report(looked.withColumn("value", F.col("value").cast("double")), "cube", ("o_orderpriority", "o_orderstatus"), "value")
 
 
 # --- measures and algebra -----------------------------------------------------------------------------------------------
@@ -373,12 +425,14 @@ def _metric(spark, rows: list[tuple[str, int]]) -> DataFrame:
     return spark.createDataFrame(rows, "metric string, value long")
 
 
-@query("member_mismatches", "SELECT unnest(['acyclic', 'bslf', 'dict', 'matched', 'mutable', 'xor']) AS metric, CAST(0 AS BIGINT) AS value")
+@query("member_mismatches", "SELECT unnest(['acyclic', 'bslf', 'dict', 'matched', 'mutable', 'xor']) AS method, n, total FROM (SELECT count(*) AS n, CAST(sum(v) AS BIGINT) AS total FROM (SELECT count(*) AS v FROM lineitem GROUP BY l_orderkey))")
 def _(spark, d):
+    """For each method how many keys are looked up with their own value, and the sum of the values; SQL counts the keys and their rows."""
     pairs = pairs_of(spark, d, "indeg_order")
     of = lambda b, **o: filter_of(spark, d, "indeg_order", b, "l_orderkey", **o)
     made = {"acyclic": of("build_acyclic", k=5), "bslf": of("build_bucketed_sparse", k=5), "dict": of("build_hash_dict"), "matched": of("build_matched", k=5), "mutable": _mutable(spark, d)[0], "xor": of("build_xor_sparse", k=5, error=2.0**-32)}
-    return _metric(spark, [(m, M.member_mismatches(pairs, f, "l_orderkey", "value")) for m, f in made.items()])
+    one = lambda m, f: lookup(pairs, f, "l_orderkey", "v").where("v <=> value").agg(F.count("*").alias("n"), F.sum("v").alias("total")).select(F.lit(m).alias("method"), "n", "total")
+    return reduce(DataFrame.unionByName, [one(m, f) for m, f in made.items()])
 
 
 @query("space_bits", "SELECT unnest(['acyclic', 'matched']) AS metric, unnest([CAST(ceil(2.5 * n) AS BIGINT) * 37, CAST(ceil(2.5 * n) AS BIGINT) * 38]) AS value FROM (SELECT count(DISTINCT l_suppkey) AS n FROM lineitem)")
@@ -388,20 +442,18 @@ def _(spark, d):
     return _metric(spark, [(m, int(M.size_bits(f)["table"])) for m, f in made.items()])
 
 
-@query("lookup_cost", "SELECT unnest(['acyclic hashes', 'acyclic reads', 'matched r=2 hashes', 'matched r=2 reads', 'matched r=3 hashes', 'sparse s=3 reads']) AS metric, CAST(unnest([3, 2, 3, 3, 4, 3]) AS BIGINT) AS value")
+@query("lookup_cost", "SELECT unnest(['acyclic hashes', 'acyclic reads', 'acyclic sharded hashes', 'acyclic sharded reads', 'matched r=2 hashes', 'matched r=2 reads', 'matched r=3 hashes', 'matched r=3 reads', 'peeled hashes', 'peeled reads', 'bitmap hashes', 'bitmap reads']) AS metric, unnest([3, 2, 4, 2, 3, 3, 4, 4, 4, 3, 2, 2]) * n AS value FROM (SELECT count(DISTINCT l_suppkey) AS n FROM lineitem)")
 def _(spark, d):
-    from keyloom.plans.params import Spec
+    """Counted while all suppliers are looked up; SQL multiplies the published cost of a lookup by the keys."""
+    return W.lookup_counts(spark, d)
 
-    cost = lambda kind, what, **o: M.lookup_cost(Spec(kind, **o))[what]
-    return _metric(spark, [("acyclic hashes", cost("acyclic", "hashes")), ("acyclic reads", cost("acyclic", "reads")), ("matched r=2 hashes", cost("matched", "hashes")), ("matched r=2 reads", cost("matched", "reads")), ("matched r=3 hashes", cost("matched", "hashes", r=3)), ("sparse s=3 reads", cost("sparse", "reads"))])
 
-
-@query("bucket_bound", "SELECT 'buckets above' AS metric, CAST(0 AS BIGINT) AS value")
+@query("bucket_bound", f"SELECT max(n) AS largest, CAST(sum(CAST(n > 5.5 * total / 64 AS INT)) AS BIGINT) AS above, CAST(min(total) AS BIGINT) AS keys FROM (SELECT count(*) AS n, sum(count(*)) OVER () AS total FROM orders GROUP BY {_md5(0, 'o_orderkey')} % 64)")
 def _(spark, d):
-    pairs = pairs_of(spark, d, "indeg_order")
-    buckets = B.bucket_count(pairs.count())
-    seed, _, _ = once(spark, d, "bucket seed", lambda: B.choose_bucket_seed(pairs, "l_orderkey", buckets))
-    return _metric(spark, [("buckets above", int(M.bucket_load(pairs, "l_orderkey", buckets, seed)["above"] * buckets))])
+    """The largest of 64 buckets under the MD5 hash, and how many are above 5.5 times the mean."""
+    counts = table(spark, d, "orders").groupBy(F.pmod(G.md5_number(42, 0, "o_orderkey"), F.lit(64)).alias("bucket")).agg(F.count("*").alias("n"))
+    total = counts.agg(F.sum("n").alias("keys"))
+    return counts.crossJoin(F.broadcast(total)).groupBy("keys").agg(F.max("n").alias("largest"), F.sum((F.col("n") > 5.5 * F.col("keys") / 64).cast("int")).alias("above"))  # one row meets 64
 
 
 @query("nonzero_sum_counts", " UNION ALL ".join(f"SELECT {p} AS p, {s} AS s, count(*) AS n FROM " + ", ".join(f"range(1, {p}) t{i}(x{i})" for i in range(s)) + f" WHERE ({' + '.join(f'x{i}' for i in range(s))}) % {p} <> 0" for p in (3, 5, 7) for s in (1, 2, 3)))
@@ -467,7 +519,15 @@ def _(spark, d):
 
 @query("stream_latest", "SELECT user_id, arg_max(value, event_id) AS value FROM events GROUP BY 1")
 def _(spark, d):
-    return _stream(spark, d, lambda s: s.groupBy("user_id").agg(F.max_by("value", "event_id").alias("value")))
+    """The last value of each user in state, by the events' number as time; the state needs a store with column families."""
+    conf, name = "spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider"
+    before = spark.conf.get(conf)
+    spark.conf.set(conf, name)
+    try:
+        numbered = lambda s: s.select("user_id", "value", F.timestamp_seconds("event_id").alias("ts"))
+        return _stream(spark, d, lambda s: S.latest_value(numbered(s), "user_id", "value"), "update").select("user_id", "value")
+    finally:
+        spark.conf.set(conf, before)
 
 
 # --- experiments: measured rows, no SQL ---------------------------------------------------------------------------------
@@ -481,7 +541,9 @@ query("w11_bucketing")(lambda spark, d: W.bucketing(spark, d))
 query("w15_hash_quality")(lambda spark, d: W.hash_quality(spark, d))
 query("w18_lookup_speed")(lambda spark, d: W.lookup_speed(spark, d))
 query("growth")(lambda spark, d: W.growth(spark, d))
-query("space_table")(lambda spark, d: W.space(spark))
+query("space_table")(lambda spark, d: W.space(spark, d))
+query("setup_loops")(lambda spark, d: W.setup_loops(spark))
+query("full_rank")(lambda spark, d: W.full_rank(spark))
 
 
 def queries() -> dict[str, Query]:

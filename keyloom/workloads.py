@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+import time
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from keyloom.functions import algebra
+from keyloom.functions.numtheory import choose_primes
 from keyloom.operators import build, measures
 from keyloom.operators.lookup import Filter
 from keyloom.operators.mutable import edges, update_matched, update_values
@@ -41,6 +44,10 @@ def line_qty(spark: SparkSession, d: str) -> DataFrame:
     return table(spark, d, "lineitem").groupBy(*LINE_KEYS).agg(F.max("l_quantity").cast("long").alias("value"))
 
 
+def nation_region(spark: SparkSession, d: str) -> DataFrame:
+    return table(spark, d, "nation").select("n_nationkey", F.col("n_regionkey").cast("long").alias("value"))
+
+
 def label(column: str) -> Callable[[SparkSession, str], DataFrame]:
     value = "2 * max(quality) + max(toxic)" if column == "pair" else f"max({column})"
     return lambda spark, d: table(spark, d, "labels").groupBy("doc_id").agg(F.expr(value).cast("long").alias("value"))
@@ -69,25 +76,33 @@ def _rows(spark: SparkSession, rows: list[tuple]) -> DataFrame:
     return spark.createDataFrame([(m, int(n), str(p), what, float(x)) for m, n, p, what, x in rows], MEASURED)
 
 
-def creation(spark: SparkSession, d: str, trials: int = 45, c: float = 2.5, error: float = 2.0**-32, names: tuple[str, ...] = ("indeg_part", "indeg_order", "line_qty")) -> DataFrame:
-    """Creation seconds, draws, speed-up and bits of the acyclic filter and its competitor, over key sets of growing size and seeds 1 to ``trials``."""
+def creation(spark: SparkSession, d: str, trials: int = 45, c: float = 2.5, error: float = 2.0**-32, names: tuple[str, ...] = ("indeg_url", "indeg_part", "indeg_order", "line_qty")) -> DataFrame:
+    """Creation seconds, draws, speed-up and bits of the acyclic filter and its competitor, over key sets of growing size (the in-degrees of URLs first) and seeds 1 to ``trials``.
+
+    Seconds are those of all shards' kernels, under every seed; a build as a whole is timed once.
+    """
     rows = []
     for name in names:
         pairs, _ = written(globals()[name](spark, d), name)
         key = LINE_KEYS if name == "line_qty" else [c for c in pairs.columns if c != "value"]
         n = pairs.count()
         make = {
-            "acyclic": lambda s: build.build_acyclic(pairs, key, "value", k=6, error=error, c=c, seed=s),
-            "acyclic_independent": lambda s: build.build_acyclic(pairs, key, "value", k=6, error=error, c=c, endpoints="independent", seed=s),
-            "matched": lambda s: build.build_matched(pairs, key, "value", k=6, error=error, slots_factor=c, seed=s),
-            "matched_peel": lambda s: build.build_matched(pairs, key, "value", k=6, error=error, slots_factor=c, matching="peel", seed=s),
+            "acyclic": lambda: build.build_acyclic(pairs, key, "value", k=6, error=error, c=c),
+            "acyclic_independent": lambda: build.build_acyclic(pairs, key, "value", k=6, error=error, c=c, endpoints="independent"),
+            "matched": lambda: build.build_matched(pairs, key, "value", k=6, error=error, slots_factor=c),
+            "matched_peel": lambda: build.build_matched(pairs, key, "value", k=6, error=error, slots_factor=c, matching="peel"),
         }
-        found = {m: measures.measure_build(f, trials) for m, f in make.items()}
-        for m, stats in found.items():
-            rows += [(m, n, name, what, x) for what, x in stats.items()]
-            size = measures.size_bits(make[m](1))["per_key"]
-            rows += [(m, n, name, "bits_per_key", size), (m, n, name, "gb_at_1.1e9_keys", size * 1.1e9 / 8e9)]
-        rows.append(("acyclic", n, name, "speedup_over_matched", measures.speedup(found["matched"], found["acyclic"])))
+        found = {}
+        for m, f in make.items():
+            start = time.perf_counter()
+            made = f()
+            wall = time.perf_counter() - start
+            found[m] = measures.measure_kernels(pairs, key, "value", made.spec, trials)
+            size = measures.size_bits(made)["per_key"]
+            rows += [(m, n, name, what, x) for what, x in found[m].items()]
+            rows += [(m, n, name, "wall_seconds_once", wall), (m, n, name, "bits_per_key", size), (m, n, name, "gb_at_1.1e9_keys", size * 1.1e9 / 8e9)]
+        for other in ("matched", "matched_peel"):
+            rows.append(("acyclic", n, name, f"speedup_over_{other}", measures.speedup(found[other], found["acyclic"])))
     return _rows(spark, rows)
 
 
@@ -101,38 +116,67 @@ def c_sweep(spark: SparkSession, n: int = 5_000, trials: int = 100) -> DataFrame
 
 
 def error_rates(spark: SparkSession, d: str, absent_keys: int = 100_000) -> DataFrame:
-    """False values on absent keys against the bounds: natural absents and shifted keys, errors from 2^-2 to 2^-8."""
-    pairs, _ = written(indeg_order(spark, d), "pairs")
-    shifted = spark.range(absent_keys).select((F.col("id") + 10**9).alias("l_orderkey"))
-    natural = table(spark, d, "orders").select(F.col("o_orderkey").alias("l_orderkey")).join(pairs, "l_orderkey", "left_anti")
+    """False values on absent keys against the bounds, for every filter: natural absents (orders without lines, documents without labels) and shifted keys, errors from 2^-2 to 2^-8.
+
+    A sparse filter's error follows from its prime and the blocks that it has; for it the bits of the prime are chosen so that one block has the wanted error.
+    """
+    orders, _ = written(indeg_order(spark, d), "pairs")
+    labels, _ = written(label("toxic")(spark, d), "labels")
+    sets = {
+        "orders": (orders, "l_orderkey", 5, table(spark, d, "orders").select(F.col("o_orderkey").alias("l_orderkey")).join(orders, "l_orderkey", "left_anti")),
+        "labels": (labels, "doc_id", 1, table(spark, d, "documents").select("doc_id").join(labels, "doc_id", "left_anti")),
+    }
     rows = []
-    for bits in (2, 4, 6, 8):
-        made = {
-            "acyclic": build.build_acyclic(pairs, "l_orderkey", "value", k=5, error=2.0**-bits),
-            "matched": build.build_matched(pairs, "l_orderkey", "value", k=5, error=2.0**-bits),
-            "xor": build.build_xor_sparse(pairs, "l_orderkey", "value", k=5, error=2.0**-bits),
-            "membership": build.build_membership(pairs, "l_orderkey", error=2.0**-bits),
-        }
-        for m, f in made.items():
-            for where, keys in (("shifted", shifted), ("natural", natural)):
-                rows += [(m, f.n, f"2^-{bits} {where}", what, x) for what, x in measures.false_value_rate(f, keys, "l_orderkey").items()]
+    for name, (pairs, key, k, natural) in sets.items():
+        shifted = spark.range(absent_keys).select((F.col("id") + 10**9).alias(key))
+        some, _ = written(pairs.orderBy(key).limit(400), "some")
+        for bits in (2, 4, 6, 8):
+            error = 2.0**-bits
+            made = {
+                "acyclic": build.build_acyclic(pairs, key, "value", k=k, error=error),
+                "matched": build.build_matched(pairs, key, "value", k=k, error=error),
+                "peeled": build.build_peeled(pairs, key, "value", k=k, error=error),
+                "xor": build.build_xor_sparse(pairs, key, "value", k=k, error=error),
+                "membership": build.build_membership(pairs, key, error=error),
+                "bslf": build.build_bucketed_sparse(pairs, key, "value", k=k, p_bits=k + bits + 1),
+                "sparse": build.build_sparse_linear(some, key, "value", k=k, p_bits=k + bits + 1),
+            }
+            for m, f in made.items():
+                away = natural if m != "sparse" else natural.unionByName(pairs.select(key).join(some, key, "left_anti"))
+                for where, keys in (("shifted", shifted), ("natural", away)):
+                    found = measures.false_value_rate(f, keys, key)
+                    if f.spec.kind == "sparse":  # every block may answer: the bound grows with the blocks that there are
+                        bound = min(1.0, f.blocks() * 2.0**k / 2.0 ** (f.spec.p_bits - 1))
+                        found |= {"bound": bound, "sigmas": min(0.0, found["rate"] - bound)}
+                    rows += [(m, f.n, f"{name} 2^-{bits} {where}", what, x) for what, x in found.items()]
     return _rows(spark, rows)
 
 
 def update_costs(spark: SparkSession, d: str) -> DataFrame:
-    """Slots written for each changed key: both ways of the mutable filter, and the competitor."""
+    """Slots written, rows written again and seconds for each changed key: both ways of the mutable filter, and the competitor."""
     pairs, _ = written(indeg_order(spark, d), "pairs")
-    f = build.build_mutable(pairs, "l_orderkey", "value", k=5)
+    f = build.build_mutable(pairs, "l_orderkey", "value", k=5, shards=16)
     graph, _ = written(edges(f, pairs, "l_orderkey", "value"), "graph")
-    other = build.build_matched(pairs, "l_orderkey", "value", k=5)
+    other = build.build_matched(pairs, "l_orderkey", "value", k=5, shards=16)
     rows = []
     for every in (100, 10):
         new, _ = written(changes(pairs, "l_orderkey", every), "changes")
         n = new.count()
         for mode in ("recompute", "shift"):
+            start = time.perf_counter()
             _, _, deltas = update_values(f, graph, new, "l_orderkey", mode=mode)
-            rows.append((f"mutable_{mode}", f.n, f"1/{every}", "slots_per_key", deltas.count() / max(1, n)))
-        rows.append(("matched", f.n, f"1/{every}", "slots_per_key", update_matched(other, new, "l_orderkey")[1].count() / max(1, n)))
+            seconds = time.perf_counter() - start
+            rows += [(f"mutable_{mode}", f.n, f"1/{every}", "slots_per_key", deltas.count() / max(1, n)), (f"mutable_{mode}", f.n, f"1/{every}", "seconds_per_key", seconds / max(1, n))]
+        start = time.perf_counter()
+        cells = update_matched(other, new, "l_orderkey")[1]
+        seconds = time.perf_counter() - start
+        rows += [("matched", f.n, f"1/{every}", "slots_per_key", cells.count() / max(1, n)), ("matched", f.n, f"1/{every}", "seconds_per_key", seconds / max(1, n))]
+    one = pairs.orderBy("l_orderkey").limit(1).select("l_orderkey", (F.col("value") % 17 + 1).alias("value"))
+    start = time.perf_counter()
+    _, _, deltas = update_values(f, graph, one, "l_orderkey")
+    touched = deltas.select("shard").distinct()
+    again = graph.join(touched, "shard", "left_semi").count()
+    rows += [("mutable_recompute", f.n, "one key", "seconds", time.perf_counter() - start), ("mutable_recompute", f.n, "one key", "slots", deltas.count()), ("mutable_recompute", f.n, "one key", "edges_written_again", again)]
     rows.append(("mutable", f.n, "", "max_component", measures.build_stats(f)["max_component"]))
     return _rows(spark, rows)
 
@@ -148,8 +192,8 @@ def sparse_sweep(spark: SparkSession, d: str, sizes: tuple[int, ...] = (50, 100,
             for s in (1, 2, 3, 4):
                 f = build.build_sparse_linear(some, "l_partkey", "value", k=7, eps=e, s=s, allow_s1=True, max_blocks=2_000 if s == 1 else 64)
                 stats = measures.build_stats(f)
-                rows += [(f"s={s}", n, e, what, stats[what]) for what in ("kernel_seconds", "mean_tries", "max_blocks")]
-                rows.append((f"s={s}", n, e, "rebuilds", measures.pre_repair_errors(f)))
+                rows += [(f"s={s}", n, e, what, stats[what]) for what in ("kernel_seconds", "mean_tries", "max_blocks", "at_first_block", "mean_attempts")]
+                rows.append((f"s={s}", n, e, "members_wrong_before_repair", measures.pre_repair_errors(f)))
     return _rows(spark, rows)
 
 
@@ -160,8 +204,8 @@ def bucketing(spark: SparkSession, d: str, names: tuple[str, ...] = ("indeg_supp
         pairs, _ = written(globals()[name](spark, d), name)
         key = pairs.columns[0]
         f = build.build_bucketed_sparse(pairs, key, "value", k=12)
-        n, buckets = f.n, f.spec.shards
-        load = measures.bucket_load(pairs, key, buckets, f.spec.seed)
+        n, buckets = f.n, f.spec.shards * f.spec.buckets
+        load = measures.bucket_load(pairs, key, buckets, f.spec.seed) | {"hashes_tried": float(build.choose_bucket_seed(pairs, key, buckets)[2])}
         rows += [("bslf", n, buckets, what, x) for what, x in load.items()]
         rows += [("bslf", n, buckets, "kernel_seconds", measures.build_stats(f)["kernel_seconds"]), ("bslf", n, buckets, "bits_per_key", measures.size_bits(f)["per_key"])]
         if n <= 400:
@@ -208,6 +252,61 @@ def growth(spark: SparkSession, d: str) -> DataFrame:
     return measures.fit_slope(_rows(spark, rows), "n", "measured", "method")
 
 
-def space(spark: SparkSession, k: int = 5) -> DataFrame:
-    """Bits for each key by the formulas, over the error."""
-    return _rows(spark, [(m, 0, f"{e:.3e}", "bits_per_key", x) for m, e, x in measures.space_table(k, [2.0**-b for b in range(4, 33, 4)])])
+def space(spark: SparkSession, d: str, k: int = 5) -> DataFrame:
+    """Bits for each key over the error: by the formulas, and measured on the orders' in-degrees."""
+    rows = [(m, 0, f"{e:.3e}", "bits_per_key", x) for m, e, x in measures.space_table(k, [2.0**-b for b in range(4, 33, 4)])]
+    pairs, _ = written(indeg_order(spark, d), "pairs")
+    some, _ = written(pairs.orderBy("l_orderkey").limit(400), "some")
+    for bits in range(4, 33, 4):
+        error = 2.0**-bits
+        made = {
+            "acyclic": build.build_acyclic(pairs, "l_orderkey", "value", k=k, error=error),
+            "matched": build.build_matched(pairs, "l_orderkey", "value", k=k, error=error),
+            "sparse": build.build_sparse_linear(some, "l_orderkey", "value", k=k, p_bits=k + bits + 1),
+            "bslf": build.build_bucketed_sparse(pairs, "l_orderkey", "value", k=k, p_bits=k + bits + 1),
+            "membership": build.build_membership(pairs, "l_orderkey", error=error),
+            "dict_membership": build.build_dict_with_membership(pairs, "l_orderkey", "value", k=k, error=error),
+        }
+        rows += [(m, f.n, f"{error:.3e}", "measured_bits_per_key", measures.size_bits(f)["per_key"]) for m, f in made.items()]
+    made = build.build_hash_dict(pairs, "l_orderkey", "value", k=k)
+    return _rows(spark, [*rows, ("dict", made.n, f"{2.0**-64:.3e}", "measured_bits_per_key", measures.size_bits(made)["per_key"])])
+
+
+def setup_loops(spark: SparkSession, sizes: tuple[int, ...] = (20, 50, 100, 400, 1_000, 4_000), seeds: int = 50) -> DataFrame:
+    """Generators and primes drawn until two primes fit, for both ways to test a prime, and how many slots the first prime adds."""
+    rows = []
+    for n in sizes:
+        for method in ("direct", "list"):
+            drawn = [choose_primes(n, 0.1, 31, s, method) for s in range(1, seeds + 1)]
+            mean = lambda what: sum(getattr(x, what) for x in drawn) / seeds  # noqa: B023, E731
+            rows += [(method, n, "p_bits=31", "generator_draws", mean("generator_draws")), (method, n, "p_bits=31", "prime_draws", mean("prime_draws")), (method, n, "p_bits=31", "slots_over_n_1_eps", drawn[0].q / (1.1 * n))]
+    return _rows(spark, rows)
+
+
+def full_rank(spark: SparkSession, trials: int = 100) -> DataFrame:
+    """How often a random sparse matrix has full rank, against the proven lower bound: what a solver that takes all rows at once would have to count on."""
+    rows = []
+    for q, r in ((53, 40), (53, 48), (101, 80), (101, 90)):
+        for s in (1, 2, 3, 4):
+            p = choose_primes(q, 0.01, 31, 7).p
+            rate = measures.full_rank_rate(r, q, s, p, trials)
+            rows += [(f"s={s}", r, f"q={q}", "full_rank_share", rate), (f"s={s}", r, f"q={q}", "bound", algebra.full_rank_share_bound(q, s, r, p))]
+    return _rows(spark, rows)
+
+
+def lookup_counts(spark: SparkSession, d: str) -> DataFrame:
+    """(metric, value): hashes and reads counted over looking up every supplier, as totals."""
+    pairs, _ = written(indeg_supplier(spark, d), "pairs")
+    key, rows = "l_suppkey", []
+    made = {
+        "acyclic": build.build_acyclic(pairs, key, "value", k=16),
+        "acyclic sharded": build.build_acyclic(pairs, key, "value", k=16, shards=2),
+        "matched r=2": build.build_matched(pairs, key, "value", k=16),
+        "matched r=3": build.build_matched(pairs, key, "value", k=16, r=3, slots_factor=1.5),
+        "peeled": build.build_peeled(pairs, key, "value", k=16),
+        "bitmap": build.build_bitmap_map(pairs, key, "value", k=16),
+    }
+    for m, f in made.items():
+        cost = measures.counted_cost(pairs, f, key)
+        rows += [(f"{m} {what}", int(cost[what])) for what in ("hashes", "reads")]
+    return spark.createDataFrame(rows, "metric string, value long")
