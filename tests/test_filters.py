@@ -39,6 +39,7 @@ BUILDERS = {
     "peeled": lambda p, **o: B.build_peeled(p, "l_orderkey", "value", k=5, **o),
     "xor": lambda p, **o: B.build_xor_sparse(p, "l_orderkey", "value", k=5, **o),
     "bslf": lambda p: B.build_bucketed_sparse(p, "l_orderkey", "value", k=5),
+    "bslf61": lambda p: B.build_bucketed_sparse(p, "l_orderkey", "value", k=5, p_bits=61),
     "dict": lambda p: B.build_hash_dict(p, "l_orderkey", "value"),
     "low_collision": lambda p: B.build_low_collision_dict(p, "l_orderkey", "value"),
     "dict_membership": lambda p: B.build_dict_with_membership(p, "l_orderkey", "value"),
@@ -156,6 +157,43 @@ def test_updates_touch_their_trees_only(mode, spark, orders):
         update_values(f, graph, orders.limit(1).withColumn("value", F.lit(99)), "l_orderkey")
 
 
+@pytest.mark.parametrize("mode", ["recompute", "shift"])
+def test_doubled_tied_and_null_changes(mode, spark, orders):
+    f = B.build_mutable(orders, "l_orderkey", "value", k=5, shards=3)
+    graph = written(edges(f, orders, "l_orderkey", "value"), "graph")[0]
+    some = orders.where("l_orderkey % 9 = 0").select("l_orderkey", ((F.col("value") + 1) % 17).alias("value"))
+    update = lambda rows, **o: update_values(f, graph, rows, "l_orderkey", mode=mode, **o)
+    truth = orders.join(some.withColumnRenamed("value", "w"), "l_orderkey", "left").select("l_orderkey", F.coalesce("w", "value").alias("value"))
+    for rows in (some.unionByName(some), some.unionByName(spark.createDataFrame([(None, 3), (10**10, 3)], "l_orderkey long, value long"))):
+        changed, after, _ = update(rows)
+        assert M.member_mismatches(truth, changed, "l_orderkey", "value") == 0 and after.count() == graph.count()
+    other = some.withColumn("value", (F.col("value") + 5) % 17)
+    with pytest.raises(Exception, match="two new values"):
+        update(some.unionByName(other))
+    with pytest.raises(Exception, match="NULL"):
+        update(some.withColumn("value", F.lit(None).cast("long")))
+    dated = other.withColumn("at", F.lit(1)).unionByName(some.withColumn("at", F.lit(2))).unionByName(other.withColumn("at", F.lit(None).cast("int")))
+    assert M.member_mismatches(truth, update(dated, order="at")[0], "l_orderkey", "value") == 0
+    assert M.member_mismatches(truth, update(dated.unionByName(some.withColumn("at", F.lit(2))), order="at")[0], "l_orderkey", "value") == 0
+    with pytest.raises(Exception, match="two new values"):
+        update(dated.unionByName(other.withColumn("at", F.lit(2))), order="at")
+
+
+def test_updates_leave_other_shards_in_their_files(spark, orders):
+    f = B.build_mutable(orders, "l_orderkey", "value", k=5, shards=12)
+    graph = written(edges(f, orders, "l_orderkey", "value"), "graph")[0]
+    truth = {r["l_orderkey"]: r["value"] for r in orders.collect()}
+    for step, key in enumerate(sorted(truth)[:10]):
+        truth[key] = (truth[key] + 3 + step) % 17
+        f, graph, deltas = update_values(f, graph, spark.createDataFrame([(key, truth[key])], "l_orderkey long, value long"), "l_orderkey")
+        assert deltas.select("shard").distinct().count() == 1
+    assert graph.count() == len(truth) and f.tables.count() == 12
+    now = spark.createDataFrame(list(truth.items()), "l_orderkey long, value long")
+    assert M.member_mismatches(now, f, "l_orderkey", "value") == 0
+    same, _, none = update_values(f, graph, now.limit(0), "l_orderkey")
+    assert same is f and none.isEmpty()
+
+
 def test_component_cap(orders):
     f = B.build_mutable(orders, "l_orderkey", "value", k=5, c=3.0, component_cap=40, shards=2)
     assert M.build_stats(f)["max_component"] <= 40
@@ -236,6 +274,20 @@ def test_stream_of_updates(spark, orders, tmp_path):
     assert feed.filter.version == version
 
 
+def test_a_feed_goes_on_from_its_last_state(spark, orders, tmp_path):
+    f = B.build_mutable(orders, "l_orderkey", "value", k=5)
+    feed = S.UpdateFeed(f, edges(f, orders, "l_orderkey", "value"), "l_orderkey", path=f"{tmp_path}/states")
+    first, second = W.changes(orders, "l_orderkey", 20), W.changes(orders, "l_orderkey", 7).withColumn("value", F.lit(3).cast("long"))
+    feed(first, 0)
+    feed(second, 1)
+    back = S.UpdateFeed.resume(spark, f"{tmp_path}/states", "l_orderkey")
+    assert back.last_batch == 1 and M.member_mismatches(second, back.filter, "l_orderkey", "value") == 0
+    back(first, 1)  # again
+    assert M.member_mismatches(second, back.filter, "l_orderkey", "value") == 0
+    back(first, 2)
+    assert M.member_mismatches(first, back.filter, "l_orderkey", "value") == 0
+
+
 def test_streams(spark, small, tmp_path):
     path = f"{small}/events.parquet"
     events = spark.read.parquet(path)
@@ -270,6 +322,63 @@ def test_packed_lookup_of_nulls_and_absents(spark, orders):
     assert got == {1: f.get(1), None: None, 10**9: None}
 
 
+def test_names_that_clash(spark, orders):
+    f = B.build_acyclic(orders, "l_orderkey", "value", k=5, shards=3)
+    probe = orders.select(F.col("l_orderkey").alias("d0"), F.lit(1).alias("d1"), F.lit("x").alias("_shard"), F.lit(2).alias("_known"), F.lit(3).alias("_t_g"), F.col("value").alias("n_slots"))
+    for look in (lookup, lookup_packed, lambda *a: lookup(*a, strategy="merge")):
+        rows = look(probe, f, "d0", "out")
+        assert rows.columns == [*probe.columns, "out"] and rows.where("not (out <=> n_slots) or d1 <> 1 or _t_g <> 3").isEmpty() and rows.count() == orders.count()
+
+
+def test_null_keys_are_spread(spark, orders):
+    f = B.build_acyclic(orders, "l_orderkey", "value", k=5, shards=2)
+    probe = spark.range(2_000).select(F.when(F.col("id") < 5, F.col("id")).alias("l_orderkey"), "id")
+    for rows in (lookup(probe, f, "l_orderkey", strategy="merge"), lookup_packed(probe, f, "l_orderkey")):
+        assert rows.count() == 2_000 and rows.where("id >= 5 and value is not null").isEmpty()
+
+
+def test_packed_composite_keys_and_hot_shards(spark, small, monkeypatch):
+    from keyloom.operators import lookup as L
+
+    monkeypatch.setattr(L, "PACKED_PROBES", 700)
+    pairs = written(W.line_qty(spark, small), "lines")[0]
+    f = B.build_acyclic(pairs, W.LINE_KEYS, "value", k=6, shards=2)
+    probe = pairs.select("value", *W.LINE_KEYS).unionByName(pairs.select((-F.col("value")).alias("value"), *W.LINE_KEYS[:3], (F.col("l_linenumber") + 100).alias("l_linenumber")))
+    rows = L.lookup_packed(probe, f, W.LINE_KEYS, "looked")
+    assert rows.columns == [*probe.columns, "looked"] and rows.count() == 2 * pairs.count()
+    assert rows.where("not (looked <=> if(value > 0, value, null))").isEmpty()
+
+
+def test_broadcasts_are_refused_above_their_limit(orders, monkeypatch):
+    from keyloom.operators import lookup as L
+
+    f = B.build_acyclic(orders, "l_orderkey", "value", k=5)
+    monkeypatch.setattr(L, "BROADCAST_BYTES", 100)
+    with pytest.raises(ValueError, match="more than"):
+        lookup(orders, f, "l_orderkey", strategy="broadcast")
+    assert M.member_mismatches(orders, f, "l_orderkey", "value") == 0  # auto joins by shard
+
+
+def test_counted_costs(orders):
+    n = orders.count()
+    for name, hashes, reads in (("acyclic", 3, 2), ("matched2", 3, 3), ("peeled", 4, 3)):
+        assert M.counted_cost(orders, BUILDERS[name](orders), "l_orderkey") == {"keys": n, "hashes": hashes * n, "reads": reads * n}
+    f = BUILDERS["bslf"](orders)
+    cost = M.counted_cost(orders, f, "l_orderkey")
+    tries = M.build_stats(f)["mean_tries"]
+    assert cost["reads"] == pytest.approx(3 * tries * n) and cost["hashes"] == pytest.approx((2 + 6 * tries) * n)
+
+
+def test_wide_primes(spark):
+    pairs = spark.range(300).select("id", ((F.col("id") * 7) % (1 << 20)).alias("value"))
+    f = B.build_sparse_linear(pairs, "id", "value", k=20, p_bits=61)
+    assert M.member_mismatches(pairs, f, "id", "value") == 0 and f.get(5) == 35 and f.get(-1) is None
+    absent = spark.range(10**6, 10**6 + 20_000)
+    assert M.false_value_rate(f, absent, "id")["hits"] == 0
+    with pytest.raises(ValueError):
+        B.build_sparse_linear(pairs, "id", "value", k=20, p_bits=62)
+
+
 def test_registered_queries_have_stable_columns(spark, small):
     assert set(Q.oracle_sql()) <= set(Q.queries())
     for name in ("indeg_order", "md5_edges", "space_table"):
@@ -290,9 +399,9 @@ def test_last_values_in_state(spark, small, tmp_path):
 
 
 def test_bucketed_builders(orders):
-    for builder in (B.build_acyclic, B.build_matched, B.build_sparse_linear):
+    for builder in (B.build_acyclic, B.build_matched, B.build_sparse_linear, B.build_xor_sparse):
         f = B.bucketed(builder, orders, "l_orderkey", "value", k=5, bucket_c=8.0)
-        assert f.spec.shards > 10 and M.member_mismatches(orders, f, "l_orderkey", "value") == 0
+        assert f.spec.shards * max(1, f.spec.buckets) > 10 and M.member_mismatches(orders, f, "l_orderkey", "value") == 0
 
 
 def test_windows_samples_and_plans(spark, orders):

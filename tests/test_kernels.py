@@ -1,6 +1,7 @@
 """Kernels, hashing, packing and algebra, without Spark where it isn't needed."""
 
 import math
+import random
 
 import numpy as np
 import pytest
@@ -226,3 +227,26 @@ def test_parameters():
             bad()
     assert params.modulus_for(5, None, 2.0**-32) == 2**37
     assert params.acyclic_probability(2.09) == pytest.approx(0.335, abs=0.001)
+
+
+def test_products_of_wide_residues():
+    r = random.Random(4)
+    for p in (2**31 - 1, 2**61 - 1, (1 << 60) + 33, 10**15 + 37):
+        a, b = ([r.randrange(p) for _ in range(200)] + [p - 1, 0, 1] for _ in range(2))
+        assert K.mul_mod(np.array(a), np.array(b), p).tolist() == [x * y % p for x, y in zip(a, b)]
+        assert int(K.sum_mod(np.array(a)[:, None], 0, p)[0]) == sum(a) % p
+
+
+def test_many_systems_equal_single_ones():
+    g = np.random.default_rng(3)
+    widths, primes = np.array([5, 7, 11, 3]), np.array([101, 2**31 - 1, 97, 2**30 + 3])
+    many, single = K.Echelons(widths, primes, 12), [K.Echelon(int(w), int(p)) for w, p in zip(widths, primes)]
+    for _ in range(12):
+        at = np.flatnonzero(g.random(4) < 0.8)
+        rows = np.zeros((len(at), many.width + 1), np.int64)
+        for i, b in enumerate(at):
+            rows[i, g.integers(0, widths[b], 2)] = g.integers(1, primes[b])
+            rows[i, -1] = g.integers(0, primes[b])
+        expected = [single[b].try_add(np.concatenate((rows[i, : widths[b]], rows[i, -1:]))) for i, b in enumerate(at)]
+        assert many.try_add(at, rows).tolist() == expected
+    assert [x.tolist() for x in many.solutions()] == [x.solution().tolist() for x in single]
