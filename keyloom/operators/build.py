@@ -87,7 +87,10 @@ def _acyclic(spec: Spec, shard: int, d0, d1, value) -> dict:
         if (peeled := K.is_forest(u, v, slots)) is None:
             continue
         mask = 0 if spec.kind == "af_raw" else K.masks(d0, d1, seed, spec.modulus, spec.family)
-        forest = K.solve_forest(peeled, u, v, (value - mask) % spec.modulus, slots, spec.modulus)
+        rhs = (value - mask) % spec.modulus
+        if not spec.canonical:
+            return {"n_slots": slots, "seed": seed, "attempts": attempt, "g": K.settle_forest(peeled, u, v, rhs, slots, spec.modulus)}
+        forest = K.solve_forest(peeled, u, v, rhs, slots, spec.modulus)
         largest = int(forest.sizes.max())
         if spec.kind == "mutable" and largest > spec.component_cap:
             continue
@@ -298,13 +301,16 @@ KERNELS: dict[str, Callable] = {"acyclic": _acyclic, "af_raw": _acyclic, "mutabl
 # --- builders ----------------------------------------------------------------------------------------------------------
 
 
-def build_acyclic(df: DataFrame, key, value: str, *, k: int = 1, modulus: int | None = None, error: float = 2.0**-32, c: float = 2.5, endpoints: str = "distinct", family: str = "xx64", shards: int | str = "auto", max_attempts: int = 64, seed: int = 42) -> Filter:
-    """A key is an edge between two slots; the slots' residues and the key's mask add up to its value, and almost never to a value for other keys."""
+def build_acyclic(df: DataFrame, key, value: str, *, k: int = 1, modulus: int | None = None, error: float = 2.0**-32, c: float = 2.5, endpoints: str = "distinct", family: str = "xx64", canonical: bool = False, shards: int | str = "auto", max_attempts: int = 64, seed: int = 42) -> Filter:
+    """A key is an edge between two slots; the slots' residues and the key's mask add up to its value, and almost never to a value for other keys.
+
+    ``canonical``: each tree has 0 at its least slot, whoever built it, and tree sizes are recorded.
+    """
     check_c(c)
     if endpoints not in ("distinct", "independent") or family not in FAMILIES:
         raise ValueError(f"{endpoints}, {family}")
     n = df.count()
-    return _build(df, key, value, Spec("acyclic", k=k, modulus=modulus_for(k, modulus, error), c=c, distinct=endpoints == "distinct", family=family, shards=shards_for(n, shards), max_attempts=max_attempts, seed=seed), n)
+    return _build(df, key, value, Spec("acyclic", k=k, modulus=modulus_for(k, modulus, error), c=c, distinct=endpoints == "distinct", family=family, canonical=canonical, shards=shards_for(n, shards), max_attempts=max_attempts, seed=seed), n)
 
 
 def build_peeled(df: DataFrame, key, value: str, *, k: int = 1, modulus: int | None = None, error: float = 2.0**-32, endpoints_per_key: int = 3, c: float = 1.25, shards: int | str = "auto", max_attempts: int = 128, seed: int = 42) -> Filter:
@@ -339,7 +345,7 @@ def build_mutable(df: DataFrame, key, value: str, *, k: int = 1, modulus: int |
     n = df.count()
     parts = shards_for(n, shards)
     cap = component_bound(max(2, n // parts), c) if component_cap == "auto" else int(component_cap)
-    return _build(df, key, value, Spec("mutable", k=k, modulus=modulus_for(k, modulus, error), c=c, shards=parts, component_cap=cap, seed=seed, max_attempts=256), n)
+    return _build(df, key, value, Spec("mutable", k=k, modulus=modulus_for(k, modulus, error), c=c, shards=parts, component_cap=cap, canonical=True, seed=seed, max_attempts=256), n)
 
 
 def build_matched(df: DataFrame, key, value: str, *, k: int = 1, error: float = 2.0**-32, r: int = 2, slots_factor: float = 2.5, matching: str = "sorted", seed: int = 42, shards: int | str = "auto") -> Filter:

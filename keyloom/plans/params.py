@@ -19,6 +19,8 @@ class Spec:
     modulus: int = 0
     c: float = 2.5
     distinct: bool = True
+    #: Trees hold 0 at their least slot.
+    canonical: bool = False
     family: str = "xx64"
     seed: int = 42
     shards: int = 1

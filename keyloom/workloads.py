@@ -18,6 +18,8 @@ from keyloom.plans.scratch import written
 from keyloom.sources.tables import links, raw_links, table
 
 MEASURED = "method string, n long, parameter string, measure string, measured double"
+#: Bits of a sparse filter's prime beyond those of the value and the error.
+SPARE_BITS = 8
 LINE_KEYS = ["l_orderkey", "l_partkey", "l_suppkey", "l_linenumber"]
 
 
@@ -118,7 +120,8 @@ def c_sweep(spark: SparkSession, n: int = 5_000, trials: int = 100) -> DataFrame
 def error_rates(spark: SparkSession, d: str, absent_keys: int = 100_000) -> DataFrame:
     """False values on absent keys against the bounds, for every filter: natural absents (orders without lines, documents without labels) and shifted keys, errors from 2^-2 to 2^-8.
 
-    A sparse filter's error follows from its prime and the blocks that it has; for it the bits of the prime are chosen so that one block has the wanted error.
+    A sparse filter's error follows from its prime and the blocks that it has; its prime has SPARE_BITS more than one block needs,
+    as in a smaller field too many members are answered by earlier blocks, and small buckets find no prime.
     """
     orders, _ = written(indeg_order(spark, d), "pairs")
     labels, _ = written(label("toxic")(spark, d), "labels")
@@ -138,8 +141,8 @@ def error_rates(spark: SparkSession, d: str, absent_keys: int = 100_000) -> Data
                 "peeled": build.build_peeled(pairs, key, "value", k=k, error=error),
                 "xor": build.build_xor_sparse(pairs, key, "value", k=k, error=error),
                 "membership": build.build_membership(pairs, key, error=error),
-                "bslf": build.build_bucketed_sparse(pairs, key, "value", k=k, p_bits=k + bits + 1),
-                "sparse": build.build_sparse_linear(some, key, "value", k=k, p_bits=k + bits + 1),
+                "bslf": build.build_bucketed_sparse(pairs, key, "value", k=k, p_bits=k + bits + SPARE_BITS),
+                "sparse": build.build_sparse_linear(some, key, "value", k=k, p_bits=k + bits + SPARE_BITS),
             }
             for m, f in made.items():
                 away = natural if m != "sparse" else natural.unionByName(pairs.select(key).join(some, key, "left_anti"))
