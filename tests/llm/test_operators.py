@@ -602,6 +602,7 @@ def test_toxicity_of_each_language(spark):
     found = by_id(toxicity.digest(docs, labels))
     lang = {r["doc_id"]: r["lang"] for r in docs.select("doc_id", "lang").collect()}
     held = [(lang[r["doc_id"]], r["toxic"], found[r["doc_id"]]["predicted"]) for r in labels.collect() if found[r["doc_id"]]["held_out"]]
+    assert np.mean([p for _, t, p in held if t]) >= 0.9 and np.mean([p for _, t, p in held if not t]) < 0.01
     for own in ("de", "en", "es", "fr"):
         assert np.mean([p for x, t, p in held if x == own and t]) > 0.8
         assert np.mean([p for x, t, p in held if x == own and not t]) < 0.03
