@@ -6,8 +6,8 @@ shorter prefix, or goes back, where a token can't stand next to the one before.
 bytes across their border sooner; that depends on the two alone, so it is worked out once per pair and remembered. Ends that
 proved dead are marked, so that no position is tried twice with the same end. The result is what applying merges by rank gives.
 
-A table of tokens by rank is a vocabulary of fixed size; it is broadcast. Workers keep the ids of pieces they met, up to a
-documented number of pieces, after which they forget all of them; results don't depend on it.
+A table of tokens by rank is a vocabulary of fixed size; it is broadcast. Workers keep the ids of pieces and the pairs of tokens they
+met, up to documented numbers, after which they forget all of them; results don't depend on it.
 
 Null and empty texts have no ids. Every other text is encoded whole, whatever its length.
 """
@@ -31,8 +31,8 @@ from pyspark.sql import functions as F
 from keyloom.llm.common import released
 
 VOCABULARY = "byte_bpe_multi_50k.tiktoken"
-#: Pieces that a worker remembers, and the length up to which it does.
-REMEMBERED, REMEMBERED_CHARS = 400_000, 48
+#: Pieces, and pairs of tokens, that a worker remembers, and the length up to which it does pieces.
+REMEMBERED, REMEMBERED_PAIRS, REMEMBERED_CHARS = 400_000, 400_000, 48
 
 
 @lru_cache(maxsize=4)
@@ -111,6 +111,8 @@ class Codec:
         """Whether token b can follow token a in the result of merging."""
         key = a << 32 | b
         if (known := self.pairs.get(key)) is None:
+            if len(self.pairs) >= REMEMBERED_PAIRS:
+                self.pairs.clear()
             known = self.pairs[key] = self._fits(a, b)
         return known
 

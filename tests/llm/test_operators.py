@@ -152,6 +152,23 @@ def test_bpe_unicode_classes(codec):
         assert own.encode(text).tolist() == theirs.encode_ordinary(text)
 
 
+@pytest.mark.parametrize("limit", [None, 3])
+def test_bpe_runs_of_spaces(codec, monkeypatch, limit):
+    """Runs of spaces, other spaces and texts that begin or end with them are as tiktoken has them, also where a worker remembers next to nothing."""
+    own, theirs = codec
+    if limit:
+        monkeypatch.setattr(byte_bpe, "REMEMBERED", limit)
+        monkeypatch.setattr(byte_bpe, "REMEMBERED_PAIRS", limit)
+        own = byte_bpe.Codec(own.tokens)
+    rng = random.Random(11)
+    parts = [" ", " ", " ", "  ", "\n", "\t", "\r\n", "\x1c", "\x85", "\xa0", "\u2003", "\u3000", "a", "don't", "'s", "42", "x1", "...", "é", "straße", "!?", "日本"]
+    texts = ["".join(rng.choices(parts, k=rng.randint(1, 25))) for _ in range(3000)]
+    texts += [" ", "  ", " a", "a ", "a b ", "a\n b", "a \nb", "a  b", "b a\n", "a\n b c", "x" * 5000 + " y" * 5000 + "  "]
+    for text in texts + texts:
+        assert own.encode(text).tolist() == theirs.encode_ordinary(text), text
+    assert limit is None or max(len(own.pairs), len(own.seen)) <= limit
+
+
 def test_bpe_query_and_round_trip(docs, rows, codec):
     found = by_id(byte_bpe.digest(docs))
     back = by_id(byte_bpe.decode(byte_bpe.encode(docs)))
