@@ -299,6 +299,18 @@ def test_streams(spark, small, tmp_path):
     assert S.late_report([{"stateOperators": [{"numRowsDroppedByWatermark": 3}]}, {}]) == 3
 
 
+def test_stream_rows_are_written_by_executors(spark, small, tmp_path):
+    rows = Q.QUERIES["stream_enrich"](spark, small)
+    assert rows.inputFiles() and rows.count() == spark.read.parquet(f"{small}/events.parquet").count()  # a table in memory has no files
+    events = spark.read.parquet(f"{small}/events.parquet")
+    events.repartition(2).write.parquet(f"{tmp_path}/events.parquet")
+    for mode in ("append", "complete", "update"):  # a table of several files, one micro-batch each
+        stream = S.events_stream(spark, f"{tmp_path}/events.parquet", per_trigger=1)
+        got = S.run_once(stream if mode == "append" else stream.groupBy("user_id").count(), f"parts_{mode}", f"{tmp_path}/{mode}", mode)
+        whole = events.groupBy("user_id").count()
+        assert got.count() == events.count() if mode == "append" else got.exceptAll(whole).isEmpty() == (mode == "complete") and whole.subtract(got).isEmpty()
+
+
 def test_asof_and_bands(spark):
     events = spark.createDataFrame([(1, 5, "a"), (1, 10, "b"), (2, 1, "c")], "key int, ts int, what string")
     versions = spark.createDataFrame([(1, 5, 50), (1, 7, 70), (2, 2, 20)], "key int, ts int, value int")
