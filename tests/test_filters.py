@@ -301,7 +301,7 @@ def test_streams(spark, small, tmp_path):
 
 def test_stream_rows_are_written_by_executors(spark, small, tmp_path):
     rows = Q.QUERIES["stream_enrich"](spark, small)
-    assert Q.QUERIES["stream_session"](spark, small).inputFiles()
+    assert all(Q.QUERIES[q](spark, small).inputFiles() for q in ("stream_session", "stream_sliding"))
     assert rows.inputFiles() and rows.count() == spark.read.parquet(f"{small}/events.parquet").count()  # a table in memory has no files
     events = spark.read.parquet(f"{small}/events.parquet")
     events.repartition(2).write.parquet(f"{tmp_path}/events.parquet")
