@@ -288,6 +288,18 @@ def test_a_feed_goes_on_from_its_last_state(spark, orders, tmp_path):
     assert M.member_mismatches(first, back.filter, "l_orderkey", "value") == 0
 
 
+def test_one_graph_is_solved_in_tasks_of_many_trees(spark, small, monkeypatch):
+    pairs = written(W.indeg_part(spark, small), "parts")[0]
+    whole = B.build_acyclic(pairs, "l_partkey", "value", k=7, canonical=True, shards=1).tables.first()
+    for size in (1, 30, 1 << 16):
+        monkeypatch.setattr(G, "EDGES_A_TASK", size)
+        made = G.build_acyclic_global(pairs, "l_partkey", "value", k=7)
+        assert all(whole["g"][r["slot"]] == r["g"] for r in made.slots.collect())
+    edges_, trees = spark.createDataFrame([(0, 1, 5), (2, 3, 6)], "u long, v long, rhs long"), spark.createDataFrame([(i, i // 2 * 2) for i in range(4)], "slot long, component long")
+    solved = G._by_component(edges_, trees, 8, 2)
+    assert {r["slot"]: r["g"] for r in solved.collect()} == {0: 0, 1: 5, 2: 0, 3: 6} and "[component" not in solved._jdf.queryExecution().toString().split("FlatMapGroupsInArrow")[1].split("\n")[0]
+
+
 def test_streams(spark, small, tmp_path):
     path = f"{small}/events.parquet"
     events = spark.read.parquet(path)
