@@ -300,6 +300,24 @@ def test_one_graph_is_solved_in_tasks_of_many_trees(spark, small, monkeypatch):
     assert {r["slot"]: r["g"] for r in solved.collect()} == {0: 0, 1: 5, 2: 0, 3: 6} and "[component" not in solved._jdf.queryExecution().toString().split("FlatMapGroupsInArrow")[1].split("\n")[0]
 
 
+@pytest.fixture(scope="module")
+def many_suppliers(spark, tmp_path_factory):
+    """Tables with 4,500 suppliers, 300 of them without lines."""
+    d = str(tmp_path_factory.mktemp("suppliers"))
+    spark.range(4_500).select(F.col("id").alias("s_suppkey")).write.parquet(f"{d}/supplier.parquet")
+    spark.range(9_000).select((F.col("id") % 4_200).alias("l_suppkey")).write.parquet(f"{d}/lineitem.parquet")
+    return d
+
+
+def suppliers_of(spark, d, name):
+    rows = {r["s_suppkey"]: r["value"] for r in Q.QUERIES[name](spark, d).collect()}
+    return rows == {i: None if i >= 4_200 else 3 if i < 600 else 2 for i in range(4_500)}
+
+
+def test_sparse_filter_of_many_keys_any_prime(spark, many_suppliers):
+    assert suppliers_of(spark, many_suppliers, "slf_any_prime")
+
+
 def test_streams(spark, small, tmp_path):
     path = f"{small}/events.parquet"
     events = spark.read.parquet(path)
