@@ -318,6 +318,10 @@ def test_sparse_filter_of_many_keys_any_prime(spark, many_suppliers):
     assert suppliers_of(spark, many_suppliers, "slf_any_prime")
 
 
+def test_sparse_filter_of_many_keys_p61(spark, many_suppliers):
+    assert suppliers_of(spark, many_suppliers, "slf_p61")
+
+
 def test_streams(spark, small, tmp_path):
     path = f"{small}/events.parquet"
     events = spark.read.parquet(path)
