@@ -322,6 +322,10 @@ def test_sparse_filter_of_many_keys_p61(spark, many_suppliers):
     assert suppliers_of(spark, many_suppliers, "slf_p61")
 
 
+def test_sparse_filter_of_many_keys_s2(spark, many_suppliers):
+    assert suppliers_of(spark, many_suppliers, "slf_s2")
+
+
 def test_streams(spark, small, tmp_path):
     path = f"{small}/events.parquet"
     events = spark.read.parquet(path)
