@@ -330,6 +330,10 @@ def test_sparse_filter_of_many_keys_s3(spark, many_suppliers):
     assert suppliers_of(spark, many_suppliers, "slf_s3")
 
 
+def test_sparse_filter_of_many_keys_s4(spark, many_suppliers):
+    assert suppliers_of(spark, many_suppliers, "slf_s4")
+
+
 def test_streams(spark, small, tmp_path):
     path = f"{small}/events.parquet"
     events = spark.read.parquet(path)
