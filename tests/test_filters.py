@@ -334,6 +334,25 @@ def test_sparse_filter_of_many_keys_s4(spark, many_suppliers):
     assert suppliers_of(spark, many_suppliers, "slf_s4")
 
 
+def test_sparse_filter_of_parts_gives_absent_parts_no_value(spark, small, tmp_path):
+    absent = 1_405_434  # among 200 parts of this table and the query's own prime, this key's equation gives 711
+    f = B.build_sparse_linear(W.indeg_part(spark, small).orderBy("l_partkey").limit(200), "l_partkey", "value", k=10)
+    key = spark.createDataFrame([(absent,)], "p_partkey long")
+    assert lookup(key, f, "p_partkey").first()["value"] == 711
+    parts = spark.read.parquet(f"{small}/part.parquet").select("p_partkey")
+    parts.unionByName(key).write.parquet(f"{tmp_path}/part.parquet")
+    spark.read.parquet(f"{small}/lineitem.parquet").write.parquet(f"{tmp_path}/lineitem.parquet")
+    rows = Q.QUERIES["slf_parts"](spark, str(tmp_path))
+    assert rows.where(f"p_partkey = {absent} and value is null").count() == 1 and rows.where("value is not null").count() == 200
+
+
+def test_two_universal_gives_absent_orders_no_value(spark, tmp_path):
+    spark.range(100).select(F.explode(F.array(F.col("id"), F.col("id") + (1 << 31) - 1)).alias("o_orderkey")).write.parquet(f"{tmp_path}/orders.parquet")
+    spark.range(300).select((F.col("id") % 100).alias("l_orderkey")).write.parquet(f"{tmp_path}/lineitem.parquet")
+    rows = Q.QUERIES["af_two_universal"](spark, str(tmp_path))
+    assert {r["o_orderkey"]: r["value"] for r in rows.collect()} == {i: 3 for i in range(100)} | {i + (1 << 31) - 1: None for i in range(100)}
+
+
 def test_streams(spark, small, tmp_path):
     path = f"{small}/events.parquet"
     events = spark.read.parquet(path)
