@@ -353,6 +353,25 @@ def test_two_universal_gives_absent_orders_no_value(spark, tmp_path):
     assert {r["o_orderkey"]: r["value"] for r in rows.collect()} == {i: 3 for i in range(100)} | {i + (1 << 31) - 1: None for i in range(100)}
 
 
+@pytest.fixture(scope="module")
+def popular_url(spark, tmp_path_factory):
+    """1,100 pages that all link to one URL."""
+    d = str(tmp_path_factory.mktemp("pages"))
+    html = F.lit('<a href="http://a.example/x">x</a>')
+    spark.range(1_100).select(F.col("id").alias("page_id"), F.format_string("http://b.example/%d", "id").alias("url"), html.alias("html")).write.parquet(f"{d}/pages.parquet")
+    return d
+
+
+def test_indegree_of_a_popular_url(spark, popular_url):
+    rows = Q.QUERIES["indeg_url"](spark, popular_url)
+    assert rows.count() == 1_101 and [r["value"] for r in rows.where("value is not null").collect()] == [1_100]
+
+
+def test_creation_over_a_popular_url(spark, popular_url):
+    rows = W.creation(spark, popular_url, trials=1, names=("indeg_url",))
+    assert {r["method"] for r in rows.collect()} == {"acyclic", "acyclic_independent", "matched", "matched_peel"}
+
+
 def test_streams(spark, small, tmp_path):
     path = f"{small}/events.parquet"
     events = spark.read.parquet(path)
