@@ -372,6 +372,53 @@ def test_creation_over_a_popular_url(spark, popular_url):
     assert {r["method"] for r in rows.collect()} == {"acyclic", "acyclic_independent", "matched", "matched_peel"}
 
 
+@pytest.fixture(scope="module")
+def few_rows(spark, tmp_path_factory):
+    """Lines whose entries are known, and 300 orders and suppliers."""
+    d = str(tmp_path_factory.mktemp("few"))
+    lines = [(1, 0, 0, 0, 0.0), (1, 1, 1, 1, 1.0), (1, 1, 0, 0, 0.0), (2, 1, 0, 0, 0.0)]
+    spark.createDataFrame(lines, "l_orderkey long, l_partkey long, l_suppkey long, l_linenumber int, l_quantity double").write.parquet(f"{d}/lineitem.parquet")
+    spark.range(300).select(F.col("id").alias("o_orderkey")).write.parquet(f"{d}/orders.parquet")
+    spark.range(300).select(F.col("id").alias("s_suppkey")).write.parquet(f"{d}/supplier.parquet")
+    return d
+
+
+def rows_of(spark, d, name, *columns):
+    return {tuple(r[c] for c in columns) for r in Q.QUERIES[name](spark, d).collect()}
+
+
+def test_circulants_of_lines(spark, few_rows):
+    assert rows_of(spark, few_rows, "circulant_rank", "q", "p", "n") == {(5, 2, 2), (5, 3, 2), (3, 5, 3)}
+
+
+def test_full_rank_of_supplier_keys(spark, few_rows):
+    p = 2**31 - 1
+    found = M.full_rank_rates(spark.read.parquet(f"{few_rows}/supplier.parquet"), "s_suppkey", [(11, 3, 3, p), (5, 6, 3, p)], 40)
+    assert found[11, 3, 3, p] > 0.9 and found[5, 6, 3, p] == 0.0
+
+
+def test_nonzero_sums_of_lines(spark, few_rows):
+    assert {r for r in rows_of(spark, few_rows, "nonzero_sum_counts", "p", "s", "n", "patterns", "possible") if r[0] == 3} == {(3, 1, 4, 2, 2), (3, 2, 2, 1, 2), (3, 3, 0, 0, 6)}
+
+
+def test_generators_among_order_keys(spark, few_rows):
+    assert {r for r in rows_of(spark, few_rows, "primitive_roots", "q", "a", "n") if r[0] == 5} == {(5, 2, 60), (5, 3, 60)}
+
+
+def test_prime_draws_of_buckets(spark, few_rows):
+    rows = W.setup_loops(spark, few_rows, sizes=(20, 100), seeds=3).collect()
+    assert {(r["method"], r["n"]) for r in rows} == {(m, n) for m in ("direct", "list") for n in (20, 100)} and all(r["measured"] > 0 for r in rows if r["measure"] != "generator_draws")
+
+
+def test_sparse_vectors_of_lines(spark, few_rows):
+    assert rows_of(spark, few_rows, "sparse_counts", "s", "n", "patterns", "possible") == {(0, 0, 0, 1), (1, 1, 1, 10), (2, 2, 2, 40), (3, 0, 0, 80), (4, 0, 0, 80), (5, 1, 1, 32)}
+
+
+def test_graphs_of_order_keys(spark, few_rows):
+    found = M.acyclic_rates(spark.read.parquet(f"{few_rows}/orders.parquet"), "o_orderkey", 250, (2.5,), 200)
+    assert all(abs(stats["rate"] - stats["formula"]) < 0.15 for stats in found.values()) and len(found) == 2
+
+
 def test_streams(spark, small, tmp_path):
     path = f"{small}/events.parquet"
     events = spark.read.parquet(path)
