@@ -1,5 +1,7 @@
 """Builders, lookups, updates, baselines, measures, storage and streams on the given tables."""
 
+from pathlib import Path
+
 import pytest
 from pyspark.sql import functions as F
 
@@ -443,6 +445,19 @@ def test_stream_rows_are_written_by_executors(spark, small, tmp_path):
         assert got.count() == events.count() if mode == "append" else got.exceptAll(whole).isEmpty() == (mode == "complete") and whole.subtract(got).isEmpty()
 
 
+def state_files(spark, d, name):
+    """Kinds of files in the state of a query's stream: .delta, where a map in the heap holds it."""
+    checkpoint = Q.QUERIES[name](spark, d).inputFiles()[0].partition("-rows/")[0].removeprefix("file://")
+    return {f.suffix for f in Path(checkpoint, "state").glob("*/[0-9]*/*") if not f.name.startswith(".")}
+
+
+def test_state_of_sessions_is_in_files(spark, small):
+    before = spark.conf.get("spark.sql.streaming.stateStore.providerClass")
+    kinds = state_files(spark, small, "stream_session")
+    assert kinds and ".delta" not in kinds
+    assert spark.conf.get("spark.sql.streaming.stateStore.providerClass") == before
+
+
 def test_asof_and_bands(spark):
     events = spark.createDataFrame([(1, 5, "a"), (1, 10, "b"), (2, 1, "c")], "key int, ts int, what string")
     versions = spark.createDataFrame([(1, 5, 50), (1, 7, 70), (2, 2, 20)], "key int, ts int, value int")
