@@ -458,6 +458,11 @@ def test_state_of_sessions_is_in_files(spark, small):
     assert spark.conf.get("spark.sql.streaming.stateStore.providerClass") == before
 
 
+def test_state_of_sliding_windows_is_in_files(spark, small):
+    kinds = state_files(spark, small, "stream_sliding")
+    assert kinds and ".delta" not in kinds
+
+
 def test_asof_and_bands(spark):
     events = spark.createDataFrame([(1, 5, "a"), (1, 10, "b"), (2, 1, "c")], "key int, ts int, what string")
     versions = spark.createDataFrame([(1, 5, 50), (1, 7, 70), (2, 2, 20)], "key int, ts int, value int")
