@@ -403,6 +403,12 @@ def test_nonzero_sums_of_lines(spark, few_rows):
     assert {r for r in rows_of(spark, few_rows, "nonzero_sum_counts", "p", "s", "n", "patterns", "possible") if r[0] == 3} == {(3, 1, 4, 2, 2), (3, 2, 2, 1, 2), (3, 3, 0, 0, 6)}
 
 
+def test_nonzero_sums_read_the_lines_themselves(spark, few_rows):
+    for _ in range(2):  # not a table that an earlier call left
+        files = Q.QUERIES["nonzero_sum_counts"](spark, few_rows).inputFiles()
+        assert files and all("/lineitem.parquet/" in f for f in files)
+
+
 def test_generators_among_order_keys(spark, few_rows):
     assert {r for r in rows_of(spark, few_rows, "primitive_roots", "q", "a", "n") if r[0] == 5} == {(5, 2, 60), (5, 3, 60)}
 
