@@ -10,6 +10,7 @@ from keyloom import workloads as W
 from keyloom.functions import sqlapi
 from keyloom.operators import build as B
 from keyloom.operators import global_graph as G
+from keyloom.operators import lookup as lookups
 from keyloom.operators import measures as M
 from keyloom.operators import relational as R
 from keyloom.operators.kernels import BuildError
@@ -475,6 +476,20 @@ def test_asof_and_bands(spark):
     assert {r["what"]: r["value_asof"] for r in R.asof_value(events, versions, "key").collect()} == {"a": 50, "b": 70, "c": None}
 
 
+def test_blocks_are_tried_without_copies_of_slots(spark, orders, monkeypatch):
+    f = B.build_bucketed_sparse(orders, "l_orderkey", "value", k=5)
+    assert f.blocks() > 2
+    probe = orders.select("l_orderkey").union(orders.select(F.col("l_orderkey") + 10**9)).union(spark.createDataFrame([(None,)], "l_orderkey long"))
+    looked = lookup(probe, f, "l_orderkey")
+    assert "lambda" not in looked._jdf.queryExecution().toString()  # a loop has no generated code: rows come to it with copies of all slots of their shard
+    rows = {(r["l_orderkey"], r["value"]) for r in looked.collect()}
+    monkeypatch.setattr(lookups, "INLINE_BLOCKS", 1)
+    looped = lookup(probe, f, "l_orderkey")
+    assert "lambda" in looped._jdf.queryExecution().toString() and rows == {(r["l_orderkey"], r["value"]) for r in looped.collect()}
+    own = {(r["l_orderkey"], r["value"]) for r in orders.collect()}
+    assert own <= rows and all(x is None for _, x in rows - own)
+
+
 def test_measures(spark, orders):
     rows = spark.createDataFrame([("a", 10, 1.0), ("a", 100, 10.0), ("b", 10, 1.0), ("b", 100, 1000.0)], "method string, n long, measured double")
     slopes = {r["method"]: r["slope"] for r in M.fit_slope(rows, "n", "measured", "method").collect()}
