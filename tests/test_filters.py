@@ -17,7 +17,7 @@ from keyloom.operators.kernels import BuildError
 from keyloom.operators.lookup import lookup, lookup_packed, packed
 from keyloom.operators.mutable import edges, rejected, update_matched, update_values
 from keyloom.plans import store
-from keyloom.plans.scratch import written
+from keyloom.plans.scratch import remove, written
 from keyloom.sources.datasource import SlotSource
 from keyloom.sources.tables import read_pairs, write_pairs
 from keyloom.streaming import streams as S
@@ -375,6 +375,13 @@ def test_creation_over_a_popular_url(spark, popular_url):
     assert {r["method"] for r in rows.collect()} == {"acyclic", "acyclic_independent", "matched", "matched_peel"}
 
 
+@pytest.mark.parametrize("name", ["slf_p61"])
+def test_key_set_whose_files_are_gone_is_made_anew(spark, small, name):
+    Q.QUERIES["slf_any_prime"](spark, small)
+    remove(spark, Q.pairs_of(spark, small, "indeg_supplier").inputFiles()[0].rpartition("/")[0])
+    assert Q.QUERIES[name](spark, small).count() == spark.read.parquet(f"{small}/supplier.parquet").count()
+
+
 @pytest.fixture(scope="module")
 def few_rows(spark, tmp_path_factory):
     """Lines whose entries are known, and 300 orders and suppliers."""
