@@ -375,7 +375,7 @@ def test_creation_over_a_popular_url(spark, popular_url):
     assert {r["method"] for r in rows.collect()} == {"acyclic", "acyclic_independent", "matched", "matched_peel"}
 
 
-@pytest.mark.parametrize("name", ["slf_p61", "slf_s2", "slf_s3"])
+@pytest.mark.parametrize("name", ["slf_p61", "slf_s2", "slf_s3", "slf_s4"])
 def test_key_set_whose_files_are_gone_is_made_anew(spark, small, name):
     Q.QUERIES["slf_any_prime"](spark, small)
     remove(spark, Q.pairs_of(spark, small, "indeg_supplier").inputFiles()[0].rpartition("/")[0])
