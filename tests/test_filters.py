@@ -477,6 +477,20 @@ def test_state_of_sliding_windows_is_in_files(spark, small):
     assert kinds and ".delta" not in kinds
 
 
+def test_sliding_windows_are_made_of_counts_that_are_held_once(spark, small):
+    made = Q.QUERIES["stream_sliding"](spark, small)
+    held = spark.read.parquet(*{f.rpartition("/")[0] for f in made.inputFiles()})
+    events = spark.read.parquet(f"{small}/events.parquet").withColumn("ts", F.col("ts").cast("timestamp"))
+    assert held.count() == events.groupBy("user_id", F.window("ts", "6 hours")).count().count() < made.count()
+    some = events.union(events.limit(1).withColumn("user_id", F.lit(None).cast("long")))
+    for window, slide in (("1 day", "6 hours"), ("3 hours", "1 hour"), ("1 hour", "1 hour")):
+        whole = S.indegree(some, "user_id", window, slide)
+        got = S.sliding(S.indegree(some, "user_id", slide), "user_id", window, slide)
+        assert got.count() == whole.count() and got.exceptAll(whole).isEmpty()
+    with pytest.raises(ValueError):
+        S.sliding(events, "user_id", "1 day", "7 hours")
+
+
 def test_asof_and_bands(spark):
     events = spark.createDataFrame([(1, 5, "a"), (1, 10, "b"), (2, 1, "c")], "key int, ts int, what string")
     versions = spark.createDataFrame([(1, 5, 50), (1, 7, 70), (2, 2, 20)], "key int, ts int, value int")
