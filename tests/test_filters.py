@@ -337,6 +337,23 @@ def test_sparse_filter_of_many_keys_s4(spark, many_suppliers):
     assert suppliers_of(spark, many_suppliers, "slf_s4")
 
 
+@pytest.fixture(scope="module", params=[20, 1_200])
+def odd_suppliers(spark, tmp_path_factory, request):
+    """So many suppliers, the first with 70,000 lines, the last without any; lines and a supplier without a key."""
+    n, d = request.param, str(tmp_path_factory.mktemp("odd"))
+    spark.range(n + 1).select(F.when(F.col("id") < n, F.col("id")).alias("s_suppkey")).write.parquet(f"{d}/supplier.parquet")
+    lines = spark.range(70_000).select(F.lit(0).cast("long").alias("l_suppkey")).union(spark.range(1, n - 1)).union(spark.range(5).select(F.lit(None).cast("long")))
+    lines.write.parquet(f"{d}/lineitem.parquet")
+    return d, {None: None, 0: 70_000, n - 1: None} | {i: 1 for i in range(1, n - 1)}
+
+
+@pytest.mark.parametrize("name", ["slf_s2"])
+def test_sparse_filter_of_null_keys_and_large_values(spark, odd_suppliers, name):
+    d, expected = odd_suppliers
+    rows = Q.QUERIES[name](spark, d).collect()
+    assert len(rows) == len(expected) and {r["s_suppkey"]: r["value"] for r in rows} == expected
+
+
 def test_sparse_filter_of_parts_gives_absent_parts_no_value(spark, small, tmp_path):
     absent = 1_405_434  # among 200 parts of this table and the query's own prime, this key's equation gives 711
     f = B.build_sparse_linear(W.indeg_part(spark, small).orderBy("l_partkey").limit(200), "l_partkey", "value", k=10)
