@@ -347,7 +347,7 @@ def odd_suppliers(spark, tmp_path_factory, request):
     return d, {None: None, 0: 70_000, n - 1: None} | {i: 1 for i in range(1, n - 1)}
 
 
-@pytest.mark.parametrize("name", ["slf_s2", "slf_s3"])
+@pytest.mark.parametrize("name", ["slf_s2", "slf_s3", "slf_s4"])
 def test_sparse_filter_of_null_keys_and_large_values(spark, odd_suppliers, name):
     d, expected = odd_suppliers
     rows = Q.QUERIES[name](spark, d).collect()
