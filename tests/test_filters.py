@@ -366,6 +366,14 @@ def test_sparse_filter_of_parts_gives_absent_parts_no_value(spark, small, tmp_pa
     assert rows.where(f"p_partkey = {absent} and value is null").count() == 1 and rows.where("value is not null").count() == 200
 
 
+@pytest.mark.parametrize("n", [300, 4_500])
+def test_sparse_filter_of_parts_takes_all_parts(spark, tmp_path, n):
+    spark.range(n + 7).select(F.col("id").alias("p_partkey")).write.parquet(f"{tmp_path}/part.parquet")
+    spark.range(3 * n).select((F.col("id") % n).alias("l_partkey")).union(spark.range(2_000).select(F.lit(n - 1).cast("long"))).write.parquet(f"{tmp_path}/lineitem.parquet")
+    rows = {r["p_partkey"]: r["value"] for r in Q.QUERIES["slf_parts"](spark, str(tmp_path)).collect()}
+    assert rows == {i: 3 for i in range(n - 1)} | {n - 1: 2_003} | {i: None for i in range(n, n + 7)}
+
+
 def test_two_universal_gives_absent_orders_no_value(spark, tmp_path):
     spark.range(100).select(F.explode(F.array(F.col("id"), F.col("id") + (1 << 31) - 1)).alias("o_orderkey")).write.parquet(f"{tmp_path}/orders.parquet")
     spark.range(300).select((F.col("id") % 100).alias("l_orderkey")).write.parquet(f"{tmp_path}/lineitem.parquet")
