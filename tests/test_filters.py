@@ -1,5 +1,6 @@
 """Builders, lookups, updates, baselines, measures, storage and streams on the given tables."""
 
+import re
 from pathlib import Path
 
 import pytest
@@ -635,6 +636,23 @@ def test_bucketed_builders(orders):
         assert f.spec.shards * max(1, f.spec.buckets) > 10 and M.member_mismatches(orders, f, "l_orderkey", "value") == 0
 
 
+def test_tried_blocks_have_methods_that_are_compiled(spark, orders):
+    f = B.build_bucketed_sparse(orders, "l_orderkey", "value", k=5)
+    found = lookup(orders.select("l_orderkey"), f, "l_orderkey", "_v").agg(F.count("_v").alias("hits"))
+    assert f.blocks() > 3 and found.collect()[0]["hits"] == f.n
+    plan = found._jdf.queryExecution().explainString(spark._jvm.org.apache.spark.sql.execution.ExplainMode.fromString("codegen"))
+    assert max(map(int, re.findall(r"maxMethodCodeSize:(\d+)", plan))) < 8_000  # bytes above which a JVM compiles no method
+
+
+def test_broadcasts_follow_the_heap_of_the_driver(spark, orders, monkeypatch):
+    f = B.build_acyclic(orders, "l_orderkey", "value", k=5)
+    joins = lambda: lookup(orders.select("l_orderkey"), f, "l_orderkey")._jdf.queryExecution().optimizedPlan().toString()
+    heap = spark._jvm.java.lang.Runtime.getRuntime().maxMemory()
+    assert 0 < lookups.broadcast_limit(spark) <= min(lookups.BROADCAST_BYTES, heap // 16) and "strategy=broadcast" in joins()
+    monkeypatch.setattr(lookups, "broadcast_limit", lambda spark: f.bytes() - 1)
+    assert "strategy=shuffle_hash" in joins() and M.member_mismatches(orders, f, "l_orderkey", "value") == 0
+
+
 def test_windows_samples_and_plans(spark, orders):
     rows = spark.createDataFrame([("a", 1), ("a", 2), ("a", 2), ("b", 5)], "k string, v int")
     assert sorted(r["rank"] for r in R.ranked(rows, "v", "k").where("k = 'a'").collect()) == [1, 1, 3]
